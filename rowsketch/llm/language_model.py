@@ -18,7 +18,7 @@ hashes of its n-grams, each once with its count in training texts, to shards by
 hash range; a shard adds up and sends each block the totals of what it asked
 for, so a block holds only the part of the automaton that its texts can reach.
 Nothing is broadcast or pruned, no n-gram is dropped, and every table is as
-large as its share of the corpus.  Words are told apart by 64-bit hashes.
+large as its share of the corpus.
 
 Null and empty texts are the end token alone; a null id counts as the empty
 string where folds are dealt; repeated rows are scored (and, in training folds,
@@ -42,9 +42,13 @@ ORDER = 3
 FOLDS = 5
 HELD_OUT = 1
 #: Text bytes of a block; a longer text is a block of its own.
-BLOCK_BYTES = 16_000_000
+BLOCK_BYTES = 8_000_000
 #: Input bytes (as Spark estimates them) that one shard of n-grams serves.
-SHARD_BYTES = 12_000_000
+SHARD_BYTES = 3_000_000
+#: Bits of a hash: words are told apart by all 64; longer n-grams travel shorter
+#: (10 million million of them still collide in less than one case of a thousand).
+WORD_BITS = 64
+GRAM_BITS = 54
 END = b"\n"
 BEGIN = b"\t"
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -122,7 +126,7 @@ class Block:
             wide = np.int64(len(used))
             code = below[valid] * wide + self.at[0][valid]
             distinct, where = np.unique(code, return_inverse=True)
-            h = _joined(hash_below[distinct // wide], self.hashes[0][distinct % wide])
+            h = _joined(hash_below[distinct // wide], self.hashes[0][distinct % wide]) >> np.uint64(64 - GRAM_BITS)
             by_hash = np.argsort(h, kind="stable")
             rank = np.empty(len(h), np.int64)
             rank[by_hash] = np.arange(len(h))
@@ -138,9 +142,9 @@ class Block:
         return [np.bincount(at[mark & (at >= 0)], minlength=len(h)).astype(np.uint32) for at, h in zip(self.at, self.hashes)]
 
 
-def shard_ranges(hashes: np.ndarray, shards: int) -> np.ndarray:
+def shard_ranges(hashes: np.ndarray, shards: int, bits: int) -> np.ndarray:
     """Where each shard's hash range begins in a sorted array."""
-    edges = (np.arange(shards, dtype=np.float64) / shards * 2.0**64).astype(np.uint64)
+    edges = (np.arange(shards, dtype=np.float64) / shards * 2.0**bits).astype(np.uint64)
     return np.concatenate([np.searchsorted(hashes, edges), [len(hashes)]])
 
 
@@ -235,7 +239,7 @@ def score(docs: DataFrame, *, order: int = ORDER, folds: int = FOLDS, held_out:
             block = Block([t for _, _, t in held], order)
             train = np.array([not out for _, out, _ in held], bool)
             counts = block.counts(train)
-            cuts = [shard_ranges(h, shards) for h in block.hashes]
+            cuts = [shard_ranges(h, shards, GRAM_BITS if n else WORD_BITS) for n, h in enumerate(block.hashes)]
             keys, ids, orders, hs, cs, texts = [], [], [], [], [], []
             for n in range(order):
                 h, c, cut = block.hashes[n], counts[n], cuts[n]

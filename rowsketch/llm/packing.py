@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -159,6 +160,30 @@ def _encoder(path: str):
     return _ENCODERS[path]
 
 
+def _learn(strings: set[str], batch, cache: dict[str, bytes]) -> None:
+    """Encodes strings new to the cache, each distinct word among them once.
+
+    A run of letters and the full stop or comma after it are tokens apart, and
+    the tokenizer lower-cases, so "The," costs no more than "the" and ",".
+    """
+    parts: dict[str, tuple[str, str]] = {}
+    wanted = set()
+    for s in strings:
+        word, mark = (s[:-1], s[-1]) if s[-1] in ".," and s[:-1].isalpha() else (s, "")
+        if word.isascii() and word.isalpha():
+            word = word.lower()
+        parts[s] = word, mark
+        wanted.add(word)
+        wanted.add(mark)
+    wanted = [w for w in wanted if w not in cache]
+    for at in range(0, len(wanted), 8192):
+        some = wanted[at : at + 8192]
+        for s, e in zip(some, batch(some, add_special_tokens=False)):
+            cache[s] = array("I", e.ids).tobytes()
+    for s, (word, mark) in parts.items():
+        cache[s] = cache[word] + cache[mark] if mark else cache[word]
+
+
 def encode(texts: list[str], path: str) -> list[bytes]:
     """Each text's ids as little-endian unsigned 32-bit integers.
 
@@ -179,9 +204,7 @@ def encode(texts: list[str], path: str) -> list[bytes]:
         if len(cache) > CACHE_ENTRIES:
             cache.clear()
             cache[""] = b""
-        new = list(set().union(*parts).difference(cache)) if parts else []
-        for s, e in zip(new, batch(new, add_special_tokens=False) if new else ()):
-            cache[s] = pa.array(e.ids, pa.uint32()).buffers()[1].to_pybytes()[: 4 * len(e.ids)] if e.ids else b""
+        _learn(set().union(*parts).difference(cache) if parts else set(), batch, cache)
         get = cache.__getitem__
         out += [b"".join(map(get, p)) for p in parts]
         at = end

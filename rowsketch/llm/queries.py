@@ -7,11 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rowsketch.llm import language_model, mixing, packing, quality_rules, simhash
+from rowsketch.llm import language_model, line_dedup, mixing, neighbours, packing, pseudonyms, quality_classifier, quality_rules, simhash, toxicity
 
 
-def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def _table(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def tokenizer_path() -> str:
@@ -21,32 +21,58 @@ def tokenizer_path() -> str:
 
 
 def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(_documents(spark, sf_dir), tokenizer_path())
+    return packing.pack_documents(_table(spark, sf_dir), tokenizer_path())
+
+
+def op2_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    done = pseudonyms.pseudonymise(_table(spark, sf_dir).select("doc_id", "text"))
+    return done.withColumn("n_replaced", sum((F.col(f"n_{k}") for k in pseudonyms.KINDS[1:]), F.col(f"n_{pseudonyms.KINDS[0]}")))
+
+
+def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(_table(spark, sf_dir), _table(spark, sf_dir, "labels"))
+
+
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.dedup_lines(_table(spark, sf_dir).select("doc_id", "text"), count="n_lines_deleted")
+
+
+def op5_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_classifier.score(_table(spark, sf_dir), _table(spark, sf_dir, "labels"))
 
 
 def op6_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return language_model.score(_documents(spark, sf_dir))
+    return language_model.score(_table(spark, sf_dir))
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = simhash.near_duplicates(_documents(spark, sf_dir))
+    found = simhash.near_duplicates(_table(spark, sf_dir))
     return found.select("doc_id", simhash.hex_fingerprint().alias("fingerprint"), "component_id")
 
 
+def op8_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.search(_table(spark, sf_dir, "embeddings"))
+
+
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    judged = quality_rules.apply_rules(_documents(spark, sf_dir))
+    judged = quality_rules.apply_rules(_table(spark, sf_dir))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    report = mixing.mix_report(_documents(spark, sf_dir))
+    report = mixing.mix_report(_table(spark, sf_dir))
     return report.select("doc_id", "size", "source_size", F.round("target", 3).alias("target"), "taken")
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_packing": op1_packing,
+    "op2_pseudonyms": op2_pseudonyms,
+    "op3_toxicity": op3_toxicity,
+    "op4_line_dedup": op4_line_dedup,
+    "op5_quality_classifier": op5_quality_classifier,
     "op6_language_model": op6_language_model,
     "op7_simhash": op7_simhash,
+    "op8_neighbours": op8_neighbours,
     "op9_quality_rules": op9_quality_rules,
     "op10_mixing": op10_mixing,
 }
