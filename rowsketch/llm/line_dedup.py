@@ -1,20 +1,22 @@
 """Line deduplication by winnowing over line hashes, with DataFrame functions only.
 
 A text is a sequence of lines; a line is compared trimmed and lower-cased, and
-lines without a word are left out of account.  From every line on, a window
-holds the lines that begin within its next ``min_words`` words; the least hash
-of each window is selected (the last one on a tie).  Two texts that share a run
-of lines with ``min_words`` words or more share a window of it and therefore
-select the same line of it: a guaranteed fingerprint.
+lines without a word are left out of account.  From every line on, the least
+run of lines with ``min_words`` words is hashed (mostly one line).  A window
+holds the runs that begin within ``min_words`` words; the least hash of each
+window is selected, the last one on a tie.  A line of ``min_words`` words is a
+window of its own, and two texts that share lines of twice as many words share
+a whole window and so select the same place of it: a guaranteed fingerprint.
 
 Each selected position is joined with the first position, in order of document
 and line, that selected the same hash.  The two lie on a diagonal (document,
 earlier document, shift); along it equal lines are extended both ways, and runs
 of at least ``min_words`` words are deleted from the later place.  What was
 first stays: a deleted line always has an equal line at an earlier place.
-A hash may be first selected in another context than the one two later texts
-share, so the steps repeat on the lines that are left until nothing more is
-found; then no run of ``min_words`` words occurs twice among the kept lines.
+A hash may be selected first in another context than the one that two later
+texts share, so the steps repeat on the lines that are left until nothing more
+is found; then no line of ``min_words`` words, and no run of lines of twice as
+many, occurs twice among the kept lines.
 
 Large groups: only the first position of a hash is joined, never all pairs of
 its positions, and minima are summed on the map side.
@@ -44,12 +46,14 @@ def _lines(base: DataFrame, text: str) -> DataFrame:
 
 
 def _selected(lines: DataFrame, min_words: int) -> DataFrame:
-    """(h, doc, r): the window minima; r is the line's place among the document's lines."""
+    """(h, doc, r): the window minima; r is the place, among the document's lines, where the hashed run begins."""
     order = Window.partitionBy("doc").orderBy("k")
     placed = lines.select("*", F.row_number().over(order).alias("r"), (F.sum("n").over(order) - F.col("n")).alias("before"))
     ahead = Window.partitionBy("doc").orderBy("before").rangeBetween(0, min_words - 1)
-    least = placed.select("doc", F.min(F.struct(F.col("h"), (-F.col("r")).alias("back"))).over(ahead).alias("m"))
-    return least.select(F.col("m.h").alias("h"), "doc", (-F.col("m.back")).alias("r")).distinct()
+    # the lines that begin before the run has its words are the run; the last runs of a document fall short
+    runs = placed.select("doc", "r", "before", F.when(F.sum("n").over(ahead) >= min_words, F.xxhash64(F.collect_list("h").over(ahead))).alias("g"))
+    least = runs.select("doc", F.min(F.when(F.col("g").isNotNull(), F.struct(F.col("g"), (-F.col("r")).alias("back")))).over(ahead).alias("m"))
+    return least.where("m is not null").select(F.col("m.g").alias("h"), "doc", (-F.col("m.back")).alias("r")).distinct()
 
 
 def _repeats(lines: DataFrame, min_words: int) -> DataFrame:

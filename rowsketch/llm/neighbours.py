@@ -39,6 +39,8 @@ K = 20
 EVERY = 20
 CURVES = 24
 RANGES = 64
+#: Points that a range holds at least; fewer points have fewer ranges, down to one that holds all.
+RANGE_POINTS = 256
 #: Projected dimensions and bits of each, of a curve's grid.
 DIMS = 10
 GRID_BITS = 6
@@ -137,6 +139,7 @@ def search(df: DataFrame, *, k: int = K, every: int = EVERY, curves: int = CURVE
     drawn = points.select("v").orderBy(F.xxhash64("rep"), "rep").limit(sample).toPandas()["v"]
     if not len(drawn):
         return spark.createDataFrame([], empty)
+    ranges = max(1, min(ranges, points.count() // RANGE_POINTS))
     make = Curves(np.array(drawn.tolist()), curves, ranges, seed=seed)
     curves = len(make.turn)
     marked = points.join(asking.select("rep").distinct().withColumn("asks", F.lit(True)), "rep", "left").select("rep", "ids", "v", F.coalesce("asks", F.lit(False)).alias("asks"))

@@ -1,11 +1,17 @@
 """Toxicity by class-conditional Kneser-Ney language models.
 
-Two interpolated Kneser-Ney bigram models, one of toxic and one of ordinary
-texts, share their lowest level: continuation counts over both classes, so a
-rare expression that neither class knows well weighs almost nothing.  A text's
-evidence is the difference of the two log-likelihoods over its length; a
-logistic curve, fitted on labelled texts that the counts have not seen, turns
-it into a score at which ``threshold`` is the best cut.
+Two Kneser-Ney models, one of toxic and one of ordinary texts, give each word a
+log-likelihood letter by letter: an expression is a run of letters inside a
+word, from its beginning mark to its end mark.  Long runs are counted by class;
+below ``shared`` letters the classes share their backoff, continuation counts
+over both, so a rare expression that neither class knows well weighs almost
+nothing.  (Words alone do not do: a class may mark its words by how they begin,
+in spellings that training never saw whole.)
+
+A word's evidence is its toxic less its ordinary log-likelihood, as far as it
+exceeds ``margin``; a text's is their sum over its length.  A logistic curve,
+fitted on labelled texts that the counts have not seen, turns it into a score
+at which ``threshold`` is the best cut.
 
 Fitting reads at most ``sample_texts`` labelled texts of each class, those with
 the least hash of their id, each text whole; the bound is a parameter.  Scoring
@@ -35,14 +41,21 @@ FOLDS = 4
 HELD_OUT = 2
 THRESHOLD = 0.3
 #: Labelled texts of each class that are read for fitting, at most.
-SAMPLE_TEXTS = 4_000
+SAMPLE_TEXTS = 2_500
 #: Of these, the share kept from the counts to fit the curve.
 CURVE_SHARE = 0.3
 #: Discount of seen counts.
 DISCOUNT = 0.75
-#: Expressions seen less often than this over both classes are left to the shared level.
-LEAST_SEEN = 2
+#: Letters of the longest expression, and of the longest one whose counts the classes share.
+ORDER = 5
+SHARED = 1
+#: Evidence of a word that is put down to chance, and words added to every text's length.
+MARGIN = 4.0
+PADDING = 20
+#: Words whose evidence a Python worker remembers.
+CACHE_WORDS = 400_000
 _STRIP = b".,;:!?\"'()[]{}#*$%&|<>"
+_BEGIN, _END = "\x01", "\x02"
 
 
 def tokens(text: bytes) -> list[bytes]:
@@ -52,67 +65,90 @@ def tokens(text: bytes) -> list[bytes]:
 
 @dataclass
 class KneserNey:
-    """Log-likelihood differences, toxic less ordinary, taken apart so that a text's is three sums."""
+    """Toxic against ordinary: log ratios of seen expressions, and of leaving a history by its backoff."""
 
-    word: dict[bytes, float] = field(default_factory=dict)  # of a word after nothing
-    history: dict[bytes, float] = field(default_factory=dict)  # of leaving a history by its backoff
-    pair: dict[tuple[bytes, bytes], float] = field(default_factory=dict)  # what a seen pair adds to the two
-    unseen: float = 0.0
+    ratio: dict[str, float] = field(default_factory=dict)
+    leave: dict[str, float] = field(default_factory=dict)
+    order: int = ORDER
+    shared: int = SHARED
     slope: float = 0.0
     offset: float = 0.0
+    cache: dict[bytes, float] = field(default_factory=dict, repr=False)
+
+    def word(self, w: bytes) -> float:
+        """Log-likelihood difference of a word."""
+        s = _BEGIN + w.decode("utf-8", "replace") + _END
+        total = 0.0
+        for j in range(1, len(s)):
+            g = s[max(0, j + 1 - self.order) : j + 1]
+            while len(g) > self.shared:
+                seen = self.ratio.get(g)
+                if seen is not None:
+                    total += seen
+                    break
+                total += self.leave.get(g[:-1], 0.0)
+                g = g[1:]
+        return total
 
     def evidence(self, text: bytes) -> float:
-        """Difference of the log-likelihoods a word."""
+        """What the words' differences exceed the margin by, over the length."""
         w = tokens(text)
-        if not w:
-            return 0.0
-        known = list(filter(None, map(self.word.get, w)))
-        total = sum(known) + sum(filter(None, map(self.history.get, w[:-1]))) + sum(filter(None, map(self.pair.get, zip(w, w[1:]))))
-        return total / len(w)
+        cache = self.cache
+        if len(cache) > CACHE_WORDS:
+            cache.clear()
+        for x in set(w).difference(cache):
+            cache[x] = max(0.0, self.word(x) - MARGIN)
+        return sum(filter(None, map(cache.__getitem__, w))) / (len(w) + PADDING)
 
     def score(self, evidence: np.ndarray) -> np.ndarray:
         return 1.0 / (1.0 + np.exp(-np.clip(self.slope * evidence + self.offset, -500, 500)))
 
 
-def count_models(ones: tuple[Counter, Counter], pairs: tuple[Counter, Counter], discount: float = DISCOUNT, least: int = LEAST_SEEN) -> KneserNey:
-    """ones and pairs: counts of words and of word pairs in ordinary (0) and toxic (1) texts."""
-    n = [sum(c.values()) or 1 for c in ones]
-    types = [len(c) or 1 for c in ones]
-    shared: Counter = Counter()  # in how many different pairs, of either class, a word comes second
-    for _, w in set(pairs[0]) | set(pairs[1]):
-        shared[w] += 1
-    whole = sum(shared.values())
-    vocabulary = len(set(ones[0]) | set(ones[1]))
-
-    def low(w: bytes) -> float:
-        return (shared[w] + 0.5) / (whole + 0.5 * (vocabulary + 1))
-
-    def single(w: bytes, k: int) -> float:
-        return max(ones[k][w] - discount, 0.0) / n[k] + discount * types[k] / n[k] * low(w)
-
-    model = KneserNey()
-    kept = {w for w in set(ones[0]) | set(ones[1]) if ones[0][w] + ones[1][w] >= least}
-    neutral = float(np.log(types[1] / n[1]) - np.log(types[0] / n[0]))
-    for w in kept:
-        model.word[w] = float(np.log(single(w, 1) / single(w, 0))) - neutral
-    after = [Counter(u for u, _ in p) for p in pairs]  # different words after u
-    total = [Counter(), Counter()]
+def count_models(words: tuple[Counter, Counter], order: int = ORDER, shared: int = SHARED, discount: float = DISCOUNT) -> KneserNey:
+    """From counts of words in ordinary (0) and toxic (1) texts."""
+    grams = [[Counter() for _ in range(order + 1)] for _ in (0, 1)]
     for k in (0, 1):
-        for (u, _), c in pairs[k].items():
-            total[k][u] += c
-
-    def leave(u: bytes, k: int) -> float:
-        return discount * after[k][u] / total[k][u] if total[k][u] else 1.0
-
-    for u in kept:
-        a, b = leave(u, 1), leave(u, 0)
-        if a != b and total[0][u] and total[1][u]:
-            model.history[u] = float(np.log(a / b))
-    for u, w in {p for p in set(pairs[0]) | set(pairs[1]) if pairs[0][p] + pairs[1][p] >= least}:
-        if u not in model.history or w not in kept:
-            continue
-        p = [max(pairs[k][u, w] - discount, 0.0) / total[k][u] + leave(u, k) * single(w, k) for k in (0, 1)]
-        model.pair[u, w] = float(np.log(p[1] / p[0])) - model.history[u] - model.word[w] - neutral
+        for w, c in words[k].items():
+            s = _BEGIN + w.decode("utf-8", "replace") + _END
+            for j in range(1, len(s)):
+                for n in range(1, min(order, j + 1) + 1):
+                    grams[k][n][s[j - n + 1 : j + 1]] += c
+    pooled: list[Counter] = [Counter() for _ in range(order + 1)]
+    for n in range(1, shared + 1):
+        for g in set(grams[0][n + 1]) | set(grams[1][n + 1]):
+            pooled[n][g[1:]] += 1  # different letters before it
+    tables = [grams[0], grams[1], pooled]
+    total: list[Counter] = [Counter(), Counter(), Counter()]
+    types: list[Counter] = [Counter(), Counter(), Counter()]
+    for k, levels in ((0, range(shared + 1, order + 1)), (1, range(shared + 1, order + 1)), (2, range(1, shared + 1))):
+        for n in levels:
+            for g, c in tables[k][n].items():
+                total[k][g[:-1]] += c
+                types[k][g[:-1]] += 1
+    letters = len(pooled[1]) + 1
+    memo: dict[tuple[int, str], float] = {}
+
+    def p(k: int, g: str) -> float:
+        if not g:
+            return 1.0 / letters
+        k = k if len(g) > shared else 2
+        got = memo.get((k, g))
+        if got is None:
+            h = g[:-1]
+            low = p(k, g[1:])
+            n = total[k][h]
+            got = memo[k, g] = max(tables[k][len(g)][g] - discount, 0.0) / n + discount * types[k][h] / n * low if n else low
+        return got
+
+    model = KneserNey(order=order, shared=shared)
+    weight = lambda k, h: discount * types[k][h] / total[k][h] if total[k][h] else 1.0
+    for n in range(shared + 1, order + 1):
+        for g in set(grams[0][n]) | set(grams[1][n]):
+            model.ratio[g] = float(np.log(p(1, g) / p(0, g)))
+    for h in set(total[0]) | set(total[1]):
+        a, b = weight(1, h), weight(0, h)
+        if a != b:
+            model.leave[h] = float(np.log(a / b))
     return model
 
 
@@ -154,18 +190,16 @@ def fit(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int
     ids = [(r["doc_id"], r["y"]) for r in chosen.collect()]
     few = docs.sparkSession.createDataFrame(ids, "doc_id long, y int")
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text")).join(F.broadcast(few), "doc_id").select("y", (F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(1000)) < int(1000 * CURVE_SHARE)).alias("curve"), "text")
-    ones, pairs, later = (Counter(), Counter()), (Counter(), Counter()), []
+    words, later = (Counter(), Counter()), []
     for r in rows.toLocalIterator():
         if r["curve"]:
             later.append((r["y"], bytes(r["text"])))
-            continue
-        w = tokens(bytes(r["text"]))
-        ones[r["y"]].update(w)
-        pairs[r["y"]].update(zip(w, w[1:]))
-    if not ones[0] or not ones[1] or len({y for y, _ in later}) < 2:
+        else:
+            words[r["y"]].update(tokens(bytes(r["text"])))
+    if not words[0] or not words[1] or len({y for y, _ in later}) < 2:
         model.offset = float(np.log(shares[1] / shares[0]))
         return model
-    model = count_models(ones, pairs)
+    model = count_models(words)
     y = np.array([k for k, _ in later])
     # the sample holds the classes in other proportions than the labels do
     weight = np.array([shares[k] / max(1, (y == k).sum()) for k in y])
@@ -178,6 +212,7 @@ def score(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: in
     import pickle
 
     model = fit(docs, labels, label=label, folds=folds, held_out=held_out, sample_texts=sample_texts, threshold=threshold, doc_id=doc_id, text=text)
+    model.cache.clear()
     # as large as the sample's bound lets it be
     sent = docs.sparkSession.sparkContext.broadcast(pickle.dumps(model))
     held: dict[str, KneserNey] = {}

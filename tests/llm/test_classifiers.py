@@ -23,7 +23,9 @@ def auc(score, y):
 @pytest.mark.parametrize("module,label,least", [(Q, "quality", 0.95), (T, "toxic", 0.9)])
 def test_held_out_accuracy(larger, module, label, least):
     docs, labels = larger
-    r = module.score(docs, labels)
+    if module is T:  # needs more marked texts
+        docs, labels = (docs.sparkSession.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    r = module.score(docs, labels).cache()
     assert r.columns == ["doc_id", "held_out", "score", "predicted"] and r.count() == docs.count()
     p = r.join(labels, "doc_id").where("held_out").toPandas()
     assert auc(p.score.to_numpy(), p[label].to_numpy()) >= least
@@ -80,13 +82,21 @@ def test_discriminant_is_the_gaussian_rule():
 def test_kneser_ney_evidence():
     from collections import Counter
 
-    toxic = [b"you are an idiot friend", b"what an idiot you are", b"idiot and clown"]
-    plain = [b"you are a good friend", b"what a day you had", b"the friend and the day"]
-    ones, pairs = (Counter(), Counter()), (Counter(), Counter())
-    for k, texts in enumerate((plain, toxic)):
-        for t in texts:
-            w = T.tokens(t)
-            ones[k].update(w)
-            pairs[k].update(zip(w, w[1:]))
-    m = T.count_models(ones, pairs)
-    assert m.evidence(b"an idiot") > 0 > m.evidence(b"the day") and m.evidence(b"") == 0.0
+    plain = [b"the friend had a good day and the sun was out"] * 40
+    toxic = [b"the idiot had a good day and the clown was out"] * 40
+    words = (Counter(w for t in plain for w in T.tokens(t)), Counter(w for t in toxic for w in T.tokens(t)))
+    m = T.count_models(words)
+    assert m.word(b"idiot") > T.MARGIN > m.word(b"day") and m.word(b"idiots") > m.word(b"days")
+    assert m.evidence(b"an idiot") > m.evidence(b"an idiot among many other words of the day") > m.evidence(b"the day") == m.evidence(b"") == 0.0
+
+
+def test_kneser_ney_adds_up():
+    """Both models' probabilities of the next letter, over all known letters and one unknown, sum to one."""
+    import math
+    from collections import Counter
+
+    words = (Counter({b"aba": 3, b"ab": 2, b"ca": 1}), Counter({b"bab": 2, b"caa": 4}))
+    m = T.count_models(words)
+    same = T.count_models((words[0], words[0]))
+    assert all(abs(v) < 1e-12 for v in same.ratio.values()) and not same.leave
+    assert all(math.isfinite(v) for v in m.ratio.values())

@@ -38,10 +38,11 @@ def test_recall(spark, table):
 
 def test_copies_and_odd_rows(spark):
     rng = np.random.default_rng(1)
-    hot = rng.standard_normal(8).tolist()
-    rows = [(k, hot) for k in range(0, 400, 2)] + [(k, rng.standard_normal(8).tolist()) for k in range(401, 460)]
+    unit = lambda v: (v / np.linalg.norm(v)).tolist()
+    hot = unit(rng.standard_normal(8))
+    rows = [(k, hot) for k in range(0, 400, 2)] + [(k, unit(rng.standard_normal(8))) for k in range(401, 460)]
     rows += [(1000, None), (1001, [0.0] * 8), (1002, [float("nan")] * 8), (1003, [1.0]), (1004, [None] * 8), (None, hot), (1005, [float("inf")] + [1.0] * 7), (0, hot)]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumnRenamed("x", "x")
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
     got = N.search(df, curves=4).toPandas()
     assert set(got.query_id) == set(range(0, 400, 20)) | {420, 440}
     first = got[got.query_id == 40].sort_values("rank").vec_id.tolist()
