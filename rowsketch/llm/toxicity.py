@@ -36,6 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowsketch.llm.common import fold_of, text_bytes
+from rowsketch.shared import materialise
 
 FOLDS = 4
 HELD_OUT = 2
@@ -191,7 +192,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int
     few = docs.sparkSession.createDataFrame(ids, "doc_id long, y int")
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text")).join(F.broadcast(few), "doc_id").select("y", (F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(1000)) < int(1000 * CURVE_SHARE)).alias("curve"), "text")
     words, later = (Counter(), Counter()), []
-    for r in rows.toLocalIterator():
+    # written in parallel, then read a few files at a time: the driver holds one part of the sample
+    for r in materialise(rows, "sample").coalesce(8).toLocalIterator():
         if r["curve"]:
             later.append((r["y"], bytes(r["text"])))
         else:
