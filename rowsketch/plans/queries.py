@@ -376,11 +376,11 @@ def _scratch(spark) -> str:
 
 def stream_tumbling_f2(spark, sf_dir):
     base = _scratch(spark)
-    w = streams.window_energy(_events_stream(spark, sf_dir), "ts", "1 day")
+    w = streams.window_energy(_events_stream(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp")), "ts", "1 day")
     streams.run_available(w, f"{base}/checkpoint", lambda b, i: b.write.mode("overwrite").parquet(f"{base}/out/batch={i:010d}"), "update")
     got = spark.read.parquet(f"{base}/out")
     latest = got.groupBy("window_start").agg(F.max_by(F.struct("n_rows", "f2"), "batch").alias("x"))
-    return latest.select("window_start", "x.n_rows", _round("x.f2", 2).alias("f2"))
+    return latest.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "x.n_rows", _round("x.f2", 2).alias("f2"))
 
 
 def stream_global_gram(spark, sf_dir):

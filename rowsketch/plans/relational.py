@@ -24,7 +24,7 @@ SQL: dict[str, tuple[tuple[str, ...], str, str | None]] = {
     "window_ranks": (("supplier",), "SELECT s_suppkey, row_number() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC, s_suppkey) AS rn, rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC) AS rk, dense_rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC) AS dr, ntile(4) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal DESC, s_suppkey) AS quarter FROM supplier", None),
     "window_running_tail": (("events",), "SELECT user_id, cnt, sum(cnt) OVER (ORDER BY cnt DESC, user_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS head FROM (SELECT user_id, count(*) AS cnt FROM events GROUP BY user_id) t", None),
     "window_lag_lead": (("events",), "SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after, first_value(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS first_one FROM events", None),
-    "window_frames": (("events",), "SELECT event_id, round(sum(value * value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 9 PRECEDING AND CURRENT ROW), 3) AS f2 FROM events", None),
+    "window_frames": (("events",), "SELECT event_id, round(sum(value * value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 9 PRECEDING AND CURRENT ROW), 4) AS f2 FROM events", None),
     "window_topk": (("embeddings",), "SELECT label, vec_id FROM (SELECT label, vec_id, row_number() OVER (PARTITION BY label ORDER BY vec_id DESC) AS rn FROM embeddings) t WHERE rn <= 3", None),
     "setop_union": (("customer", "supplier"), "SELECT kind, count(*) AS n FROM (SELECT c_nationkey AS k, 'c' AS kind FROM customer UNION ALL SELECT s_nationkey AS k, 's' AS kind FROM supplier) t GROUP BY kind", None),
     "setop_intersect": (("events",), "SELECT user_id FROM events WHERE ts < TIMESTAMP '2024-01-10 00:00:00' AND event_type = 'purchase' INTERSECT SELECT user_id FROM events WHERE ts >= TIMESTAMP '2024-01-10 00:00:00' AND event_type = 'purchase'", None),
@@ -44,7 +44,7 @@ SQL: dict[str, tuple[tuple[str, ...], str, str | None]] = {
     "date_trunc_daily": (("events",), "SELECT date_trunc('day', ts) AS day, count(*) AS n, round(sum(value), 3) AS total FROM events GROUP BY date_trunc('day', ts)", None),
     "date_parts": (("lineitem",), "SELECT year(l_shipdate) AS y, quarter(l_shipdate) AS q, count(*) AS n FROM lineitem GROUP BY year(l_shipdate), quarter(l_shipdate)", None),
     "scan_pushdown": (("lineitem",), "SELECT l_returnflag, count(*) AS n, sum(l_quantity) AS quantity FROM lineitem WHERE l_shipdate >= TIMESTAMP '1995-01-01 00:00:00' AND l_shipdate < TIMESTAMP '1996-01-01 00:00:00' AND l_discount BETWEEN 0.02 AND 0.06 GROUP BY l_returnflag", None),
-    "math_norms": (("lineitem",), "SELECT round(sqrt(sum(l_quantity * l_quantity)), 6) AS length, round(ln(count(*)), 9) AS log_n, floor(avg(l_extendedprice)) AS whole, sum(sign(l_tax - 0.04)) AS balance FROM lineitem", None),
+    "math_norms": (("lineitem",), "SELECT round(sqrt(sum(l_quantity * l_quantity)), 6) AS length, round(ln(count(*)), 9) AS log_n, CAST(floor(avg(l_extendedprice)) AS BIGINT) AS whole, CAST(sum(sign(l_tax - 0.04)) AS BIGINT) AS balance FROM lineitem", None),
 }
 
 

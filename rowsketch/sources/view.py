@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from rowsketch.functions.vectors import vec_normalise
 
@@ -51,10 +56,34 @@ def from_text(df: DataFrame, row_id, col: str, dim: int = 256, norm: str = "raw"
 
 
 def from_coo(df: DataFrame, row: str, col: str, val: str, dim: int, keys: list[str] = ()) -> DataFrame:
-    """Coordinate triples, one for each cell at most, as dense rows."""
-    packed = df.groupBy(*keys, F.col(row).cast("long").alias("row_id")).agg(F.map_from_entries(F.collect_list(F.struct(F.col(col).cast("int"), F.col(val).cast("double")))).alias("m"))
-    # a row has at most dim entries
-    return packed.select(*keys, "row_id", F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0))).alias("vec"))
+    """Coordinate triples, one for each cell at most, as dense rows.
+
+    A row travels as its (at most ``dim``) entries and is spread out batch by
+    batch in the kernel's own format.
+    """
+    packed = df.groupBy(*keys, F.col(row).cast("long").alias("row_id")).agg(F.collect_list(F.struct(F.col(col).cast("int").alias("i"), F.col(val).cast("double").alias("x"))).alias("cells"))
+    return _spread(packed.select(*keys, "row_id", F.col("cells.i").alias("i"), F.col("cells.x").alias("x")), dim, list(keys))
+
+
+def _spread(df: DataFrame, dim: int, keys: list[str]) -> DataFrame:
+    """(keys, row_id, i array, x array) to (keys, row_id, vec); positions outside the width are left out."""
+    schema = T.StructType([*[df.schema[k] for k in keys], T.StructField("row_id", T.LongType()), T.StructField("vec", T.ArrayType(T.DoubleType()))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rb in batches:
+            for at in range(0, rb.num_rows, 1024):
+                part = rb.slice(at, 1024)
+                i, x = part.column(part.num_columns - 2), part.column(part.num_columns - 1)
+                n = part.num_rows
+                rows = np.repeat(np.arange(n), i.value_lengths().to_numpy())
+                place, value = i.flatten().to_numpy(), x.flatten().to_numpy()
+                inside = (place >= 0) & (place < dim)
+                dense = np.zeros((n, dim))
+                dense[rows[inside], place[inside]] = value[inside]
+                vec = pa.ListArray.from_arrays(pa.array(np.arange(0, (n + 1) * dim, dim, dtype=np.int32)), pa.array(dense.ravel()))
+                yield pa.RecordBatch.from_arrays([*part.columns[:-2], vec], [*keys, "row_id", "vec"])
+
+    return df.mapInArrow(run, schema)
 
 
 def vocabulary(df: DataFrame, item: str) -> DataFrame:
@@ -83,8 +112,7 @@ def from_pivot(df: DataFrame, row_id, column: str, values: tuple, amount: str) -
 
 def from_sparse(df: DataFrame, row_id, idx: str, val: str, dim: int) -> DataFrame:
     """(idx array<int>, val array<double>) rows as dense rows."""
-    m = F.map_from_arrays(F.col(idx), F.col(val))
-    return df.select(_id(row_id), F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.coalesce(F.try_element_at(m, i), F.lit(0.0))).alias("vec"))
+    return _spread(df.select(_id(row_id), F.col(idx).cast("array<int>").alias("i"), F.col(val).cast("array<double>").alias("x")), dim, [])
 
 
 def moments(view: DataFrame, d: int) -> DataFrame:
