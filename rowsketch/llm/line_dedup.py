@@ -103,7 +103,8 @@ def dedup_lines(docs: DataFrame, *, min_words: int = MIN_WORDS, doc_id: str = "d
     base = materialise(docs.select(*[docs[c] for c in names], docs[doc_id].cast("long").alias("_ld_id"), F.monotonically_increasing_id().alias("_ld_row")), "numbered")
     gone = find_repeats(base, min_words=min_words, text=text)
     by_doc = materialise(gone.groupBy(F.col("doc.row").alias("_ld_row")).agg(F.sort_array(F.collect_list(F.col("k").cast("int"))).alias("_ld_gone")), "deleted")
-    joined = base.join(by_doc, "_ld_row", "left")
+    # what is deleted grows with the input: a merge join at every size, so that no plan turns to broadcasting it
+    joined = base.join(by_doc.hint("merge"), "_ld_row", "left")
     # stretches between deleted lines: (first line, how many)
     text_left = F.expr(f"""
         case when _ld_gone is null then `{text}`
