@@ -158,13 +158,21 @@ def merge_packed(rows: list[dict], svd: str = "auto") -> tuple[ShrinkState, np.n
     return state, state.finish()
 
 
+def rounds_for(tasks: int, fan_in: int) -> int:
+    """Rounds until ``tasks`` results are one, ``fan_in`` at a time."""
+    rounds, left = 1, -(-tasks // fan_in)
+    while left > 1:
+        rounds, left = rounds + 1, -(-left // fan_in)
+    return rounds
+
+
 def merge_tree(sketches: DataFrame, *, keys: list[str] | None = None, fan_in: int = FAN_IN, tasks: int | None = None, transport: str = "float64", svd: str = "auto") -> DataFrame:
     """Packed sketches to one for each key, ``fan_in`` at a time.
 
     ``tasks`` is how many there may be to a key; it sets the number of rounds.
     """
     keys = list(keys or [])
-    rounds = max(1, math.ceil(math.log(max(tasks or partitions_of(sketches), 2), fan_in)))
+    rounds = rounds_for(tasks or partitions_of(sketches), fan_in)
     schema = T.StructType([sketches.schema[k] for k in keys] + packed.FIELDS)
     kinds = [to_arrow_type(sketches.schema[k].dataType) for k in keys]
     for r in range(rounds):

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rowsketch.kernel.counters import CounterState
-from rowsketch.operators.dist import FAN_IN, partitions_of
+from rowsketch.operators.dist import FAN_IN, partitions_of, rounds_for
 from rowsketch.operators.sketch import Sketch, ell_for_heavy
 
 SCHEMA = "pid int, ell int, n long, shed long, items array<string>, counts array<long>"
@@ -57,7 +57,7 @@ def merge_tree(summaries: DataFrame, *, tasks: int, fan_in: int = FAN_IN) -> Dat
             s.add_counts(dict(zip(r["items"], r["counts"])), r["n"], r["shed"])
         return pa.Table.from_batches([_batch(rows[0]["pid"] // fan_in, s)])
 
-    rounds = max(1, math.ceil(math.log(max(tasks, 2), fan_in)))
+    rounds = rounds_for(tasks, fan_in)
     for r in range(rounds):
         group = F.lit(0) if r == rounds - 1 else F.floor(F.col("pid") / fan_in)
         summaries = summaries.groupBy(group.alias("g")).applyInArrow(merge, SCHEMA)

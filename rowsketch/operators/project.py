@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -52,8 +53,6 @@ def residuals(df: DataFrame, sk: Sketch, k: int) -> DataFrame:
 
 def residual_norm_udf(sk: Sketch, k: int):
     """The residual as a scalar pandas function."""
-    import pandas as pd
-
     v = sk.directions(k)
 
     @F.pandas_udf("double")

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from rowsketch.kernel.paced import PacedState
 from rowsketch.kernel.shrink import ShrinkState
 from rowsketch.operators import baselines, measures
-from rowsketch.operators.dist import local_sketches, merge_tree, sketch
+from rowsketch.operators.dist import local_sketches, merge_tree, rounds_for, sketch
 from rowsketch.operators.sketch import Sketch, guarantee
 from rowsketch.shared import materialise
 from rowsketch.sources import datagen
@@ -119,8 +119,7 @@ def merging(df: DataFrame, d: int, ell: int, parts=(1, 4, 16, 64), fan_ins=(4, 3
         for f in fan_ins:
             t = time.perf_counter()
             sk = Sketch.from_df(merge_tree(local_sketches(df.repartition(p, "row_id"), ell, d=d), fan_in=f, tasks=p))
-            rounds = max(1, int(np.ceil(np.log(max(p, 2)) / np.log(f))))
-            rows.append((p, f, rounds, measures.cov_error_of(gram, sk.rows), sk.shed / f2, time.perf_counter() - t, p * (ell - 1) * d * 8))
+            rows.append((p, f, rounds_for(p, f), measures.cov_error_of(gram, sk.rows), sk.shed / f2, time.perf_counter() - t, p * (ell - 1) * d * 8))
     return spark.createDataFrame(rows, "parts int, fan_in int, rounds int, cov_error double, shed_share double, seconds double, moved_bytes long")
 
 

@@ -16,6 +16,11 @@ from rowsketch.operators import dist, items
 from rowsketch.operators.dist import merge_tree
 
 
+def timed(stream: DataFrame, ts: str, watermark: str) -> DataFrame:
+    """The stream with its watermark; a time without a zone counts in the session's."""
+    return stream.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, watermark)
+
+
 def run_available(df: DataFrame, checkpoint: str, each, mode: str = "append") -> None:
     """Feeds all data there is to ``each(batch, id)`` and stops; a second call goes on from the checkpoint."""
     q = df.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).foreachBatch(each).trigger(availableNow=True).start()
@@ -57,7 +62,7 @@ def window_sketches(stream: DataFrame, ell: int, d: int, ts: str, pane: str, pat
 
     ``stream`` has the columns ts, row_id and vec.
     """
-    source = stream.withWatermark(ts, watermark) if watermark else stream
+    source = timed(stream, ts, watermark) if watermark else stream
 
     def each(batch: DataFrame, batch_id: int) -> None:
         keyed = panes(batch, ts, pane).select("pane", "row_id", "vec")
@@ -124,13 +129,13 @@ def read_counters(spark: SparkSession, path: str) -> DataFrame:
 def window_energy(stream: DataFrame, ts: str, length: str, slide: str | None = None, watermark: str = "1 day") -> DataFrame:
     """Built-in aggregates by window: (window_start, n_rows, f2)."""
     w = F.window(ts, length, slide) if slide else F.window(ts, length)
-    return stream.withWatermark(ts, watermark).groupBy(w.alias("w")).agg(F.count("*").alias("n_rows"), F.sum(F.col("value") * F.col("value")).alias("f2")).select(F.col("w.start").alias("window_start"), "n_rows", "f2")
+    return timed(stream, ts, watermark).groupBy(w.alias("w")).agg(F.count("*").alias("n_rows"), F.sum(F.col("value") * F.col("value")).alias("f2")).select(F.col("w.start").alias("window_start"), "n_rows", "f2")
 
 
 def session_energy(stream: DataFrame, ts: str, user: str, gap: str = "30 minutes", watermark: str = "1 day") -> DataFrame:
     w = F.session_window(ts, gap)
-    return stream.withWatermark(ts, watermark).groupBy(user, w.alias("w")).agg(F.count("*").alias("n_rows"), F.sum(F.col("value") * F.col("value")).alias("f2")).select(user, F.col("w.start").alias("session_start"), "n_rows", "f2")
+    return timed(stream, ts, watermark).groupBy(user, w.alias("w")).agg(F.count("*").alias("n_rows"), F.sum(F.col("value") * F.col("value")).alias("f2")).select(user, F.col("w.start").alias("session_start"), "n_rows", "f2")
 
 
 def dedup_events(stream: DataFrame, ts: str, key: str, within: str = "1 hour") -> DataFrame:
-    return stream.withWatermark(ts, within).dropDuplicatesWithinWatermark([key])
+    return timed(stream, ts, within).dropDuplicatesWithinWatermark([key])

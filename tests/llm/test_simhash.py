@@ -54,9 +54,9 @@ def test_trie_finds_every_link():
 
 
 def test_components_of_a_chain(spark):
-    edges = spark.createDataFrame([(k, k + 1) for k in range(1, 60)] + [(100, 101), (5, 5)], "a long, b long")
+    edges = spark.createDataFrame([(k, k + 1) for k in range(1, 12)] + [(100, 101), (5, 5)], "a long, b long")
     got = {r["node"]: r["root"] for r in simhash.components(edges).collect()}
-    assert got == {k: 1 for k in range(1, 61)} | {100: 100, 101: 100}
+    assert got == {k: 1 for k in range(1, 13)} | {100: 100, 101: 100}
 
 
 def test_keep_first(make, odd, none):
