@@ -10,6 +10,7 @@ reads more than that many sketches.  Nothing runs before the caller's action.
 from __future__ import annotations
 
 import math
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -66,9 +67,10 @@ def make_state(ell: int, d: int, variant: str, svd: str, buffer_factor: float):
 def partitions_of(df: DataFrame) -> int:
     """Tasks that a scan of ``df`` is planned with; an estimate from the plan, no job runs."""
     plan = df._jdf.queryExecution()
-    known = plan.executedPlan().outputPartitioning().numPartitions()
-    if known > 0:
-        return known
+    # the topmost exchange tells; its own count may only be lowered at run time
+    dealt = re.search(r"RoundRobinPartitioning\((\d+)\)|partitioning\([^\n]*?, (\d+)\)", plan.executedPlan().toString())
+    if dealt:
+        return int(dealt.group(1) or dealt.group(2))
     size = int(str(plan.optimizedPlan().stats().sizeInBytes()))
     split = df.sparkSession.conf.get("spark.sql.files.maxPartitionBytes", "134217728")
     digits = "".join(c for c in split if c.isdigit()) or "134217728"
