@@ -47,8 +47,9 @@ def shrink_gram_exact_lineitem(spark, sf_dir):
 
 
 def shrink_gram_exact_events(spark, sf_dir):
+    """Sums of squares of values with two decimals: four decimals are exact, so rounding never meets a tie."""
     g = dist.sketch_gram(dist.sketch(view.evt(load(spark, sf_dir, "events")), 8, d=5))
-    return g.select("i", "j", _round(F.col("g") / F.col("n_rows"), 4).alias("g"))
+    return g.select("i", "j", _round("g", 4).alias("g"))
 
 
 def shrink_gram_exact_custprio(spark, sf_dir):
@@ -60,7 +61,7 @@ def shrink_gram_exact_custprio(spark, sf_dir):
 def shrink_grouped_events_day(spark, sf_dir):
     e = load(spark, sf_dir, "events").withColumn("day", F.date_format("ts", "yyyy-MM-dd"))
     g = dist.sketch_gram(dist.sketch(view.evt(e, ["day"]), 8, d=5, keys=["day"]), ["day"])
-    return g.where("i = j").select("day", "i", _round(F.col("g") / F.col("n_rows"), 4).alias("g"))
+    return g.where("i = j").select("day", "i", _round("g", 4).alias("g"))
 
 
 def shrink_grouped_flag(spark, sf_dir):
@@ -387,7 +388,7 @@ def stream_global_gram(spark, sf_dir):
     base = _scratch(spark)
     streams.global_sketch(view.evt(_events_stream(spark, sf_dir)), 8, 5, f"{base}/out", f"{base}/checkpoint")
     g = dist.sketch_gram(streams.read_global(spark, f"{base}/out"))
-    return g.where("i = j").select("i", "n_rows", _round(F.col("g") / F.col("n_rows"), 4).alias("g"))
+    return g.where("i = j").select("i", "n_rows", _round("g", 4).alias("g"))
 
 
 def stream_sliding_gram(spark, sf_dir):
@@ -395,7 +396,7 @@ def stream_sliding_gram(spark, sf_dir):
     streams.window_sketches(view.evt(_events_stream(spark, sf_dir), ["ts"]), 8, 5, "ts", "1 day", f"{base}/out", f"{base}/checkpoint")
     wide = streams.sliding(streams.tumbling(spark, f"{base}/out"), 3, 86400)
     g = dist.sketch_gram(wide, ["window_start"])
-    return g.where("i = j").select("window_start", "i", "n_rows", _round(F.col("g") / F.col("n_rows"), 4).alias("g"))
+    return g.where("i = j").select("window_start", "i", "n_rows", _round("g", 4).alias("g"))
 
 
 def stream_counters(spark, sf_dir):
@@ -447,13 +448,13 @@ z AS (SELECT (l_quantity - m0) / s0 AS a0, (l_extendedprice - m1) / s1 AS a1, (l
 SELECT i::INTEGER AS i, j::INTEGER AS j, round(avg(({_entry("i")}) * ({_entry("j")})), 5) + 0.0 AS g FROM z, {_PAIRS} GROUP BY i, j""",
     "shrink_gram_exact_events": f"""
 WITH s AS (SELECT t.i, coalesce(sum(value * value), 0) AS f FROM {_EVENTS} LEFT JOIN events USING (event_type) GROUP BY t.i)
-SELECT a.i::INTEGER AS i, b.i::INTEGER AS j, round(CASE WHEN a.i = b.i THEN a.f / (SELECT count(*) FROM events) ELSE 0 END, 4) + 0.0 AS g FROM s a, s b WHERE a.i <= b.i""",
+SELECT a.i::INTEGER AS i, b.i::INTEGER AS j, round(CASE WHEN a.i = b.i THEN a.f ELSE 0 END, 4) + 0.0 AS g FROM s a, s b WHERE a.i <= b.i""",
     "shrink_gram_exact_custprio": """
 WITH c AS (SELECT o_custkey, [coalesce(sum(o_totalprice) FILTER (WHERE o_orderpriority = '1-URGENT'), 0) / 1e6, coalesce(sum(o_totalprice) FILTER (WHERE o_orderpriority = '2-HIGH'), 0) / 1e6, coalesce(sum(o_totalprice) FILTER (WHERE o_orderpriority = '3-MEDIUM'), 0) / 1e6, coalesce(sum(o_totalprice) FILTER (WHERE o_orderpriority = '4-NOT SPECIFIED'), 0) / 1e6, coalesce(sum(o_totalprice) FILTER (WHERE o_orderpriority = '5-LOW'), 0) / 1e6] AS v FROM orders GROUP BY o_custkey)
 SELECT i::INTEGER AS i, j::INTEGER AS j, round(avg(v[i + 1] * v[j + 1]), 5) + 0.0 AS g FROM c, (SELECT i, j FROM (SELECT unnest(range(5)) AS i) p, (SELECT unnest(range(5)) AS j) q WHERE i <= j) ij GROUP BY i, j""",
     "shrink_grouped_events_day": f"""
-WITH d AS (SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, value FROM events), n AS (SELECT day, count(*) AS n FROM d GROUP BY day)
-SELECT n.day, t.i::INTEGER AS i, round(coalesce(sum(value * value), 0) / any_value(n.n), 4) + 0.0 AS g FROM n CROSS JOIN {_EVENTS} LEFT JOIN d ON d.day = n.day AND d.event_type = t.event_type GROUP BY n.day, t.i""",
+WITH d AS (SELECT strftime(ts, '%Y-%m-%d') AS day, event_type, value FROM events), n AS (SELECT DISTINCT day FROM d)
+SELECT n.day, t.i::INTEGER AS i, round(coalesce(sum(value * value), 0), 4) + 0.0 AS g FROM n CROSS JOIN {_EVENTS} LEFT JOIN d ON d.day = n.day AND d.event_type = t.event_type GROUP BY n.day, t.i""",
     "shrink_grouped_flag": f"SELECT l_returnflag, l_linestatus, i::INTEGER AS i, j::INTEGER AS j, round(avg(({_entry('i')}) * ({_entry('j')})), 6) + 0.0 AS g FROM (SELECT l_returnflag, l_linestatus, {_NUMBERS} FROM lineitem) z, {_PAIRS} GROUP BY l_returnflag, l_linestatus, i, j",
     "merge_cube_flag": f"SELECT l_returnflag, l_linestatus, i::INTEGER AS i, count(*) AS n_rows, round(avg(({_entry('i')}) * ({_entry('i')})), 6) + 0.0 AS g FROM (SELECT l_returnflag, l_linestatus, {_NUMBERS} FROM lineitem) z, (SELECT unnest(range(4)) AS i) p GROUP BY GROUPING SETS ((i), (i, l_returnflag), (i, l_linestatus), (i, l_returnflag, l_linestatus))",
     "shrink_per_row_cert": _cert_oracle(20, 64),
@@ -499,10 +500,10 @@ SELECT unnest(its) AS item, unnest(cts) AS cnt, shed FROM (SELECT * FROM r ORDER
     "heavy_directions_events": "SELECT event_type, round(share, 5) AS share FROM (SELECT event_type, sum(value * value) / sum(sum(value * value)) OVER () AS share FROM events GROUP BY event_type) t WHERE share >= 0.2",
     "pair_constants": "SELECT unnest(['zeta', 'zeta_at', 'first_square', 'second_square']) AS name, round(unnest([2 / sqrt(5) + sqrt(5) / 10 - 0.5, sqrt(0.5 - sqrt(5) / 10), (3 + sqrt(5)) / 2, (3 - sqrt(5)) / 2]), 6) AS v",
     "stream_tumbling_f2": "SELECT date_trunc('day', ts)::TIMESTAMP AS window_start, count(*) AS n_rows, round(sum(value * value), 2) AS f2 FROM events GROUP BY 1",
-    "stream_global_gram": f"SELECT t.i::INTEGER AS i, (SELECT count(*) FROM events) AS n_rows, round(coalesce(sum(value * value), 0) / (SELECT count(*) FROM events), 4) AS g FROM {_EVENTS} LEFT JOIN events USING (event_type) GROUP BY t.i",
+    "stream_global_gram": f"SELECT t.i::INTEGER AS i, (SELECT count(*) FROM events) AS n_rows, round(coalesce(sum(value * value), 0), 4) AS g FROM {_EVENTS} LEFT JOIN events USING (event_type) GROUP BY t.i",
     "stream_sliding_gram": f"""
 WITH d AS (SELECT date_trunc('day', ts)::TIMESTAMP AS day, event_type, value FROM events),
 w AS (SELECT day - to_days(k::INTEGER) AS window_start, event_type, value FROM d, (SELECT unnest(range(3)) AS k) s), n AS (SELECT window_start, count(*) AS n FROM w GROUP BY 1)
-SELECT n.window_start, t.i::INTEGER AS i, any_value(n.n) AS n_rows, round(coalesce(sum(value * value), 0) / any_value(n.n), 4) + 0.0 AS g FROM n CROSS JOIN {_EVENTS} LEFT JOIN w ON w.window_start = n.window_start AND w.event_type = t.event_type GROUP BY n.window_start, t.i""",
+SELECT n.window_start, t.i::INTEGER AS i, any_value(n.n) AS n_rows, round(coalesce(sum(value * value), 0), 4) + 0.0 AS g FROM n CROSS JOIN {_EVENTS} LEFT JOIN w ON w.window_start = n.window_start AND w.event_type = t.event_type GROUP BY n.window_start, t.i""",
     "stream_counters": "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY event_type",
 } | relational.ORACLES
