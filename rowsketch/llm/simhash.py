@@ -61,15 +61,20 @@ def fingerprint(text: bytes, shingle: int = SHINGLE, seed: int = SEED) -> int:
     return int.from_bytes(np.packbits(2 * counts > n).tobytes(), "big")
 
 
+def text_key(text: str = "text"):
+    """64 bits that stand for a whole text; null counts as empty."""
+    return F.xxhash64(text_bytes(text))
+
+
 def fingerprints(docs: DataFrame, *, shingle: int = SHINGLE, seed: int = SEED, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, fp): the fingerprint as a signed long with the same bits."""
+    """(doc_id, fp, text_key): the fingerprint as a signed long with the same bits, and the text's hash."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rb in batches:
             made = np.fromiter((fingerprint(t.as_buffer().to_pybytes(), shingle, seed) for t in rb.column(1)), np.uint64, rb.num_rows)
-            yield pa.RecordBatch.from_arrays([rb.column(0), pa.array(made.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([rb.column(0), pa.array(made.view(np.int64)), rb.column(2)], ["doc_id", "fp", "text_key"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text"), text_key(text).alias("text_key")).mapInArrow(run, "doc_id long, fp long, text_key long")
 
 
 def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int) -> np.ndarray:
@@ -228,36 +233,46 @@ def components(edges: DataFrame) -> DataFrame:
         before = state
 
 
-def near_duplicates(docs: DataFrame, *, bits: int = BITS, shingle: int = SHINGLE, seed: int = SEED, hot: int = HOT, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, fp, component_id): the least id that links of at most ``bits`` bits reach."""
+def _labelled(docs: DataFrame, *, bits: int = BITS, shingle: int = SHINGLE, seed: int = SEED, hot: int = HOT, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, fp, text_key, component_id), a row for each row of ``docs``."""
     rows = materialise(fingerprints(docs, shingle=shingle, seed=seed, doc_id=doc_id, text=text), "fingerprints")
     by_fp = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
     roots = components(links(by_fp.select("fp"), bits, hot)).withColumnRenamed("node", "fp")
     linked = by_fp.join(roots, "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     lowest = linked.groupBy("root").agg(F.min("least").alias("component_id"))
     of_fp = linked.join(lowest, "root").select("fp", "component_id")
-    return rows.join(of_fp, "fp").select("doc_id", "fp", "component_id")
+    return rows.join(of_fp, "fp").select("doc_id", "fp", "text_key", "component_id")
+
+
+def near_duplicates(docs: DataFrame, **options) -> DataFrame:
+    """(doc_id, fp, component_id): the least id that links of at most ``bits`` bits reach."""
+    return _labelled(docs, **options).select("doc_id", "fp", "component_id")
 
 
 def hex_fingerprint(fp="fp"):
     return F.lpad(F.lower(F.hex(F.col(fp))), 16, "0")
 
 
-def keep_first(docs: DataFrame, *, doc_id: str = "doc_id", **options) -> DataFrame:
+def _without(docs: DataFrame, rows: DataFrame, gone: DataFrame, doc_id: str, text: str) -> DataFrame:
+    """``docs`` without the (doc_id, text_key) of ``gone``, and once each (id, text) of ``rows`` that repeats."""
+    names = docs.columns
+    gone = gone.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_gone")).distinct()
+    keyed = docs.withColumn("_key", text_key(text))
+    kept = keyed.join(gone, (F.col(doc_id) == F.col("_id")) & (F.col("_key") == F.col("_gone")), "left_anti")
+    if not rows.where(F.col("doc_id").isNotNull()).groupBy("doc_id", "text_key").count().where("count > 1").limit(1).count():
+        return kept.select(*names)
+    numbered = kept.select("*", F.row_number().over(Window.partitionBy(doc_id, "_key").orderBy(F.lit(0))).alias("_copy"))
+    return numbered.where((F.col("_copy") == 1) | F.col(doc_id).isNull()).select(*names)
+
+
+def keep_first(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """One document of each group stays: the one with the least id, whole and unchanged.
 
     A row with a null id stays.  Rows that share id and text are one document;
-    rows that share an id but not the text are kept apart.
+    rows that share an id but not the text are judged apart.
     """
-    found = near_duplicates(docs, doc_id=doc_id, **options)
-    gone = found.groupBy("doc_id").agg(F.min("component_id").alias("_c")).where(F.col("_c") < F.col("doc_id")).select(F.col("doc_id").alias("_gone"))
-    kept = docs.join(gone, docs[doc_id] == gone["_gone"], "left_anti")
-    if not found.where(F.col("doc_id").isNotNull()).groupBy("doc_id").count().where("count > 1").limit(1).count():
-        return kept
-    names = kept.columns
-    same = Window.partitionBy(doc_id, F.xxhash64(text_bytes(options.get("text", "text")))).orderBy(F.lit(0))
-    numbered = kept.select("*", F.row_number().over(same).alias("_copy"))
-    return numbered.where((F.col("_copy") == 1) | F.col(doc_id).isNull()).select(*names)
+    found = _labelled(docs, doc_id=doc_id, text=text, **options)
+    return _without(docs, found, found.where(F.col("component_id") < F.col("doc_id")), doc_id, text)
 
 
 __all__ = ["components", "fingerprint", "fingerprints", "hex_fingerprint", "keep_first", "links", "near_duplicates", "trie_links"]

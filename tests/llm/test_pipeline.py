@@ -28,6 +28,23 @@ def test_stages(spark):
     assert {r["doc_id"] for r in packed.collect()} == set(times)
 
 
+def test_repeated_rows_stay_in_the_mix(spark):
+    """Line dedup empties the second copy of a row; the first copy must outlive that."""
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+
+    def single(table):
+        for _, stage in corpus_pipeline.STAGES[:3]:
+            table = materialise(stage(spark, table, sf), "stage")
+        return table.where("trim(text) <> ''")
+
+    plain = {r["doc_id"] for r in single(docs).collect()}
+    doubled = single(docs.unionByName(docs.where("doc_id % 2 = 0")))
+    assert {r["doc_id"] for r in doubled.collect()} == plain and any(i % 2 == 0 for i in plain)
+    taken = corpus_pipeline.pack(spark, corpus_pipeline.mix(spark, doubled, sf), sf)
+    assert {r["doc_id"] for r in taken.collect()} == {r["doc_id"] for r in corpus_pipeline.mix(spark, doubled, sf).collect()}
+
+
 def test_rest_works_without_the_operators(tmp_path):
     """The entry module imports without the subpackage and the pipeline."""
     root = os.path.dirname(os.path.abspath(corpus_pipeline.__file__))

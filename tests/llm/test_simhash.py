@@ -65,3 +65,8 @@ def test_keep_first(make, odd, none):
     assert simhash.keep_first(odd).columns == odd.columns
     assert simhash.keep_first(none).count() == 0 and simhash.near_duplicates(none).count() == 0
     assert simhash.near_duplicates(odd).count() == odd.count()
+
+
+def test_rows_of_one_id_are_judged_apart(make):
+    docs = make([(2, ""), (5, "unique text"), (5, "")])
+    assert sorted((r["doc_id"], r["text"]) for r in simhash.keep_first(docs).collect()) == [(2, ""), (5, "unique text")]
