@@ -34,6 +34,16 @@ SHINGLE = 3
 SEED = 42
 BITS = 3
 HOT = 100_000
+#: Words of a shingle, and the share of shingles in common, from which two texts of :func:`keep_similar` are one.
+SIMILAR_SHINGLE = 5
+SIMILARITY = 0.8
+#: Bits of a wide fingerprint in 64-bit words, of each key cut from it, and how many may differ in the first FILTER words.
+WIDE = 8
+KEY_BITS = 14
+FILTER = 2
+NEAR = 36
+#: Rows of a group from which its links are searched breadth first.
+LARGE = 512
 #: Shingles hashed before their bits are summed.
 STEP = 65_536
 #: Node pairs handled at once.
@@ -275,4 +285,186 @@ def keep_first(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", *
     return _without(docs, found, found.where(F.col("component_id") < F.col("doc_id")), doc_id, text)
 
 
-__all__ = ["components", "fingerprint", "fingerprints", "hex_fingerprint", "keep_first", "links", "near_duplicates", "trie_links"]
+def shingle_set(text: bytes, shingle: int = SIMILAR_SHINGLE, seed: int = SEED) -> np.ndarray:
+    """Sorted distinct XXH64 values of a text's word shingles; a shorter text is one shingle, an empty one none."""
+    import xxhash
+
+    words = text.lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    h = xxhash.xxh64_intdigest
+    shingles = set(map(b" ".join, zip(*[words[k:] for k in range(shingle)]))) if len(words) >= shingle else {b" ".join(words)}
+    return np.unique(np.fromiter((h(s, seed) for s in shingles), np.uint64, len(shingles)))
+
+
+def wide_fingerprint(values: np.ndarray) -> np.ndarray:
+    """Majority bits over a shingle set, WIDE words of 64 independent bits."""
+    out = np.zeros((WIDE, 8), np.uint8)
+    for w in range(WIDE):
+        counts = np.zeros(64, np.int64)
+        for at in range(0, len(values), STEP):
+            with np.errstate(over="ignore"):
+                x = values[at : at + STEP] + np.uint64(w) * np.uint64(0x9E3779B97F4A7C15)
+                for shift, mul in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+                    x = (x ^ (x >> np.uint64(shift))) * np.uint64(mul)
+                x ^= x >> np.uint64(31)
+            bits = np.unpackbits(x.view(np.uint8).reshape(-1, 8), axis=1)
+            for low in range(0, len(bits), 128):  # sums of bytes stay bytes
+                counts += bits[low : low + 128].sum(axis=0, dtype=np.uint8)
+        out[w] = np.packbits(2 * counts > len(values))
+    return out.reshape(-1).view(np.uint64)
+
+
+def _keys(wide: np.ndarray) -> np.ndarray:
+    """Each fingerprint's keys: its bits cut into runs of KEY_BITS, numbered by place."""
+    bits = np.unpackbits(np.ascontiguousarray(wide).view(np.uint8).reshape(len(wide), -1), axis=1)
+    places = bits.shape[1] // KEY_BITS
+    runs = bits[:, : places * KEY_BITS].reshape(len(wide), places, KEY_BITS)
+    return runs @ (1 << np.arange(KEY_BITS)) + (np.arange(places) << KEY_BITS)
+
+
+def _spread_out(start: int, found: np.ndarray, near) -> None:
+    """Labels in ``found`` (-1: not seen) every row reached from ``start``; ``near(i, rows)`` says which rows i links to."""
+    found[start] = start
+    queue = [start]
+    unseen = np.flatnonzero(found < 0)
+    while queue and len(unseen):
+        hit = near(queue.pop(), unseen)
+        found[unseen[hit]] = start
+        queue += unseen[hit].tolist()
+        unseen = unseen[~hit]
+
+
+def _filter_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Row pairs that join, inside each group [start, end), all rows within NEAR bits in the FILTER words."""
+    left, right = [], []
+    sizes = ends - starts
+    for m in np.unique(sizes[sizes <= LARGE]):
+        i, j = np.triu_indices(m, 1)
+        own = starts[sizes == m]
+        step = max(1, FRONTIER // len(i))
+        for at in range(0, len(own), step):
+            a = (own[at : at + step, None] + i).ravel()
+            b = (own[at : at + step, None] + j).ravel()
+            near = np.bitwise_count(fps[a] ^ fps[b]).sum(axis=1) <= NEAR
+            left.append(a[near])
+            right.append(b[near])
+    for start, end in zip(starts[sizes > LARGE], ends[sizes > LARGE]):
+        own = fps[start:end]
+        found = np.full(len(own), -1)
+        for k in range(len(own)):
+            if found[k] < 0:
+                _spread_out(k, found, lambda x, rows: np.bitwise_count(own[rows] ^ own[x]).sum(axis=1) <= NEAR)
+        left.append(start + np.flatnonzero(found != np.arange(len(own))))
+        right.append(start + found[found != np.arange(len(own))])
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *left]), np.concatenate([none, *right])
+
+
+def _wide_links(dealt: DataFrame) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = [[c.to_numpy() for c in rb.columns] for rb in batches if rb.num_rows]
+        if not parts:
+            return
+        key, node, *words = (np.concatenate(x) for x in zip(*parts))
+        order = np.argsort(key, kind="stable")
+        key, node, fps = key[order], node[order], np.stack(words, axis=1)[order].view(np.uint64)
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        last = np.concatenate([first[1:], [len(key)]])
+        many = last - first > 1
+        a, b = _filter_links(fps, first[many], last[many])
+        a, b = np.maximum(node[a], node[b]), np.minimum(node[a], node[b])
+        pairs = np.unique(np.stack([a, b], axis=1), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+    return dealt.repartition("key").mapInArrow(run, "a long, b long")
+
+
+def similar_labels(sets: list[np.ndarray], similarity: float = SIMILARITY) -> np.ndarray:
+    """Components (row numbers) of the links between sets whose Jaccard similarity is high enough; exact."""
+    size = np.array([len(s) for s in sets])
+    found = np.full(len(sets), -1)
+
+    def near(x: int, rows: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(rows), bool)
+        fit = np.flatnonzero((np.minimum(size[rows], size[x]) >= similarity * np.maximum(size[rows], size[x]) - 1e-9) & (size[rows] > 0))
+        for at in range(0, len(fit), 256):
+            some = fit[at : at + 256]
+            if size[x] == 0:
+                break
+            own = np.concatenate([sets[r] for r in rows[some]])
+            place = np.minimum(np.searchsorted(sets[x], own), size[x] - 1)
+            common = np.add.reduceat((sets[x][place] == own).astype(np.int64), np.concatenate([[0], np.cumsum(size[rows[some]])[:-1]]))
+            out[some] = common >= similarity * (size[rows[some]] + size[x] - common) - 1e-9
+        return out
+
+    for k in range(len(sets)):
+        if found[k] < 0:
+            _spread_out(k, found, near)
+    return found
+
+
+def _verified(members: DataFrame, shingle: int, similarity: float) -> DataFrame:
+    """(node, mark) of (root, node, text): nodes of one root share a mark where links of similar texts join them."""
+
+    def judge(nodes: list[int], sets: list[np.ndarray]) -> pa.RecordBatch:
+        label = similar_labels(sets, similarity)
+        return pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array([nodes[k] for k in label], pa.int64())], ["node", "mark"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, nodes, sets = None, [], []
+        for rb in batches:
+            for root, node, text in zip(rb.column(0).to_pylist(), rb.column(1).to_pylist(), rb.column(2)):
+                if root != now and nodes:
+                    yield judge(nodes, sets)
+                    nodes, sets = [], []
+                now = root
+                nodes.append(node)
+                sets.append(shingle_set(text.as_buffer().to_pybytes(), shingle))
+        if nodes:
+            yield judge(nodes, sets)
+
+    return members.repartition("root").sortWithinPartitions("root", "node").select("root", "node", "text").mapInArrow(run, "node long, mark long")
+
+
+def keep_similar(docs: DataFrame, *, shingle: int = SIMILAR_SHINGLE, similarity: float = SIMILARITY, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """One document of each group stays: groups are joined by pairs of texts with a Jaccard similarity of their word shingles of ``similarity`` or more.
+
+    Candidates agree on one of 36 keys of 14 bits of a SimHash of 512 bits and
+    differ in at most NEAR of its first 128; what they join is then verified
+    on the shingle sets themselves, so no text goes without a similar one.
+    Equal texts are one.  Null ids and repeated rows as in :func:`keep_first`.
+    """
+    names = [f"w{k}" for k in range(FILTER)]
+
+    def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rb in batches:
+            made = [wide_fingerprint(shingle_set(t.as_buffer().to_pybytes(), shingle)).tobytes() for t in rb.column(2)]
+            yield pa.RecordBatch.from_arrays([rb.column(0), rb.column(1), pa.array(made, pa.binary())], ["doc_id", "text_key", "fp"])
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rb in batches:
+            if not rb.num_rows:
+                continue
+            wide = np.frombuffer(b"".join(rb.column(1).to_pylist()), np.uint64).reshape(-1, WIDE)
+            keys = _keys(wide)
+            times = keys.shape[1]
+            words = [pa.array(np.repeat(wide[:, k].view(np.int64), times)) for k in range(FILTER)]
+            yield pa.RecordBatch.from_arrays([pa.array(keys.ravel().astype(np.int32)), pa.array(np.repeat(rb.column(0).to_numpy(), times)), *words], ["key", "node", *names])
+
+    rows = materialise(docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_key(text).alias("text_key"), text_bytes(text).alias("text")).mapInArrow(prints, "doc_id long, text_key long, fp binary"), "wide-fingerprints")
+    by_text = rows.groupBy(F.col("text_key").alias("node")).agg(F.min("doc_id").alias("least"))
+    dealt = rows.select("text_key", "fp").distinct().mapInArrow(deal, "key int, node long, " + ", ".join(f"{n} long" for n in names))
+    roots = materialise(components(_wide_links(dealt)), "near-texts")
+    texts = docs.select(text_key(text).alias("node"), text_bytes(text).alias("text"), F.col(doc_id).cast("long").alias("doc_id"))
+    # one row of each text is enough to verify: the first, or any where all ids are null
+    some = texts.join(roots, "node").join(by_text, "node").where("doc_id <=> least").select("root", "node", "text").dropDuplicates(["node"])
+    marks = materialise(_verified(some, shingle, similarity), "verified")
+    of_text = by_text.join(marks, "node", "left").select("node", "least", F.coalesce("mark", "node").alias("mark"))
+    chosen = of_text.where("least is not null").groupBy("mark").agg(F.min(F.struct("least", "node")).alias("c"))
+    stays = of_text.join(chosen, "mark").select(F.col("node").alias("text_key"), F.col("c.least").alias("_id"), F.col("c.node").alias("_node"))
+    gone = rows.select("doc_id", "text_key").where("doc_id is not null").join(stays, "text_key").where("doc_id <> _id or text_key <> _node")
+    return _without(docs, rows, gone, doc_id, text)
+
+
+__all__ = ["components", "fingerprint", "fingerprints", "hex_fingerprint", "keep_first", "keep_similar", "links", "near_duplicates", "shingle_set", "similar_labels", "trie_links", "wide_fingerprint"]

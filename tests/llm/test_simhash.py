@@ -70,3 +70,57 @@ def test_keep_first(make, odd, none):
 def test_rows_of_one_id_are_judged_apart(make):
     docs = make([(2, ""), (5, "unique text"), (5, "")])
     assert sorted((r["doc_id"], r["text"]) for r in simhash.keep_first(docs).collect()) == [(2, ""), (5, "unique text")]
+
+
+def five(text):
+    w = (text or "").encode().lower().split()
+    return {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+
+
+def kept_by_brute_force(docs):
+    """(id, text) of the least (id, text hash) of each component of equal and similar texts."""
+    texts = sorted({t or "" for _, t in docs}, key=lambda t: min((i for i, x in docs if (x or "") == t)))
+    sets = [five(t) for t in texts]
+    label = list(range(len(texts)))
+    while True:
+        new = [min(label[j] for j in range(len(texts)) if j == k or sets[k] and 5 * len(sets[k] & sets[j]) >= 4 * len(sets[k] | sets[j])) for k in range(len(texts))]
+        if new == label:
+            break
+        label = new
+    return sorted((min(i for i, x in docs if (x or "") == t), t) for k, t in enumerate(texts) if label[k] == k)
+
+
+def similar_docs(seed):
+    rng = np.random.default_rng(seed)
+    docs = []
+    for k in range(30):
+        w = list(rng.integers(0, 5000, 200).astype(str))
+        docs.append((k, " ".join(w)))
+        for copy in range(4):  # up to four words changed: similarity 0.82 and up; some of eight: below
+            v = list(w)
+            for at in rng.choice(200, (1, 2, 4, 8)[copy], replace=False):
+                v[at] = f"x{rng.integers(10**6)}"
+            docs.append((100 + 4 * k + copy, " ".join(v)))
+    return docs
+
+
+def test_keep_similar_matches_brute_force(make):
+    docs = similar_docs(7) + [(900, None), (901, ""), (902, "a b c"), (903, "A  b c"), (904, "a b d")]
+    got = sorted((r["doc_id"], r["text"] or "") for r in simhash.keep_similar(make(docs)).collect())
+    assert got == kept_by_brute_force(docs)
+    assert 900 in [i for i, _ in got] and 901 not in [i for i, _ in got] and 903 not in [i for i, _ in got]
+
+
+def test_keep_similar_odd_rows(make, odd, none):
+    docs = make([(2, ""), (5, "unique text"), (5, ""), (7, "unique text"), (None, "unique text"), (5, "unique text")])
+    assert sorted((str(r["doc_id"]), r["text"]) for r in simhash.keep_similar(docs).collect()) == [("2", ""), ("5", "unique text"), ("None", "unique text")]
+    assert simhash.keep_similar(odd).columns == odd.columns and simhash.keep_similar(none).count() == 0
+
+
+def test_large_groups_are_searched_whole():
+    fps = np.repeat(np.arange(3, dtype=np.uint64)[:, None] * np.uint64(0x5555555555555555), 2, axis=1)
+    fps = np.concatenate([fps[[k % 3]] ^ np.uint64(1 << k % 16) for k in range(simhash.LARGE + 90)])
+    a, b = simhash._filter_links(fps, np.array([0]), np.array([len(fps)]))
+    label = {k: k for k in range(len(fps))} | dict(zip(a.tolist(), b.tolist()))
+    near = lambda k: min(j for j in range(len(fps)) if int(np.bitwise_count(fps[j] ^ fps[k]).sum()) <= simhash.NEAR)
+    assert all(label[k] == near(k) for k in label)
