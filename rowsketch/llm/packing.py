@@ -163,13 +163,15 @@ def _encoder(path: str):
 def _learn(strings: set[str], batch, cache: dict[str, bytes]) -> None:
     """Encodes strings new to the cache, each distinct word among them once.
 
-    A run of letters and the full stop or comma after it are tokens apart, and
-    the tokenizer lower-cases, so "The," costs no more than "the" and ",".
+    A run of ASCII letters and the full stop or comma after it are tokens apart,
+    and the tokenizer lower-cases, so "The," costs no more than "the" and ",".
+    Other letters may become a letter and a combining mark, which joins the
+    stop; such strings are encoded whole.
     """
     parts: dict[str, tuple[str, str]] = {}
     wanted = set()
     for s in strings:
-        word, mark = (s[:-1], s[-1]) if s[-1] in ".," and s[:-1].isalpha() else (s, "")
+        word, mark = (s[:-1], s[-1]) if s[-1] in ".," and s[:-1].isascii() and s[:-1].isalpha() else (s, "")
         if word.isascii() and word.isalpha():
             word = word.lower()
         parts[s] = word, mark

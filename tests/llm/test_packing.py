@@ -73,6 +73,12 @@ def test_encoding_is_exact(text):
         assert list(struct.unpack(f"<{len(b) // 4}I", b)) == ids_of(t)[:-1]
 
 
+@pytest.mark.parametrize("text", ["BİLGİ.", "कक़.", "BİLGİ, कक़, Ünï. ΟΔΟΣ. the."])
+def test_combining_marks_join_the_stop(text):
+    (got,) = packing.encode([text], tokenizer_path())
+    assert list(struct.unpack(f"<{len(got) // 4}I", got)) == ids_of(text)[:-1]
+
+
 def test_best_fit_takes_the_tightest():
     fit = packing.BestFit(10)
     for size in (7, 6, 4, 3):
