@@ -166,6 +166,11 @@ def counter_small_stream(spark, sf_dir):
     return items.estimates(items.in_order(first, "user_id", ["event_id"], 16)).select("item", F.col("low").alias("cnt"), "shed")
 
 
+def counter_stream(spark, sf_dir):
+    """Counters of all events by user, from the mergeable summary."""
+    return items.estimates(items.summarise(load(spark, sf_dir, "events"), "user_id", 16)).select("item", "low", "high", "n", "shed")
+
+
 def frequent_words_verified(spark, sf_dir):
     words = view.tokens(load(spark, sf_dir, "documents"), "doc_id", "text")
     return items.frequent_items(words, "token", 0.01).select("item", "cnt")
@@ -409,7 +414,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         shrink_gram_exact_lineitem, shrink_gram_exact_events, shrink_gram_exact_custprio, shrink_grouped_events_day, shrink_grouped_flag, merge_cube_flag,
-        project_coords_cert, pca_num, counter_bounds_words, indicator_equals_counters, counter_small_stream, frequent_words_verified, exact_item_counts, exact_topk_items, tail_mass_by_k,
+        project_coords_cert, pca_num, counter_bounds_words, indicator_equals_counters, counter_small_stream, counter_stream, frequent_words_verified, exact_item_counts, exact_topk_items, tail_mass_by_k,
         gram_sql, gram_block, gram_top_2d, zero_cov_error_2d, zero_proj_error_2d, zero_sketch_rows, norm_sample_rows, norm_sample_probs, norm_sample_distinct, bucket_sign_sketch, dense_sign_sketch,
         sparsified_energy, leverage_topk, random_block_paths, matrix_stats, size_calculators, guarantee_curves, heavy_directions_events, choose_rank_num,
         error_report_emb, error_report_doc, error_report_syn, signal_dimension_report, noise_report, merge_report, scaling_report, latency_report, pair_constants,
