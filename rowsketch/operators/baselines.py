@@ -166,9 +166,11 @@ def finish(kind: str, body: np.ndarray, ell: int, d: int) -> np.ndarray:
     return body.reshape(ell, d)
 
 
-def accumulate(df: DataFrame, jobs: dict[str, tuple[str, int, int]], d: int, fan_in: int = 32) -> dict[str, np.ndarray]:
+def accumulate(df: DataFrame, jobs: dict[str, tuple[str, int, int]], d: int, fan_in: int = 32, dist: str = "sign") -> dict[str, np.ndarray]:
     """One scan for many jobs: tag -> (kind, ell, seed).  Returns each tag's rows (a Gram: d x d).
 
+    ``dist``: "sign" or "gaussian", what the dense method draws.
+
     Partial results of equal (tag, part) are combined ``fan_in`` tasks at a
     time, then together; what reaches the driver is one result a tag.
     """
@@ -176,7 +178,7 @@ def accumulate(df: DataFrame, jobs: dict[str, tuple[str, int, int]], d: int, fan
     schema = "tag string, part int, pid int, body binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        states = {t: ACCUMULATORS[k](ell, d, seed) for t, (k, ell, seed) in jobs.items()}
+        states = {t: ACCUMULATORS[k](ell, d, seed, **({"dist": dist} if k == "dense" else {})) for t, (k, ell, seed) in jobs.items()}
         seen = False
         for rb in batches:
             if rb.num_rows:

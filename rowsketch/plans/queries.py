@@ -298,31 +298,31 @@ def choose_rank_num(spark, sf_dir):
 
 
 def error_report_emb(spark, sf_dir):
-    return harness.medians(harness.error_report(_emb(spark, sf_dir), "embeddings", 64, 10, (12, 20, 40)))
+    return harness.medians(harness.error_report(_emb(spark, sf_dir), "embeddings", 64, 10, timing=True))
 
 
 def error_report_doc(spark, sf_dir):
-    return harness.medians(harness.error_report(view.doc(load(spark, sf_dir, "documents"), 312), "documents", 312, 100, (110, 150, 200), seeds=(1, 2, 3)))
+    return harness.medians(harness.error_report(view.doc(load(spark, sf_dir, "documents"), 312), "documents", 312, 100, (110, 150, 200), timing=True))
 
 
 def error_report_syn(spark, sf_dir):
-    return harness.medians(harness.error_report(harness.synthetic(spark, 4000, 200), "synthetic", 200, 10, (12, 20, 40)))
+    return harness.medians(harness.error_report(harness.synthetic(spark), "synthetic", 1000, 10, timing=True))
 
 
 def signal_dimension_report(spark, sf_dir):
-    return harness.medians(harness.signal_sweep(spark, (10, 20), (30, 60), n=2000, d=200))
+    return harness.medians(harness.signal_sweep(spark, timing=True))
 
 
 def noise_report(spark, sf_dir):
-    return harness.medians(harness.noise_sweep(spark, (5, 20), (20, 40), n=2000, d=200))
+    return harness.medians(harness.noise_sweep(spark, timing=True))
 
 
 def merge_report(spark, sf_dir):
-    return harness.merging(_emb(spark, sf_dir), 64, 20, (1, 8), (4,))
+    return harness.merging(_emb(spark, sf_dir), 64, 20)
 
 
 def scaling_report(spark, sf_dir):
-    return harness.scaling(spark, (2000, 4000), (100, 200), 50)
+    return harness.scaling(spark)
 
 
 def latency_report(spark, sf_dir):
