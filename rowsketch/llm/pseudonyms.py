@@ -8,7 +8,12 @@ domain, permuted there by a keyed Feistel network with cycle walking, and
 written back in the same format: a valid card number stays a valid card
 number, a date a date.  The permutation depends on the key and the format only,
 so equal values stay linked across documents, and it can be undone with the
-key.
+key.  Where a value ends is told by its own shape (the country's length of an
+IBAN, the groups of a card number), not by what stands beside it; what a match
+holds beyond the value is searched again.
+
+Dates are read with two-digit days and months and four-digit years; other
+spellings of dates, names and postal addresses are not looked for.
 
 Null texts stay null; empty texts stay empty; whole texts are read; equal rows
 get equal results; an empty table gives an empty result; other columns pass
@@ -107,11 +112,18 @@ class Pseudonyms:
         return whole + "." + labels[-1]
 
     def card(self, s: str) -> str | None:
+        """A valid number; ``None`` for one that is not."""
         d = re.sub(r"\D", "", s)
         if luhn_digit(d[:-1]) != d[-1]:
             return None
-        body = str(self._number(int(d[:-1]), 10 ** (len(d) - 1), f"card{len(d)}")).zfill(len(d) - 1)
-        new = iter(body + luhn_digit(body))
+        head = "".join(_GROUPS.findall(s)[:4]) if card_head(s) != len(s) else ""
+        body = d[:-1]
+        while True:  # a pseudonym whose leading groups are a card of their own would be read as that
+            body = str(self._number(int(body), 10 ** (len(d) - 1), f"card{len(d)}")).zfill(len(d) - 1)
+            new = body + luhn_digit(body)
+            if not head or luhn_digit(new[: len(head) - 1]) != new[len(head) - 1]:
+                break
+        new = iter(new)
         return "".join(next(new) if "0" <= c <= "9" else c for c in s)
 
     def number(self, s: str) -> str | None:
@@ -139,6 +151,28 @@ class Pseudonyms:
         new = iter(flat[:2] + f"{check:02d}" + body)
         return "".join(next(new) if c != " " else c for c in s)
 
+    def take(self, kind: str, s: str) -> tuple[str, str, int]:
+        """What is found at the beginning of a match: its kind ('' for none), what replaces it, and its length."""
+        rest = ""
+        if kind == "iban":
+            s = s[: iban_head(s)]
+        elif kind == "card":
+            head = card_head(s)
+            nineteen = tuple(map(len, _GROUPS.findall(s))) == (4, 4, 4, 4, 3)
+            if not nineteen or self.card(s[:head]) is not None:
+                s = s[:head]
+            elif self.card(s) is None:
+                s, rest = s[:head], s[head:]
+        new = getattr(self, kind)(s)
+        if new is None and kind == "card":
+            kind, new = "number", self.number(s)
+            while rest and self.card(new + rest) is not None:  # else it would be read as a longer card
+                new = self.number(new)
+        if new is not None:
+            return kind, new, len(s)
+        first = _FIRST.match(s).end()
+        return "", s[:first], first
+
     def phone(self, s: str) -> str | None:
         d = sum("0" <= c <= "9" for c in s)
         if not 7 <= d <= 15:
@@ -193,6 +227,42 @@ PATTERNS = {
     "card": r"(?<!\d)(?:\d[ -]?){12,18}\d(?!\d)",
     "phone": r"(?<![\w+])(?:\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]?\d{2,4}){1,4}|\(\d{3}\)[ .-]?\d{3}[ .-]?\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\d)",
 }
+#: Characters of an IBAN by country.
+IBAN_LENGTHS = {
+    "AD": 24, "AE": 23, "AL": 28, "AT": 20, "AZ": 28, "BA": 20, "BE": 16, "BG": 22, "BH": 22, "BR": 29, "BY": 28, "CH": 21, "CR": 22, "CY": 28, "CZ": 24, "DE": 22,
+    "DK": 18, "DO": 28, "EE": 20, "EG": 29, "ES": 24, "FI": 18, "FO": 18, "FR": 27, "GB": 22, "GE": 22, "GI": 23, "GL": 18, "GR": 27, "GT": 28, "HR": 21, "HU": 28,
+    "IE": 22, "IL": 23, "IQ": 23, "IS": 26, "IT": 27, "JO": 30, "KW": 30, "KZ": 20, "LB": 28, "LC": 32, "LI": 21, "LT": 20, "LU": 20, "LV": 21, "LY": 25, "MC": 27,
+    "MD": 24, "ME": 22, "MK": 19, "MR": 27, "MT": 31, "MU": 30, "NL": 18, "NO": 15, "PK": 24, "PL": 28, "PS": 29, "PT": 25, "QA": 29, "RO": 24, "RS": 22, "SA": 24,
+    "SC": 31, "SE": 24, "SI": 19, "SK": 24, "SM": 27, "ST": 25, "SV": 28, "TL": 23, "TN": 24, "TR": 26, "UA": 29, "VA": 22, "VG": 24, "XK": 20,
+}
+#: Digits of a card number's groups, as cards print them.
+CARD_GROUPS = ((4, 4, 4, 4), (4, 6, 5), (4, 6, 4))
+_GROUPS = re.compile(r"\d+")
+_FIRST = re.compile(r"[^ -]*[ -]?")
+
+
+def iban_head(s: str) -> int:
+    """Where the IBAN at the beginning of a match ends, by its country's length; the whole match for other countries."""
+    wanted, seen = IBAN_LENGTHS.get(s[:2], 0), 0
+    for k, c in enumerate(s):
+        seen += c != " "
+        if seen == wanted:
+            return k + 1 if k + 1 == len(s) or s[k + 1] == " " else len(s)
+    return len(s)
+
+
+def card_head(s: str) -> int:
+    """Where the card number at the beginning of a match ends, by its groups; the whole match for other layouts."""
+    groups = list(_GROUPS.finditer(s))
+    sizes = tuple(len(g.group()) for g in groups)
+    if sizes[0] >= 13:
+        return groups[0].end()
+    for layout in CARD_GROUPS:
+        if sizes[: len(layout)] == layout:
+            return groups[len(layout) - 1].end()
+    return len(s)
+
+
 _ANY = re.compile("|".join(f"(?P<{k}>{p})" for k, p in PATTERNS.items()))
 _HINT = re.compile(r"[0-9@]")
 
@@ -203,17 +273,15 @@ def replace(text: str, make: Pseudonyms) -> tuple[str, dict[str, int]]:
     if not _HINT.search(text):
         return text, found
 
-    def one(m: re.Match) -> str:
-        kind, s = m.lastgroup, m.group()
-        new = getattr(make, kind)(s)
-        if new is None and kind == "card":
-            kind, new = "number", make.number(s)
-        if new is None:
-            return s
-        found[kind] = found.get(kind, 0) + 1
-        return new
-
-    return _ANY.sub(one, text), found
+    out, at = [], 0
+    while m := _ANY.search(text, at):
+        kind, new, length = make.take(m.lastgroup, m.group())
+        out += (text[at : m.start()], new)
+        at = m.start() + length
+        if kind:
+            found[kind] = found.get(kind, 0) + 1
+    out.append(text[at:])
+    return "".join(out), found
 
 
 def pseudonymise(docs: DataFrame, *, key: bytes = EXAMPLE_KEY, undo: bool = False, text: str = "text") -> DataFrame:
@@ -239,4 +307,4 @@ def pseudonymise(docs: DataFrame, *, key: bytes = EXAMPLE_KEY, undo: bool = Fals
     return docs.select(*[docs[c] if c != text else docs[c].cast("string").alias(c) for c in names]).mapInArrow(run, schema)
 
 
-__all__ = ["EXAMPLE_KEY", "KINDS", "Pseudonyms", "luhn_digit", "permute", "pseudonymise", "replace"]
+__all__ = ["EXAMPLE_KEY", "IBAN_LENGTHS", "KINDS", "Pseudonyms", "luhn_digit", "permute", "pseudonymise", "replace"]

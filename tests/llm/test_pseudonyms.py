@@ -60,3 +60,73 @@ def test_all_planted_values_go(documents):
     for r in documents.collect():
         for value in re.findall(r"\S+@\S+\.com|(?<!\d)\d{16}(?!\d)|\+1 \(\d{3}\) \d{3}-\d{4}|\b[0-9a-f]{40}\b", r["text"]):
             assert value not in out
+
+
+def iban_of(country, body):
+    value = int("".join(str(int(c, 36)) for c in body + country + "00"))
+    return f"{country}{98 - value % 97:02d}{body}"
+
+
+def is_iban(s):
+    return int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1
+
+
+def is_card(s):
+    return P.luhn_digit(s[:-1]) == s[-1]
+
+
+AFTER = ["", " and go", " AND go", " WITH care", " IF SO", " 12/27", " 123", " cvc 999", ", OK", ".", " 4111 1111 1111 1111", " BE68 5390 0754 7034 x"]
+
+
+@pytest.mark.parametrize("after", AFTER)
+def test_ibans_beside_other_words(after):
+    import random
+
+    rng = random.Random(5)
+    make = P.Pseudonyms()
+    for country, length in P.IBAN_LENGTHS.items():
+        flat = iban_of(country, "".join(rng.choice("0123456789") for _ in range(length - 4)))
+        for s in (flat, " ".join(flat[k : k + 4] for k in range(0, length, 4))):
+            alone = P.replace(s, make)[0]
+            new, found = P.replace("pay " + s + after, make)
+            assert new.startswith("pay " + alone) and found["iban"] >= 1, (s, after, new)
+            assert alone != s and is_iban(alone.replace(" ", "")) and alone[:2] == country and len(alone) == len(s)
+            assert P.replace(new, P.Pseudonyms(undo=True))[0] == "pay " + s + after
+
+
+@pytest.mark.parametrize("after", AFTER)
+def test_cards_beside_other_numbers(after):
+    import random
+
+    rng = random.Random(6)
+    make = P.Pseudonyms()
+    for groups in ((16,), (15,), (13,), (4, 4, 4, 4), (4, 6, 5), (4, 6, 4)):
+        for gap in " -":
+            for _ in range(40):
+                body = "".join(rng.choice("0123456789") for _ in range(sum(groups) - 1))
+                d = body + P.luhn_digit(body)
+                at, parts = 0, []
+                for g in groups:
+                    parts.append(d[at : at + g])
+                    at += g
+                s = gap.join(parts)
+                alone = P.replace(s, make)[0]
+                new = P.replace("card " + s + after, make)[0]
+                assert new.startswith("card " + alone) and is_card(re.sub(r"\D", "", alone)), (s, after, new)
+                assert P.replace(new, P.Pseudonyms(undo=True))[0] == "card " + s + after
+
+
+def test_nineteen_digits_in_groups():
+    import random
+
+    rng = random.Random(7)
+    for _ in range(300):
+        d = "".join(rng.choice("0123456789") for _ in range(19))
+        s = f"{d[:4]} {d[4:8]} {d[8:12]} {d[12:16]} {d[16:]}"
+        new, found = P.replace(s, P.Pseudonyms())
+        assert sum(found.values()) == 1 and d[:16] != re.sub(r"\D", "", new)[:16]
+        assert P.replace(new, P.Pseudonyms(undo=True))[0] == s
+        if is_card(d[:16]):
+            assert is_card(re.sub(r"\D", "", new)[:16]) and new.endswith(d[16:])
+        elif is_card(d):
+            assert is_card(re.sub(r"\D", "", new))
