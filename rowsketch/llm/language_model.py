@@ -7,22 +7,31 @@ higher level n mixes, for a history h that training has seen,
     p_n(w | h) = (1 - L_n) * c(h w) / c(h) + L_n * p_(n-1)(w | h without its first word)
 
 with L_n the share of n-gram tokens that training saw once, the leave-one-out
-estimate of what a history leaves open.  As an automaton: a state is a seen
-history, an arc a seen n-gram with its full weight, and the failure arc of a
-state leads to the shorter history with weight log10 L_n.  A text is read once
-from left to right; at each token the machine follows failure arcs until it
-finds the word's arc, adds the weights it passes, and moves on.
+estimate of what a history leaves open.  As an automaton: a state is a
+seen history, an arc a seen n-gram with its full weight, and the failure arc of
+a state leads to the longest shorter history with weight log10 L_n.  A text is
+read once from left to right; at each token the machine follows failure arcs
+until it finds the word's arc, adds the weights it passes, and moves to the
+arc's end.  All texts of a block are read in step; a long one is cut into
+stretches, each of which reads the ``order - 1`` tokens before it first: a
+state remembers no more than these, so it starts where the stretch before ends.
 
 Scale.  Texts are read in blocks of bounded bytes.  A block sends the sorted
-hashes of its n-grams, each once with its count in training texts, to shards by
-hash range; a shard adds up and sends each block the totals of what it asked
-for, so a block holds only the part of the automaton that its texts can reach.
-Nothing is broadcast or pruned, no n-gram is dropped, and every table is as
-large as its share of the corpus.
+hashes of its n-grams, each once with its count in training texts, to nodes by
+hash range, and gets back the totals of what it asked for, so it holds only the
+part of the automaton that its texts can reach.  Ranges are cut FAN ways at a
+time: a node adds up what FAN blocks ask of one range and asks, in their place,
+the nodes of the next, finer ranges, until one node answers for all blocks.
+Every step sends a bounded number of messages a block, there are log(blocks)
+steps, and a node holds about as much as a block.  Nothing is broadcast or
+pruned, no n-gram is dropped, and every table is as large as its share of the
+corpus.
 
 Null and empty texts are the end token alone; a null id counts as the empty
 string where folds are dealt; repeated rows are scored (and, in training folds,
 counted) each; an empty table gives an empty result; other columns are not read.
+The texts are scanned twice; where a shuffle lies below them, they are written
+to the shared folder first, so that both scans see one order.
 """
 
 from __future__ import annotations
@@ -32,19 +41,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rowsketch.llm.common import fold_of, text_bytes
+from rowsketch.shared import materialise
 
 ORDER = 3
 FOLDS = 5
 HELD_OUT = 1
 #: Text bytes of a block; a longer text is a block of its own.
 BLOCK_BYTES = 8_000_000
-#: Input bytes (as Spark estimates them) that one shard of n-grams serves.
-SHARD_BYTES = 3_000_000
+#: Blocks whose questions a node adds up, and ranges it cuts its own into.
+FAN = 256
+#: Ranges of the last step for each block that is left.
+LAST_RANGES = 8 / 3
+#: Tokens that are read in one stretch.
+STRETCH = 256
 #: Bits of a hash: words are told apart by all 64; longer n-grams travel shorter
 #: (10 million million of them still collide in less than one case of a thousand).
 WORD_BITS = 64
@@ -64,19 +79,23 @@ def _joined(left: np.ndarray, right: np.ndarray) -> np.ndarray:
 
 
 def _pack(values: np.ndarray) -> bytes:
-    """Unsigned integers as compressed byte planes."""
+    """Unsigned integers as compressed byte planes, in as many bytes as the largest needs."""
     import zstandard
 
-    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), values.itemsize).T) if len(values) else np.empty(0, np.uint8)
-    return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
+    size = max(1, -(-int(values.max()).bit_length() // 8)) if len(values) else 0
+    planes = np.ascontiguousarray(values.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :size].T) if size else np.empty(0, np.uint8)
+    return bytes([size]) + zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
 
 
-def _unpack(data: bytes, kind) -> np.ndarray:
+def _unpack(data: bytes) -> np.ndarray:
     import zstandard
 
-    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8)
-    size = np.dtype(kind).itemsize
-    return np.ascontiguousarray(raw.reshape(size, -1).T).view(kind).reshape(-1) if len(raw) else np.empty(0, kind)
+    if not data[0]:
+        return np.empty(0, np.uint64)
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data[1:]), np.uint8).reshape(data[0], -1)
+    wide = np.zeros((planes.shape[1], 8), np.uint8)
+    wide[:, : data[0]] = planes.T
+    return wide.view("<u8").reshape(-1)
 
 
 class Block:
@@ -100,10 +119,11 @@ class Block:
         word_hash = np.fromiter((xxhash.xxh64_intdigest(w) for w in ids), np.uint64, len(ids))
         first = np.zeros(len(token), bool)
         first[self.starts] = True
-        #: For each order: hashes (sorted, distinct), token -> row among them (-1: the text has no such n-gram there), history row one order below.
+        #: For each order: hashes (sorted, distinct), token -> row among them (-1: the text has no such n-gram there), rows one order below of the n-gram without its last and without its first word.
         self.hashes: list[np.ndarray] = []
         self.at: list[np.ndarray] = []
         self.history: list[np.ndarray] = []
+        self.suffix: list[np.ndarray] = [np.empty(0, np.int64)]
         used = np.unique(token)
         by_hash = np.argsort(word_hash[used])
         rank = np.zeros(len(ids), np.int64)
@@ -135,6 +155,9 @@ class Block:
             self.hashes.append(h[by_hash])
             self.at.append(at)
             self.history.append((distinct // wide)[by_hash])
+            suffix = np.empty(len(h), np.int64)
+            suffix[at[valid]] = self.at[n - 2][valid]
+            self.suffix.append(suffix)
 
     def counts(self, train: np.ndarray) -> list[np.ndarray]:
         """Per order, occurrences of each row in the texts marked for training."""
@@ -142,55 +165,121 @@ class Block:
         return [np.bincount(at[mark & (at >= 0)], minlength=len(h)).astype(np.uint32) for at, h in zip(self.at, self.hashes)]
 
 
-def shard_ranges(hashes: np.ndarray, shards: int, bits: int) -> np.ndarray:
-    """Where each shard's hash range begins in a sorted array."""
-    edges = (np.arange(shards, dtype=np.float64) / shards * 2.0**bits).astype(np.uint64)
-    return np.concatenate([np.searchsorted(hashes, edges), [len(hashes)]])
+def fan_outs(members: int, fan: int = FAN) -> list[int]:
+    """Into how many ranges each step cuts, so that ``members`` blocks are one after the last."""
+    out = []
+    while members > fan:
+        out.append(fan)
+        members = -(-members // fan)
+    return [*out, max(8, math.ceil(LAST_RANGES * members))]
 
 
-def total_up(asked: list[tuple[np.ndarray, np.ndarray]]) -> tuple[list[np.ndarray], tuple[int, int, int]]:
-    """Adds up (hashes, counts) of several blocks: each block's totals, and (tokens, types, types seen once)."""
+def range_cuts(hashes: np.ndarray, path: int, parts: int, ranges: int, bits: int) -> np.ndarray:
+    """Where the ``parts`` ranges below range ``path`` begin in its sorted hashes; ``ranges`` there are in all."""
+    edges = ((path * parts + np.arange(parts, dtype=np.float64)) / ranges * 2.0**bits).astype(np.uint64)
+    cuts = np.searchsorted(hashes, edges)
+    cuts[0] = 0
+    return np.append(cuts, len(hashes))
+
+
+def merged(asked: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """(hashes, counts) of several askers as one: distinct hashes, their sums, and where each asker's hashes are among them."""
     hashes = np.concatenate([h for h, _ in asked])
-    counts = np.concatenate([c for _, c in asked]).astype(np.int64)
+    counts = np.concatenate([c for _, c in asked])
     order = np.argsort(hashes, kind="stable")
     ordered = hashes[order]
     first = np.flatnonzero(np.concatenate([[True], ordered[1:] != ordered[:-1]])) if len(ordered) else np.empty(0, np.int64)
-    sums = np.add.reduceat(counts[order], first) if len(first) else np.empty(0, np.int64)
+    sums = np.add.reduceat(counts[order], first) if len(first) else np.empty(0, np.uint64)
     back = np.empty(len(hashes), np.int64)
-    back[order] = np.repeat(sums, np.diff(np.concatenate([first, [len(hashes)]])))
-    out = np.split(back, np.cumsum([len(h) for h, _ in asked])[:-1])
-    return out, (int(sums.sum()), int((sums > 0).sum()), int((sums == 1).sum()))
+    back[order] = np.repeat(np.arange(len(first)), np.diff(np.concatenate([first, [len(hashes)]])))
+    return ordered[first], sums, np.split(back, np.cumsum([len(h) for h, _ in asked])[:-1])
 
 
 class Automaton:
-    """States and arcs that one block's texts can reach, with weights from the whole corpus."""
+    """States and arcs that one block's texts can reach, with weights from the whole corpus.
+
+    State 0 has no history; then come the block's words and the begin mark as
+    histories of one word, its bigrams as those of two, and so on, each level
+    numbered as the block numbers its n-grams.  An arc is an n-gram that
+    training has seen: the state of its history, its last word, a weight, and
+    the state it leads to.  The block numbers the n-gram that a state's history
+    and a token make, so an arc is found by its number.
+    """
 
     def __init__(self, block: Block, totals: list[np.ndarray], stats: np.ndarray, trained_texts: int):
         # stats: per order (tokens, types, types seen once) over all training texts
         tokens, types, _ = stats[0]
-        self.block = block
+        self.block, self.order = block, len(totals)
         self.tokens, self.types = int(tokens), int(types)
         self.known = totals[0] > 0
         self.base = np.log10((totals[0] + 0.5) / (tokens + 0.5 * (types + 1)))
-        self.arc: list[np.ndarray] = []  # (1 - L_n) * c(h w) / c(h); 0 where there is no arc
-        self.open: list[np.ndarray] = []  # L_n at a state, 1 at a history that training has not seen
-        for n in range(2, len(totals) + 1):
-            seen_once = stats[n - 1][2]
-            share = min(max(seen_once / max(stats[n - 1][0], 1), 1e-6), 1.0)
-            below = np.concatenate([totals[n - 2], [trained_texts]]) if n == 2 else totals[n - 2]
-            state = below[block.history[n - 1]].astype(np.float64)
-            with np.errstate(divide="ignore", invalid="ignore"):
-                self.arc.append(np.where(state > 0, (1 - share) * totals[n - 1] / state, 0.0))
-            self.open.append(np.where(state > 0, share, 1.0))
-
-    def read(self) -> np.ndarray:
-        """log10 probability of each token, left to right through all texts."""
-        p = np.power(10.0, self.base)[self.block.at[0]]
-        for n, (arc, left) in enumerate(zip(self.arc, self.open), start=2):
-            at = self.block.at[n - 1]
-            has = at >= 0
-            p = np.where(has, arc[at] + left[at] * p, p) if len(arc) else p
-        return np.log10(p)
+        words = len(totals[0])
+        #: First state of each level, by the length of its histories.
+        self.first = np.cumsum([0, 1, words + 1, *[len(t) for t in totals[1:]]])[: self.order + 1]
+        states = int(self.first[-1]) if self.order > 1 else 1
+        self.begin = int(self.first[1]) + words if self.order > 1 and trained_texts else 0
+        self.fail = np.zeros(states, np.int64)
+        self.fail_weight = np.zeros(states)
+        #: For each order, the weight of an n-gram's arc (nan: there is none), and the state that it leads to.
+        self.weight: list[np.ndarray] = [self.base]
+        self.to: list[np.ndarray] = [np.where(self.known, 1 + np.arange(words), 0) if self.order > 1 else np.zeros(words, np.int64)]
+        below = np.append(totals[0], trained_texts)
+        p = np.power(10.0, self.base)
+        for n in range(2, self.order + 1):
+            share = min(max(stats[n - 1][2] / max(stats[n - 1][0], 1), 1e-6), 1.0)
+            level = self.first[n - 1]
+            self.fail_weight[level : level + len(below)] = math.log10(share)
+            if n > 2:
+                self.fail[level : level + len(below)] = self.first[n - 2] + block.suffix[n - 2]
+            has = totals[n - 1] > 0
+            history = np.where(has, below[block.history[n - 1]], 1)
+            lower = p[block.suffix[n - 1]]
+            p = np.where(has, (1 - share) * totals[n - 1] / history + share * lower, lower)
+            self.weight.append(np.where(has, np.log10(p), np.nan))
+            shorter = self.to[n - 2][block.suffix[n - 1]]
+            self.to.append(np.where(has, self.first[n] + np.arange(len(has)), shorter) if n < self.order else shorter)
+            below = totals[n - 1]
+
+    def read(self, stretch: int = STRETCH) -> np.ndarray:
+        """log10 probability of each token, from left to right; all stretches of all texts move in step."""
+        block = self.block
+        warm = self.order - 1
+        ends = block.starts + block.lengths
+        pieces = -(-block.lengths // stretch)
+        text = np.repeat(np.arange(len(ends)), pieces)
+        nth = np.arange(len(text)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+        start = block.starts[text] + nth * stretch
+        end = np.minimum(start + stretch, ends[text])
+        at = np.where(nth > 0, np.maximum(start - warm, block.starts[text]), start)
+        state = np.where(at == block.starts[text], self.begin, 0)
+        out = np.zeros(len(block.at[0]))
+        live = np.arange(len(text))
+        while len(live):
+            token = at[live]
+            now, total = state[live], np.zeros(len(live))
+            level = np.searchsorted(self.first, now, "right") - 1
+            open_ = np.arange(len(live))
+            for n in range(self.order, 0, -1):  # who is at a state of n - 1 words takes its arc or fails
+                here = open_[level[open_] == n - 1]
+                if not len(here):
+                    continue
+                arc = block.at[n - 1][token[here]]
+                weight = np.where(arc >= 0, self.weight[n - 1][arc], np.nan)
+                found = ~np.isnan(weight)
+                took = here[found]
+                total[took] += weight[found]
+                now[took] = self.to[n - 1][arc[found]]
+                level[took] = -1
+                lost = here[~found]
+                total[lost] += self.fail_weight[now[lost]]
+                now[lost] = self.fail[now[lost]]
+                level[lost] -= 1
+            counts = token >= start[live]
+            out[token[counts]] = total[counts]
+            state[live] = now
+            at[live] += 1
+            live = live[at[live] < end[live]]
+        return out
 
 
 def _blocks(batches: Iterator[pa.RecordBatch], block_bytes: int) -> Iterator[tuple[bytes, list]]:
@@ -221,52 +310,135 @@ def _blocks(batches: Iterator[pa.RecordBatch], block_bytes: int) -> Iterator[tup
         yield close()
 
 
-def score(docs: DataFrame, *, order: int = ORDER, folds: int = FOLDS, held_out: int = HELD_OUT, block_bytes: int = BLOCK_BYTES, shards: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+QUESTION = "node binary, path long, src binary, n int, hashes binary, counts binary, texts long"
+ANSWER = "node binary, path long, n int, totals binary, tokens long, types long, once long, texts long"
+#: What a node keeps (kind 0: where an asker's hashes are among its own) and asks on (kind 1).
+KEPT = "kind int, " + QUESTION
+_QUESTION = (pa.binary(), pa.int64(), pa.binary(), pa.int32(), pa.binary(), pa.binary(), pa.int64())
+_ANSWER = (pa.binary(), pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
+
+
+def _names(schema: str) -> list[str]:
+    return [c.split()[0] for c in schema.split(", ")]
+
+
+def _node(path: int, group: int) -> bytes:
+    return path.to_bytes(8, "big") + group.to_bytes(8, "big")
+
+
+def _bits(n: int) -> int:
+    return GRAM_BITS if n else WORD_BITS
+
+
+def _questions(src: bytes, path: int, group: int, parts: int, ranges: int, hashes: list[np.ndarray], counts: list[np.ndarray], texts: int) -> Iterator[tuple]:
+    """Rows of QUESTION from one asker of a range: a row for each order and finer range."""
+    for n, (h, c) in enumerate(zip(hashes, counts)):
+        cuts = range_cuts(h, path, parts, ranges, _bits(n))
+        for s in range(parts):
+            own = h[cuts[s] : cuts[s + 1]]
+            yield _node(path * parts + s, group), path * parts + s, src, n, _pack(np.diff(own, prepend=np.uint64(0))), _pack(c[cuts[s] : cuts[s + 1]]), texts if n == 0 and s == 0 else 0
+
+
+def _asked(table: pa.Table, n: int) -> tuple[list[bytes], list[tuple[np.ndarray, np.ndarray]]]:
+    """The askers of order ``n``, in their order, with what they ask."""
+    orders, src = np.array(table.column("n")), table.column("src").to_pylist()
+    mine = sorted(np.flatnonzero(orders == n).tolist(), key=lambda k: src[k])
+    hs, cs = table.column("hashes"), table.column("counts")
+    return [src[k] for k in mine], [(np.cumsum(_unpack(hs[k].as_py()), dtype=np.uint64), _unpack(cs[k].as_py())) for k in mine]
+
+
+def _block_key(key: bytes, members: int) -> int:
+    return int.from_bytes(key[:8], "big") % members
+
+
+def exchange(blocks: DataFrame, order: int, fans: list[int], fan: int, asks) -> tuple[list[DataFrame], DataFrame]:
+    """The questions of each step, and the answers (ANSWER) to the blocks.
+
+    ``asks`` turns batches of ``blocks`` into rows of QUESTION.
+    """
+    ranges = [math.prod(fans[: k + 1]) for k in range(len(fans))]
+    questions = blocks.mapInArrow(asks, QUESTION)
+    steps, kept = [questions], []
+
+    def gather(step: int):
+        def run(table: pa.Table) -> pa.Table:
+            path, node = table.column("path")[0].as_py(), table.column("node")[0].as_py()
+            group = int.from_bytes(node[8:], "big") // fan if step + 2 < len(fans) else 0
+            rows, hashes, counts = [], [], []
+            for n in range(order):
+                askers, asked = _asked(table, n)
+                h, c, back = merged(asked)
+                hashes.append(h)
+                counts.append(c)
+                rows += [(0, node, path, src, n, _pack(np.diff(b, prepend=0)), b"", 0) for src, b in zip(askers, back)]
+            texts = sum(table.column("texts").to_pylist())
+            rows += [(1, *q) for q in _questions(node, path, group, fans[step + 1], ranges[step + 1], hashes, counts, texts)]
+            return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), (pa.int32(), *_QUESTION))], names=_names(KEPT))
+
+        return run
+
+    for step in range(len(fans) - 1):
+        both = materialise(questions.groupBy("node").applyInArrow(gather(step), KEPT), "gathered")
+        kept.append(both.where("kind = 0").drop("kind"))
+        questions = both.where("kind = 1").drop("kind")
+        steps.append(questions)
+
+    def answer(table: pa.Table) -> pa.Table:
+        path = table.column("path")[0].as_py()
+        texts = sum(table.column("texts").to_pylist())
+        rows = []
+        for n in range(order):
+            askers, asked = _asked(table, n)
+            _, sums, back = merged(asked)
+            found = (int(sums.sum()), int((sums > 0).sum()), int((sums == 1).sum()), texts)
+            rows += [(src, path, n, _pack(sums[b]), *found) for src, b in zip(askers, back)]
+        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), _ANSWER)], names=_names(ANSWER))
+
+    def hand_back(own: pa.Table, got: pa.Table) -> pa.Table:
+        rows = []
+        path = own.column("path")[0].as_py()
+        for n in range(order):
+            totals, found = joined(got, n)
+            orders, src, back = np.array(own.column("n")), own.column("src"), own.column("hashes")
+            rows += [(src[int(k)].as_py(), path, n, _pack(totals[np.cumsum(_unpack(back[int(k)].as_py())).astype(np.int64)]), *found) for k in np.flatnonzero(orders == n)]
+        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows), _ANSWER)], names=_names(ANSWER))
+
+    answers = questions.groupBy("node").applyInArrow(answer, ANSWER)
+    for own in reversed(kept):
+        answers = own.groupBy("node").cogroup(answers.groupBy("node")).applyInArrow(hand_back, ANSWER)
+    return steps, answers
+
+
+def joined(answers: pa.Table, n: int) -> tuple[np.ndarray, tuple[int, int, int, int]]:
+    """What the finer ranges answer for order ``n``, side by side: totals, and (tokens, types, seen once, trained texts)."""
+    mine = answers.filter(pc.equal(answers.column("n"), n)).sort_by("path")
+    totals = [_unpack(b) for b in mine.column("totals").to_pylist()]
+    found = tuple(sum(mine.column(c).to_pylist()) for c in ("tokens", "types", "once", "texts"))
+    return np.concatenate(totals) if totals else np.empty(0, np.uint64), found
+
+
+def score(docs: DataFrame, *, order: int = ORDER, folds: int = FOLDS, held_out: int = HELD_OUT, block_bytes: int = BLOCK_BYTES, fan: int = FAN, shards: int | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score.
 
     The model learns from the texts outside fold ``held_out`` of ``folds``.
-    Both passes over ``docs`` must see its rows in one order, as any scan of
-    files gives; a block that came out differently is told by its key and
-    raises an error.
+    ``shards`` sets the ranges of the last step.
     """
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), (fold_of(F.col(doc_id), folds) == held_out).alias("held_out"), text_bytes(text).alias("text"))
-    if shards is None:
-        estimate = int(str(docs.select(text)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-        shards = max(8, min(1_000_000, estimate // SHARD_BYTES))
+    if "Exchange" in rows._jdf.queryExecution().executedPlan().toString():
+        rows = materialise(rows, "texts")
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    members = max(1, -(-size // block_bytes))
+    fans = fan_outs(members, fan)
+    if shards:
+        fans[-1] = shards
 
     def ask(batches):
         for key, held in _blocks(batches, block_bytes):
             block = Block([t for _, _, t in held], order)
             train = np.array([not out for _, out, _ in held], bool)
-            counts = block.counts(train)
-            cuts = [shard_ranges(h, shards, GRAM_BITS if n else WORD_BITS) for n, h in enumerate(block.hashes)]
-            keys, ids, orders, hs, cs, texts = [], [], [], [], [], []
-            for n in range(order):
-                h, c, cut = block.hashes[n], counts[n], cuts[n]
-                step = np.diff(h, prepend=np.uint64(0))
-                step[cut[:-1][cut[:-1] < len(h)]] = h[cut[:-1][cut[:-1] < len(h)]]
-                for s in range(shards):
-                    lo, hi = cut[s], cut[s + 1]
-                    keys.append(key)
-                    ids.append(s)
-                    orders.append(n)
-                    hs.append(_pack(step[lo:hi]))
-                    cs.append(_pack(c[lo:hi]))
-                    texts.append(int(train.sum()) if n == 0 and s == 0 else 0)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.array(keys, pa.binary()), pa.array(orders, pa.int32()), pa.array(hs, pa.binary()), pa.array(cs, pa.binary()), pa.array(texts, pa.int64())], ["shard", "block", "n", "hashes", "counts", "texts"])
-
-    def answer(table: pa.Table) -> pa.Table:
-        s = table.column("shard")[0].as_py()
-        blocks, orders = table.column("block").to_pylist(), np.array(table.column("n"))
-        hs, cs = table.column("hashes").combine_chunks(), table.column("counts").combine_chunks()
-        trained = sum(table.column("texts").to_pylist())
-        out = []
-        for n in range(order):
-            mine = np.flatnonzero(orders == n)
-            asked = [(np.cumsum(_unpack(hs[int(k)].as_py(), np.uint64), dtype=np.uint64), _unpack(cs[int(k)].as_py(), np.uint32)) for k in mine]
-            totals, (tokens, types, once) = total_up(asked)
-            out += [(blocks[k], s, n, _pack(t.astype(np.uint64) if tokens >= 2**32 else t.astype(np.uint32)), 8 if tokens >= 2**32 else 4, tokens, types, once, trained) for k, t in zip(mine, totals)]
-        return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(zip(*out), (pa.binary(), pa.int32(), pa.int32(), pa.binary(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64()))], names=["block", "shard", "n", "totals", "width", "tokens", "types", "once", "texts"])
+            group = _block_key(key, members) // fan if len(fans) > 1 else 0
+            found = list(_questions(key, 0, group, fans[0], fans[0], block.hashes, block.counts(train), int(train.sum())))
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(zip(*found), _QUESTION)], _names(QUESTION))
 
     def carry(batches):
         import zstandard
@@ -275,7 +447,7 @@ def score(docs: DataFrame, *, order: int = ORDER, folds: int = FOLDS, held_out:
             body = zstandard.ZstdCompressor(level=3).compress(b"".join(t for _, _, t in held))
             yield pa.RecordBatch.from_arrays(
                 [pa.array([key], pa.binary()), pa.array([[i for i, _, _ in held]], pa.list_(pa.int64())), pa.array([[o for _, o, _ in held]], pa.list_(pa.bool_())), pa.array([[len(t) for _, _, t in held]], pa.list_(pa.int64())), pa.array([body], pa.binary())],
-                ["block", "ids", "outs", "sizes", "body"],
+                ["node", "ids", "outs", "sizes", "body"],
             )
 
     def finish(texts: pa.Table, answers: pa.Table) -> pa.Table:
@@ -283,32 +455,22 @@ def score(docs: DataFrame, *, order: int = ORDER, folds: int = FOLDS, held_out:
 
         names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"]
         kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())
-        if texts.num_rows != 1 or answers.num_rows != order * shards:
-            raise ValueError("a block of texts and its n-gram counts do not match: the input's rows changed their order between two passes; materialise it first")
+        if texts.num_rows != 1 or answers.num_rows != order * fans[0]:
+            raise ValueError("a block of texts and its n-gram counts do not match: the input's rows changed between two scans; materialise it first")
         sizes = np.array(texts.column("sizes")[0].as_py(), np.int64)
         ends = np.cumsum(sizes)
         body = zstandard.ZstdDecompressor().decompress(texts.column("body")[0].as_py(), max_output_size=max(1, int(ends[-1])))
         block = Block([body[e - n : e] for e, n in zip(ends, sizes)], order)
         del body
-        got = sorted(zip(answers.column("n").to_pylist(), answers.column("shard").to_pylist(), range(answers.num_rows)))
-        column = answers.column("totals").combine_chunks()
-        widths = answers.column("width").to_pylist()
-        totals = [np.concatenate([_unpack(column[k].as_py(), np.uint32 if widths[k] == 4 else np.uint64).astype(np.int64) for n, _, k in got if n == level]) for level in range(order)]
+        totals, found = zip(*[joined(answers, n) for n in range(order)])
         if any(len(t) != len(h) for t, h in zip(totals, block.hashes)):
             raise ValueError("a block's n-gram counts do not match its texts")
-        level = np.array(answers.column("n"))
-        stats = np.array([[int(np.array(answers.column(c))[level == n].sum()) for c in ("tokens", "types", "once")] for n in range(order)])
-        machine = Automaton(block, totals, stats, int(np.array(answers.column("texts"))[level == 0].sum()))
+        machine = Automaton(block, [t.astype(np.int64) for t in totals], np.array([f[:3] for f in found]), found[0][3])
         token = block.at[0]
         add = lambda x: np.add.reduceat(x, block.starts)
         made = (texts.column("ids")[0].as_py(), texts.column("outs")[0].as_py(), block.lengths, add(machine.known[token].astype(np.int64)), np.full(len(sizes), machine.tokens), add(machine.base[token]), add(machine.read()))
         return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(made, kinds)], names=names)
 
-    questions = rows.mapInArrow(ask, "shard int, block binary, n int, hashes binary, counts binary, texts long")
-    answers = questions.groupBy("shard").applyInArrow(answer, "block binary, shard int, n int, totals binary, width int, tokens long, types long, once long, texts long")
-    bodies = rows.mapInArrow(carry, "block binary, ids array<long>, outs array<boolean>, sizes array<long>, body binary")
-    return bodies.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(finish, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
-
-
-def log10_add_half(count: int, tokens: int, types: int) -> float:
-    return math.log10((count + 0.5) / (tokens + 0.5 * (types + 1)))
+    _, answers = exchange(rows, order, fans, fan, ask)
+    bodies = rows.mapInArrow(carry, "node binary, ids array<long>, outs array<boolean>, sizes array<long>, body binary")
+    return bodies.groupBy("node").cogroup(answers.groupBy("node")).applyInArrow(finish, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
