@@ -104,6 +104,8 @@ class Curves:
         d = sample.shape[1]
         dims = min(dims, d, 63 // bits)
         self.bits, self.ranges = bits, ranges
+        #: Low bits of a key that its place in a block does without.
+        self.cut = max(0, dims * bits - 32)
         self.turn = np.stack([np.linalg.qr(rng.standard_normal((d, d)))[0][:, :dims] for _ in range(curves)])
         self.shift = rng.random((curves, dims)) * 0.5
         self.low = np.empty((curves, dims))
@@ -134,8 +136,9 @@ def window_of(n: int) -> int:
 
 def codes(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """A byte a component and the step that a byte stands for, row by row."""
-    step = np.abs(x).max(axis=1) / 127
-    return np.rint(x / step[:, None]).astype(np.int8), step
+    step = (np.abs(x).max(axis=1) / 127).astype(np.float32)
+    step = np.where(step > 0, step, np.finfo(np.float32).tiny)
+    return np.clip(np.rint(x / step[:, None].astype(np.float64)), -127, 127).astype(np.int8), step
 
 
 def slack_of(step: np.ndarray, length: np.ndarray | float, d: int) -> np.ndarray:
@@ -214,12 +217,13 @@ def candidates(points: DataFrame, asking: DataFrame, *, k: int = K, curves: int
 
             def put(c: int, r: int, b: int, kind: int, at: np.ndarray) -> None:
                 body = whole[at].tobytes() if kind else code[at].tobytes()
-                out.append((c, r, b, kind, keys[at].tobytes(), reps[at].tobytes(), step[at].tobytes(), body))
+                out.append((c, r, b, kind, short[at].tobytes(), reps[at].tobytes(), step[at].tobytes(), body))
 
             spread = (reps.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(32)
             for c in range(curves):
                 keys = make.keys(x, c)
                 part = make.parts_of(keys, c)
+                short = (keys >> make.cut).astype(np.uint32)
                 where = part // PARTS
                 sub = (spread % blocks[c, where].astype(np.uint64)).astype(np.int64)
                 order = np.lexsort((sub, where))
@@ -244,10 +248,10 @@ def candidates(points: DataFrame, asking: DataFrame, *, k: int = K, curves: int
         if not len(who) or not len(reps):
             return pa.Table.from_arrays([pa.array([], t) for t in types], names=names)
         half = -(-window // (2 * int(blocks[table.column("curve")[0].as_py(), table.column("range")[0].as_py()])))
-        keys, asked = join("keys", np.int64, 0), join("keys", np.int64, 1)
+        keys, asked = join("keys", np.uint32, 0), join("keys", np.uint32, 1)
         order, line = np.lexsort((reps, keys)), np.lexsort((who, asked))
         reps, who = reps[order], who[line]
-        step = join("step", np.float64, 0)[order]
+        step = join("step", np.float32, 0)[order].astype(np.float64)
         x = join("body", np.int8, 0).reshape(len(reps), -1)[order].astype(np.float32)
         y = join("body", np.float32, 1).reshape(len(who), -1)[line]
         length = np.sqrt((y.astype(np.float64) ** 2).sum(axis=1))
@@ -263,12 +267,12 @@ def candidates(points: DataFrame, asking: DataFrame, *, k: int = K, curves: int
             sure = np.partition(s - off, hi - lo - top, axis=1)[:, hi - lo - top]
             for i in range(len(s)):
                 near = np.flatnonzero(s[i] + off[i] >= sure[i])
-                found.append((int(who[at + i]), reps[lo + near].tobytes(), s[i, near].tobytes(), off[i, near].tobytes(), hi - lo))
+                found.append((int(who[at + i]), reps[lo + near].tobytes(), s[i, near].astype(np.float32).tobytes(), off[i, near].astype(np.float32).tobytes(), hi - lo))
         return pa.Table.from_arrays([pa.array(col, t) for col, t in zip(zip(*found), types)], names=names)
 
     def merge(table: pa.Table) -> pa.Table:
         join = lambda name, t: np.concatenate([np.frombuffer(b, t) for b in table.column(name).to_pylist()])
-        near, score, off = join("near", np.int64), join("score", np.float64), join("slack", np.float64)
+        near, score, off = join("near", np.int64), join("score", np.float32).astype(np.float64), join("slack", np.float32).astype(np.float64)
         near, once = np.unique(near, return_index=True)
         score, off = score[once], off[once]
         top = min(k + 1, len(near))

@@ -2,25 +2,28 @@
 
 Two Kneser-Ney models, one of toxic and one of ordinary texts, give each word a
 log-likelihood letter by letter: an expression is a run of letters inside a
-word, from its beginning mark to its end mark.  Long runs are counted by class;
-below ``shared`` letters the classes share their backoff, continuation counts
-over both, so a rare expression that neither class knows well weighs almost
-nothing.  (Words alone do not do: a class may mark its words by how they begin,
-in spellings that training never saw whole.)
-
-A word's evidence is its toxic less its ordinary log-likelihood, as far as it
-exceeds ``margin``; a text's is their sum over its length.  A logistic curve,
-fitted on labelled texts that the counts have not seen, turns it into a score
-at which ``threshold`` is the best cut.
-
-Fitting reads at most ``sample_texts`` labelled texts of each class, those with
-the least hash of their id, each text whole; the bound is a parameter.  Scoring
-covers every whole text.  Labels, language, source and id are never inputs of a
-score.
+word, from its beginning mark to its end mark.  The longest runs are counted
+as they occur; every shorter one by the number of different letters that come
+before it (a run at the beginning of a word has none, and counts as it occurs).
+From ``shared`` letters down the classes share these continuation counts, so a
+rare expression that neither class knows well falls back to what both know,
+and weighs almost nothing.  (Words alone do not do: a class may mark its words
+by how they begin, in spellings that training never saw whole.)
+
+A toxic text is mostly ordinary words: each of its words comes from the toxic
+model with probability ``mix`` and from the ordinary one otherwise.  A text's
+evidence is its log-likelihood as a toxic text less that as an ordinary text,
+over its length.  A logistic curve, fitted on labelled texts that the counts
+have not seen, turns it into a score at which ``threshold`` is the best cut.
+
+Fitting reads at most ``sample_texts`` labelled ids of each class, those with
+the least hash, and one whole text of each (of an id with several texts, the
+one with the least hash); the bound is a parameter.  Scoring covers every whole
+text.  Labels, language, source and id are never inputs of a score.
 
 Null and empty texts carry no evidence and get the curve's value at zero;
-labels that are null or neither 0 nor 1 are passed over; a repeated id or label
-counts again; without texts of both classes the score is the share of label 1
+labels that are null or neither 0 nor 1 are passed over; an id with both labels
+has label 1; without texts of both classes the score is the share of label 1
 (0 if none); an empty table gives an empty result.
 """
 
@@ -49,9 +52,9 @@ CURVE_SHARE = 0.3
 DISCOUNT = 0.75
 #: Letters of the longest expression, and of the longest one whose counts the classes share.
 ORDER = 5
-SHARED = 1
-#: Evidence of a word that is put down to chance, and words added to every text's length.
-MARGIN = 4.0
+SHARED = 3
+#: Share of a toxic text's words that the toxic model writes, and words added to every text's length.
+MIX = 0.01
 PADDING = 20
 #: Words whose evidence a Python worker remembers.
 CACHE_WORDS = 400_000
@@ -92,19 +95,33 @@ class KneserNey:
         return total
 
     def evidence(self, text: bytes) -> float:
-        """What the words' differences exceed the margin by, over the length."""
+        """Log-likelihood as a toxic text less that as an ordinary one, over the length."""
         w = tokens(text)
         cache = self.cache
         if len(cache) > CACHE_WORDS:
             cache.clear()
         for x in set(w).difference(cache):
-            cache[x] = max(0.0, self.word(x) - MARGIN)
-        return sum(filter(None, map(cache.__getitem__, w))) / (len(w) + PADDING)
+            # log((1 - mix) + mix * p_toxic / p_ordinary)
+            cache[x] = float(np.logaddexp(np.log1p(-MIX), np.log(MIX) + self.word(x)))
+        return sum(map(cache.__getitem__, w)) / (len(w) + PADDING)
 
     def score(self, evidence: np.ndarray) -> np.ndarray:
         return 1.0 / (1.0 + np.exp(-np.clip(self.slope * evidence + self.offset, -500, 500)))
 
 
+def _continuations(grams: list[list[Counter]], n: int, classes: tuple[int, ...], order: int) -> Counter:
+    """Counts of expressions of ``n`` letters over some classes: occurrences at full length and at the beginning of a word, else the different letters before them."""
+    out: Counter = Counter()
+    for k in classes:
+        for g, c in grams[k][n].items():
+            if n == order or g[0] == _BEGIN:
+                out[g] += c
+    if n < order:
+        for g in set().union(*[grams[k][n + 1] for k in classes]):
+            out[g[1:]] += 1
+    return out
+
+
 def count_models(words: tuple[Counter, Counter], order: int = ORDER, shared: int = SHARED, discount: float = DISCOUNT) -> KneserNey:
     """From counts of words in ordinary (0) and toxic (1) texts."""
     grams = [[Counter() for _ in range(order + 1)] for _ in (0, 1)]
@@ -114,19 +131,17 @@ def count_models(words: tuple[Counter, Counter], order: int = ORDER, shared: int
             for j in range(1, len(s)):
                 for n in range(1, min(order, j + 1) + 1):
                     grams[k][n][s[j - n + 1 : j + 1]] += c
-    pooled: list[Counter] = [Counter() for _ in range(order + 1)]
-    for n in range(1, shared + 1):
-        for g in set(grams[0][n + 1]) | set(grams[1][n + 1]):
-            pooled[n][g[1:]] += 1  # different letters before it
-    tables = [grams[0], grams[1], pooled]
+    #: Of class 0, class 1 and both.
+    tables: list[dict[int, Counter]] = [{n: _continuations(grams, n, (k,), order) for n in range(shared + 1, order + 1)} for k in (0, 1)]
+    tables.append({n: _continuations(grams, n, (0, 1), order) for n in range(1, shared + 1)})
     total: list[Counter] = [Counter(), Counter(), Counter()]
     types: list[Counter] = [Counter(), Counter(), Counter()]
-    for k, levels in ((0, range(shared + 1, order + 1)), (1, range(shared + 1, order + 1)), (2, range(1, shared + 1))):
-        for n in levels:
-            for g, c in tables[k][n].items():
+    for k, levels in enumerate(tables):
+        for level in levels.values():
+            for g, c in level.items():
                 total[k][g[:-1]] += c
                 types[k][g[:-1]] += 1
-    letters = len(pooled[1]) + 1
+    letters = len({g[-1] for t in grams for g in t[1]}) + 1
     memo: dict[tuple[int, str], float] = {}
 
     def p(k: int, g: str) -> float:
@@ -144,7 +159,7 @@ def count_models(words: tuple[Counter, Counter], order: int = ORDER, shared: int
     model = KneserNey(order=order, shared=shared)
     weight = lambda k, h: discount * types[k][h] / total[k][h] if total[k][h] else 1.0
     for n in range(shared + 1, order + 1):
-        for g in set(grams[0][n]) | set(grams[1][n]):
+        for g in set(tables[0][n]) | set(tables[1][n]):
             model.ratio[g] = float(np.log(p(1, g) / p(0, g)))
     for h in set(total[0]) | set(total[1]):
         a, b = weight(1, h), weight(0, h)
@@ -178,6 +193,7 @@ def fit_curve(evidence: np.ndarray, y: np.ndarray, weight: np.ndarray, threshold
 
 def fit(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = FOLDS, held_out: int = HELD_OUT, sample_texts: int = SAMPLE_TEXTS, threshold: float = THRESHOLD, doc_id: str = "doc_id", text: str = "text") -> KneserNey:
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where("y in (0, 1)").where(fold_of(F.col("doc_id"), folds) != held_out)
+    marks = marks.where("doc_id is not null").groupBy("doc_id").agg(F.max("y").alias("y"))
     shares = {r["y"]: r["n"] for r in marks.groupBy("y").agg(F.count("*").alias("n")).collect()}
     model = KneserNey()
     if len(shares) < 2:
@@ -190,7 +206,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int
         chosen = part if chosen is None else chosen.unionByName(part)
     ids = [(r["doc_id"], r["y"]) for r in chosen.collect()]
     few = docs.sparkSession.createDataFrame(ids, "doc_id long, y int")
-    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text")).join(F.broadcast(few), "doc_id").select("y", (F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(1000)) < int(1000 * CURVE_SHARE)).alias("curve"), "text")
+    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text")).join(F.broadcast(few), "doc_id").groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
+    rows = rows.select("y", (F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(1000)) < int(1000 * CURVE_SHARE)).alias("curve"), "text")
     words, later = (Counter(), Counter()), []
     # written in parallel, then read a few files at a time: the driver holds one part of the sample
     for r in materialise(rows, "sample").coalesce(8).toLocalIterator():

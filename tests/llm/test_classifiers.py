@@ -86,17 +86,56 @@ def test_kneser_ney_evidence():
     toxic = [b"the idiot had a good day and the clown was out"] * 40
     words = (Counter(w for t in plain for w in T.tokens(t)), Counter(w for t in toxic for w in T.tokens(t)))
     m = T.count_models(words)
-    assert m.word(b"idiot") > T.MARGIN > m.word(b"day") and m.word(b"idiots") > m.word(b"days")
-    assert m.evidence(b"an idiot") > m.evidence(b"an idiot among many other words of the day") > m.evidence(b"the day") == m.evidence(b"") == 0.0
+    assert m.word(b"idiot") > 1 > abs(m.word(b"day"))
+    assert m.evidence(b"an idiot") > m.evidence(b"an idiot among many other words of the day") > abs(m.evidence(b"the day")) and m.evidence(b"") == 0.0
+
+
+def by_hand(words, order, shared, discount=T.DISCOUNT):
+    """p(class, history, letter), every count looked up anew in the spelt-out words."""
+    runs = [[(T._BEGIN + w.decode() + T._END, c) for w, c in k.items()] for k in words]
+    letters = {x for k in runs for s, _ in k for x in s[1:]}
+
+    def count(k, g):
+        who = runs[0] + runs[1] if k is None else runs[k]
+        if len(g) == order or g[0] == T._BEGIN:
+            return sum(c * sum(s.startswith(g, i) for i in range(len(s))) for s, c in who)
+        return len({s[i - 1] for s, _ in who for i in range(1, len(s)) if s.startswith(g, i)})
+
+    def p(k, h, x):
+        if h is None:
+            return 1 / (len(letters) + 1)
+        if len(h) + 1 <= shared:
+            k = None
+        seen = [count(k, h + y) for y in letters]
+        low = p(k, h[1:] if h else None, x)
+        n = sum(seen)
+        return max(count(k, h + x) - discount, 0) / n + discount * sum(c > 0 for c in seen) / n * low if n else low
+
+    return p, letters
 
 
 def test_kneser_ney_adds_up():
-    """Both models' probabilities of the next letter, over all known letters and one unknown, sum to one."""
+    """Both models' probabilities of the next letter, over all known letters and one unknown, sum to one; words are their letters' ratios."""
     import math
     from collections import Counter
 
-    words = (Counter({b"aba": 3, b"ab": 2, b"ca": 1}), Counter({b"bab": 2, b"caa": 4}))
-    m = T.count_models(words)
+    words = (Counter({b"aba": 3, b"ab": 2, b"ca": 1, b"abcab": 1}), Counter({b"bab": 2, b"caa": 4, b"cabba": 1}))
+    for order, shared in ((5, 3), (4, 2), (3, 1)):
+        m = T.count_models(words, order, shared)
+        p, letters = by_hand(words, order, shared)
+        for k in (0, 1):
+            for h in ("", "a", T._BEGIN, "ab", T._BEGIN + "ca", "cab", "zz", "bab"[: order - 1], "caba"[: order - 1]):
+                assert math.isclose(sum(p(k, h, x) for x in [*letters, "?"]), 1.0)
+        for w in (b"aba", b"ab", b"cab", b"caa", b"z", b"abz", b"bcabab"):
+            s = T._BEGIN + w.decode() + T._END
+            want = sum(math.log(p(1, s[max(0, j + 1 - order) : j], s[j]) / p(0, s[max(0, j + 1 - order) : j], s[j])) for j in range(1, len(s)))
+            assert math.isclose(m.word(w), want, rel_tol=1e-9, abs_tol=1e-9), (order, w)
     same = T.count_models((words[0], words[0]))
     assert all(abs(v) < 1e-12 for v in same.ratio.values()) and not same.leave
-    assert all(math.isfinite(v) for v in m.ratio.values())
+
+
+def test_repeated_ids_are_one_text(spark, labels):
+    docs = spark.createDataFrame([(i, f"text {i} of words") for i in range(300)] + [(7, f"again {k}") for k in range(500)], "doc_id long, text string")
+    marks = spark.createDataFrame([(i, i % 2) for i in range(300)] + [(7, 0)] * 50, "doc_id long, toxic int")
+    a = {(r["doc_id"], r["score"]) for r in T.score(docs, marks).where("doc_id <> 7").collect()}
+    assert len(a) == 299 and all(0 <= s <= 1 for _, s in a)
