@@ -2,22 +2,26 @@
 
 Each source's target is its share of ``total`` by weight, held at ``cap`` times
 its size, the excess going to the others by weight (the water-filling level
-solves this in one pass over the sorted sources).  A document's expected number
-of copies is split into certain whole copies and a fraction; the fractions are
-served by order sampling: documents rank by their random odds over their
-inclusion odds, and the lowest ranks are taken until the source's remaining
-target is met, to within half of the last document.
+solves this in one pass over the sorted sources).  Within a source a document's
+expected number of copies is in proportion to its odds, held at ``cap``, the
+level again found by water-filling.  It is split into certain whole copies and
+a fraction; the fractions are served by order sampling: documents rank by their
+random odds over their inclusion odds, and the lowest ranks are taken until the
+source's remaining target is met, to within half of the last document.
 
 The random number of a document is a hash of its id and the seed, so reruns
-and lost executors change nothing.  Only one bucket of a source's ranks, the
-one in which its target falls, is put in order; a source with a third of all
-rows is summed by bucket like any other.
+and lost executors change nothing.  Odds are taken to sixteenths of an octave,
+so a source has a bounded number of them.  A source's ranks are summed by
+PARTS buckets, then the bucket in which its target falls by PARTS finer ones;
+only the rows of the last one are put in order, about one in a million, so a
+source with a third of all rows is no large group.  The sources themselves pass
+through one task, a row each.
 
 Null texts and texts without words have size 0 and may ride along at no cost;
-a null source is a source of its own, last in code-point order; repeated rows
-with one id share their rank and are taken or left together; an empty table
-gives an empty mix.  Extra columns pass through; `_`-prefixed working columns
-are dropped.
+a null source is a source of its own, last in code-point order; odds that are
+null or not positive count as 1; repeated rows with one id share their rank and
+are taken or left together; an empty table gives an empty mix.  Extra columns
+pass through, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,14 +29,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import word_count, text_or_empty
+from rowsketch.llm.common import named, text_or_empty, word_count
 from rowsketch.shared import materialise
 
 WEIGHTS = (3.0, 1.0, 2.0)
 TOTAL_SHARE = 1.5
 CAP = 2
-#: Buckets of the rank scale; a source is ordered within one of them only.
-BUCKETS = 65536
+#: Buckets of the rank scale, and of one of these again.
+PARTS = 1024
+#: Levels of odds in an octave.
+LEVELS = 16
 #: A table of sources up to this many rows is broadcast; a larger one is joined by key.
 MOST_BROADCAST_ROWS = 20_000
 UNIT = float(2**52)
@@ -78,34 +84,61 @@ def _rank(u: Column, pi: Column) -> Column:
     return q / (1.0 + q)
 
 
-def plan_mix(docs: DataFrame, *, seed: int = 7, weights=WEIGHTS, total_share: float = TOTAL_SHARE, cap: int = CAP, text: str = "text", source: str = "source", doc_id: str = "doc_id", weight: str | None = None) -> tuple[DataFrame, DataFrame]:
+def length_odds(text: str = "text") -> Column:
+    """The production odds: texts of a hundred words and more are twice as likely, of a thousand and more four times."""
+    size = word_count(text_or_empty(text))
+    return F.when(size >= 1000, 4.0).when(size >= 100, 2.0).otherwise(1.0)
+
+
+def _odds(weight: str | Column | None) -> Column:
+    if weight is None:
+        return F.lit(1.0)
+    w = (named(weight) if isinstance(weight, str) else weight).cast("double")
+    return F.when((w > 0) & (w < float("inf")), F.pow(F.lit(2.0), F.round(F.log2(w) * LEVELS) / LEVELS)).otherwise(1.0)
+
+
+def plan_mix(docs: DataFrame, *, seed: int = 7, weights=WEIGHTS, total_share: float = TOTAL_SHARE, cap: int = CAP, text: str = "text", source: str = "source", doc_id: str = "doc_id", weight: str | Column | None = None) -> tuple[DataFrame, DataFrame]:
     """(slim, decided): slim rows (doc_id, source, size, _u, _w) and, by source, what to take.
 
-    ``weight`` names a positive column that raises a document's inclusion odds
-    within its source; without it they are equal there and differ between
-    sources.
+    ``weight``, a column, raises a document's inclusion odds within its source;
+    without it they are equal there and differ between sources.
     """
-    own = F.lit(1.0) if weight is None else F.coalesce(F.col(weight).cast("double"), F.lit(1.0))
-    slim = materialise(docs.select(F.col(doc_id).alias("doc_id"), F.col(source).cast("string").alias("source"), word_count(text_or_empty(text)).alias("size"), uniform(F.col(doc_id), seed).alias("_u"), own.alias("_w")), "mix")
-    per = slim.groupBy("source").agg(F.sum("size").alias("source_size"), F.sum(F.col("size") * F.col("_w")).alias("_weighted"))
-    goal = targets(per.select("source", "source_size"), weights, total_share, cap).alias("t")
-    goal = goal.join(per.alias("p").select("source", "_weighted"), F.col("t.source").eqNullSafe(F.col("p.source"))).select("t.*", "_weighted")
-    # expected copies of a document: _scale * weight, at most cap
-    goal = materialise(goal.select("*", F.when(F.col("_weighted") > 0, F.col("target") / F.col("_weighted")).otherwise(0.0).alias("_scale"), _same_source().alias("_key")), "mix-targets")
+    slim = materialise(docs.select(named(doc_id).alias("doc_id"), named(source).cast("string").alias("source"), word_count(text_or_empty(text)).alias("size"), uniform(named(doc_id), seed).alias("_u"), _odds(weight).alias("_w")), "mix")
+    levels = materialise(slim.groupBy("source", "_w").agg(F.sum("size").alias("size")).select("*", _same_source().alias("_key")), "mix-levels")
+    per = levels.groupBy("source").agg(F.sum("size").alias("source_size"))
+    goal = targets(per, weights, total_share, cap).select("*", _same_source().alias("_key"))
+    # expected copies of a document: _scale * odds, at most cap; the highest odds reach it first
+    joined = levels.select("_key", "_w", "size").join(goal, "_key")
+    by_odds = Window.partitionBy("_key").orderBy(F.desc("_w"))
+    filled = F.coalesce(F.sum("size").over(by_odds.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)) * cap
+    open_ = F.sum(F.col("size") * F.col("_w")).over(by_odds.rowsBetween(0, Window.unboundedFollowing))
+    joined = joined.select("*", ((F.col("target") - filled) / F.when(open_ > 0, open_)).alias("_here"))
+    scale = F.max_by("_here", F.when(F.col("_here") * F.col("_w") <= F.lit(float(cap)), F.col("_w")))
+    found = joined.groupBy("_key").agg(scale.alias("_found"), F.min("_w").alias("_least"), F.max("source_size").alias("_all"))
+    scales = found.select("_key", F.when(F.col("_all") > 0, F.coalesce("_found", float(cap) / F.col("_least"))).otherwise(0.0).alias("_scale"))
+    goal = materialise(goal.join(scales, "_key"), "mix-targets")
     ranked = _attach(slim, goal).select("*", *_split(cap))
-    sums = ranked.groupBy("_key", "_bucket").agg(F.sum("size").alias("_size"), F.sum(F.col("size") * F.col("_whole")).alias("_sure"))
-    by_bucket = Window.partitionBy("_key").orderBy("_bucket")
-    sums = sums.select("*", (F.sum("_size").over(by_bucket) - F.col("_size")).alias("_before"), F.sum("_sure").over(Window.partitionBy("_key")).alias("_sure_all"))
-    left = sums.join(goal.select("_key", "target"), "_key").select("*", (F.col("target") - F.col("_sure_all")).alias("_left"))
-    edge = left.where((F.col("_before") < F.col("_left")) & (F.col("_before") + F.col("_size") > F.col("_left"))).select("_key", "_bucket", F.col("_before"), "_left")
-    whole = left.groupBy("_key").agg(F.max(F.when(F.col("_before") + F.col("_size") <= F.col("_left"), F.col("_bucket"))).alias("_below"))
-    inside = ranked.join(_maybe_broadcast(edge), ["_key", "_bucket"])
+    sums = ranked.groupBy("_key", "_coarse").agg(F.sum("size").alias("_size"), F.sum(F.col("size") * F.col("_whole")).alias("_sure"))
+    sums = sums.select("*", (F.sum("_size").over(Window.partitionBy("_key").orderBy("_coarse")) - F.col("_size")).alias("_before"), F.sum("_sure").over(Window.partitionBy("_key")).alias("_sure_all"))
+    left = materialise(sums.join(goal.select("_key", "target"), "_key").select("*", (F.col("target") - F.col("_sure_all")).alias("_left")), "mix-sums")
+    inside, below = _edge(ranked, left, "_coarse")
+    finer = inside.groupBy("_key", "_left", "_fine").agg(F.first("_before").alias("_start"), F.sum("size").alias("_size"))
+    finer = finer.select("_key", "_left", "_fine", "_size", (F.col("_start") + F.sum("_size").over(Window.partitionBy("_key").orderBy("_fine")) - F.col("_size")).alias("_before"))
+    last, finest = _edge(ranked, materialise(finer, "mix-finer"), "_fine")
     # equal ranks (repeated ids) are summed first, so that they stand or fall together
-    inside = inside.groupBy("_key", "_rank", "_before", "_left").agg(F.sum("size").alias("_size"))
+    last = last.groupBy("_key", "_rank", "_before", "_left").agg(F.sum("size").alias("_size"))
     upto = F.col("_before") + F.sum("_size").over(Window.partitionBy("_key").orderBy("_rank"))
-    cut = inside.select("_key", "_rank", (2.0 * upto - F.col("_size") <= 2.0 * F.col("_left")).alias("_in")).where("_in").groupBy("_key").agg(F.max("_rank").alias("_cut"))
-    decided = goal.join(whole, "_key", "left").join(cut, "_key", "left").select("_key", "source_size", "target", "_scale", F.coalesce("_below", F.lit(-1)).alias("_below"), F.coalesce("_cut", F.lit(-1.0)).alias("_cut"))
-    return slim, materialise(decided, "mix-decided")
+    cut = last.select("_key", "_rank", (2.0 * upto - F.col("_size") <= 2.0 * F.col("_left")).alias("_in")).where("_in").groupBy("_key").agg(F.max("_rank").alias("_cut"))
+    decided = goal.join(below.withColumnRenamed("_below", "_b1"), "_key", "left").join(finest.withColumnRenamed("_below", "_b2"), "_key", "left").join(cut, "_key", "left")
+    upto_fine = F.greatest((F.coalesce("_b1", F.lit(-1)) + 1) * PARTS - 1, F.coalesce("_b2", F.lit(-1)))
+    return slim, materialise(decided.select("_key", "source_size", "target", "_scale", upto_fine.alias("_below"), F.coalesce("_cut", F.lit(-1.0)).alias("_cut")), "mix-decided")
+
+
+def _edge(ranked: DataFrame, sums: DataFrame, bucket: str) -> tuple[DataFrame, DataFrame]:
+    """Rows of the bucket in which a source's target falls, and the last bucket that is taken whole."""
+    edge = sums.where((F.col("_before") < F.col("_left")) & (F.col("_before") + F.col("_size") > F.col("_left"))).select("_key", bucket, "_before", "_left")
+    below = sums.groupBy("_key").agg(F.max(F.when(F.col("_before") + F.col("_size") <= F.col("_left"), F.col(bucket))).alias("_below"))
+    return ranked.join(_maybe_broadcast(edge), ["_key", bucket]), below
 
 
 def _maybe_broadcast(table: DataFrame) -> DataFrame:
@@ -118,17 +151,18 @@ def _attach(rows: DataFrame, by_source: DataFrame) -> DataFrame:
 
 
 def _split(cap: int) -> list[Column]:
-    """Whole copies, rank of the fraction and its bucket."""
+    """Whole copies, rank of the fraction and its buckets."""
     copies = F.least(F.col("_scale") * F.col("_w"), F.lit(float(cap)))
     whole = F.floor(copies).cast("long")
     pi = copies - F.floor(copies)
     rank = F.when(pi > 0, _rank(F.col("_u"), pi)).otherwise(F.lit(1.0))
-    return [whole.alias("_whole"), rank.alias("_rank"), F.floor(rank * BUCKETS).cast("long").alias("_bucket")]
+    fine = F.floor(rank * (PARTS * PARTS)).cast("long")
+    return [whole.alias("_whole"), rank.alias("_rank"), fine.alias("_fine"), F.floor(fine / PARTS).cast("long").alias("_coarse")]
 
 
 def _copies(rows: DataFrame, decided: DataFrame, cap: int) -> DataFrame:
     joined = _attach(rows, decided).select("*", *_split(cap))
-    extra = ((F.col("_bucket") <= F.col("_below")) | (F.col("_rank") <= F.col("_cut"))) & (F.col("_rank") < 1.0) & (F.col("_whole") < cap)
+    extra = ((F.col("_fine") <= F.col("_below")) | (F.col("_rank") <= F.col("_cut"))) & (F.col("_rank") < 1.0) & (F.col("_whole") < cap)
     return joined.select("*", (F.col("_whole") + F.when(extra, 1).otherwise(0)).alias("_copies"))
 
 
@@ -138,18 +172,16 @@ def mix_report(docs: DataFrame, *, seed: int = 7, cap: int = CAP, **options) ->
     return _copies(slim, decided, cap).select("doc_id", "source", "size", "source_size", "target", (F.col("size") * F.col("_copies")).alias("taken"))
 
 
-def mix(docs: DataFrame, *, seed: int = 7, cap: int = CAP, doc_id: str = "doc_id", source: str = "source", weight: str | None = None, **options) -> DataFrame:
+def mix(docs: DataFrame, *, seed: int = 7, cap: int = CAP, doc_id: str = "doc_id", source: str = "source", weight: str | Column | None = None, **options) -> DataFrame:
     """The mixed documents themselves, a row for each copy taken, with the input's columns."""
     _, decided = plan_mix(docs, seed=seed, cap=cap, doc_id=doc_id, source=source, weight=weight, **options)
-    names = docs.columns
-    own = F.lit(1.0) if weight is None else F.coalesce(F.col(weight).cast("double"), F.lit(1.0))
-    body = docs.select(F.struct(*[docs[c] for c in names]).alias("_doc"), F.col(source).cast("string").alias("source"), uniform(F.col(doc_id), seed).alias("_u"), own.alias("_w"))
+    body = docs.select(F.struct(*[named(c) for c in docs.columns]).alias("_doc"), named(source).cast("string").alias("source"), uniform(named(doc_id), seed).alias("_u"), _odds(weight).alias("_w"))
     taken = _copies(body, decided, cap).where("_copies > 0")
     return taken.select("_doc", F.explode(F.expr("sequence(1L, _copies)")).alias("_copy")).select("_doc.*")
 
 
 def oracle(seed: int = 7) -> str:
-    """DuckDB SQL for the report with the production parameters and equal weights within a source."""
+    """DuckDB SQL for the report with the production parameters and odds."""
     return f"""
 WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size,
                   (('0x' || substr(md5(coalesce(doc_id::VARCHAR, '') || '|{seed}'), 1, 13))::BIGINT::DOUBLE + 0.5) / {UNIT!r} AS u FROM documents),
@@ -161,8 +193,15 @@ l AS (SELECT *, (total - coalesce(sum(most) OVER (ORDER BY full_at, ord ROWS BET
                 / (sum(w) OVER (ORDER BY full_at, ord ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)) AS here FROM f),
 v AS (SELECT arg_min(here, struct_pack(a := full_at, b := ord)) AS level FROM l WHERE here <= full_at),
 t AS (SELECT source, source_size, coalesce(least(most, level * w), most) AS target FROM l LEFT JOIN v ON true),
-c AS (SELECT d.*, source_size, target, least(CASE WHEN source_size > 0 THEN target / source_size ELSE 0.0 END, {float(CAP)}) AS copies
-      FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+e AS (SELECT *, CASE WHEN size >= 1000 THEN 4.0::DOUBLE WHEN size >= 100 THEN 2.0::DOUBLE ELSE 1.0::DOUBLE END AS odds_in FROM d),
+b AS (SELECT source, odds_in, sum(size) AS size FROM e GROUP BY source, odds_in),
+h AS (SELECT b.source, odds_in, t.source_size,
+             (target - {CAP} * coalesce(sum(size) OVER (PARTITION BY b.source ORDER BY odds_in DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+             / nullif(sum(size * odds_in) OVER (PARTITION BY b.source ORDER BY odds_in DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), 0) AS here
+      FROM b JOIN t ON b.source IS NOT DISTINCT FROM t.source),
+z AS (SELECT source, CASE WHEN max(source_size) > 0 THEN coalesce(arg_max(here, odds_in) FILTER (WHERE here * odds_in <= {float(CAP)}), {float(CAP)} / min(odds_in)) ELSE 0.0 END AS scale FROM h GROUP BY source),
+c AS (SELECT e.*, source_size, target, least(scale * odds_in, {float(CAP)}) AS copies
+      FROM e JOIN t ON e.source IS NOT DISTINCT FROM t.source JOIN z ON e.source IS NOT DISTINCT FROM z.source),
 q AS (SELECT *, floor(copies) AS whole, copies - floor(copies) AS pi,
              CASE WHEN copies > floor(copies) THEN (u / (1.0 - u)) / ((copies - floor(copies)) / (1.0 - (copies - floor(copies)))) END AS odds FROM c),
 p AS (SELECT *, CASE WHEN odds IS NOT NULL THEN odds / (1.0 + odds) ELSE 1.0 END AS rank, target - sum(size * whole) OVER (PARTITION BY source) AS left_over FROM q),

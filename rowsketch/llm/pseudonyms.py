@@ -31,6 +31,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from rowsketch.llm.common import named
+
 ROUNDS = 8
 #: For tests and examples; a deployment passes its own.
 EXAMPLE_KEY = b"example key, not a secret"
@@ -288,7 +290,9 @@ def pseudonymise(docs: DataFrame, *, key: bytes = EXAMPLE_KEY, undo: bool = Fals
     """The input with ``text`` replaced and a counter ``n_<kind>`` for each kind."""
     counters = [f"n_{k}" for k in KINDS]
     names = [c for c in docs.columns if c not in counters]
-    schema = T.StructType([docs.schema[c] if c != text else T.StructField(text, T.StringType()) for c in names] + [T.StructField(c, T.LongType()) for c in counters])
+    # plain names on the way through Python
+    plain = [f"c{k}" for k in range(len(names))]
+    schema = T.StructType([T.StructField(p, docs.schema[c].dataType if c != text else T.StringType()) for p, c in zip(plain, names)] + [T.StructField(c, T.LongType()) for c in counters])
     at = names.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -302,9 +306,10 @@ def pseudonymise(docs: DataFrame, *, key: bytes = EXAMPLE_KEY, undo: bool = Fals
                 counts.append(found)
             columns = [pa.array(texts, pa.string()) if k == at else c for k, c in enumerate(rb.columns)]
             columns += [pa.array([f.get(k, 0) for f in counts], pa.int64()) for k in KINDS]
-            yield pa.RecordBatch.from_arrays(columns, names + counters)
+            yield pa.RecordBatch.from_arrays(columns, plain + counters)
 
-    return docs.select(*[docs[c] if c != text else docs[c].cast("string").alias(c) for c in names]).mapInArrow(run, schema)
+    sent = docs.select(*[(named(c) if c != text else named(c).cast("string")).alias(p) for p, c in zip(plain, names)])
+    return sent.mapInArrow(run, schema).toDF(*names, *counters)
 
 
 __all__ = ["EXAMPLE_KEY", "IBAN_LENGTHS", "KINDS", "Pseudonyms", "luhn_digit", "permute", "pseudonymise", "replace"]

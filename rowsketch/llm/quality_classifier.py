@@ -2,8 +2,8 @@
 
 Each class has a Gaussian over transformed statistics of a text.  A class's
 covariance is shrunk towards its diagonal and towards the pooled covariance;
-its Cholesky factor is kept with the model, so a score costs one triangular
-solve a class.  The score is the logistic of the Mahalanobis log-density
+the inverse of its Cholesky factor is kept with the model, so a score costs one
+product with a triangular matrix a class.  The score is the logistic of the Mahalanobis log-density
 difference plus the log prior odds.
 
 Fitting reads every labelled training row: each task adds up counts, sums and
@@ -20,14 +20,14 @@ table gives an empty result.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import fold_of, text_bytes
+from rowsketch.llm.common import fold_of, free_name, named, text_bytes
 from rowsketch.shared import materialise
 
 FOLDS = 3
@@ -93,13 +93,17 @@ class Discriminant:
     factors: list[np.ndarray]
     log_priors: list[float]
     share: float
+    inverses: list[np.ndarray] = field(init=False)
+
+    def __post_init__(self) -> None:
+        self.inverses = [np.linalg.inv(c) for c in self.factors]
 
     def score(self, x: np.ndarray) -> np.ndarray:
         if not self.means:
             return np.full(len(x), self.share)
         logs = []
-        for m, c, p in zip(self.means, self.factors, self.log_priors):
-            z = np.linalg.solve(c, (x - m).T)  # Mahalanobis distance through the cached factor
+        for m, c, inverse, p in zip(self.means, self.factors, self.inverses, self.log_priors):
+            z = inverse @ (x - m).T  # Mahalanobis distance through the cached factor
             logs.append(p - np.log(np.diag(c)).sum() - 0.5 * (z * z).sum(axis=0))
         return 1.0 / (1.0 + np.exp(np.clip(logs[0] - logs[1], -500, 500)))
 
@@ -165,22 +169,23 @@ def _apply(rows: DataFrame, model: Discriminant, folds: int, held_out: int, thre
     return scored.select("doc_id", (fold_of(F.col("doc_id"), folds) == held_out).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, *, label: str = "quality", folds: int = FOLDS, held_out: int = HELD_OUT, threshold: float = THRESHOLD, text: str = "text") -> DataFrame:
-    """The documents, whole and unchanged, that the classifier does not reject."""
-    model = fit(materialise(features(docs, text=text), "statistics"), labels, label=label, folds=folds, held_out=held_out)
-    names = docs.columns
-    kinds = [(f.name, f.dataType) for f in docs.schema.fields]
-    mark = "_text_bytes"
-    from pyspark.sql import types as T
+def keep_good(docs: DataFrame, labels: DataFrame, *, label: str = "quality", folds: int = FOLDS, held_out: int = HELD_OUT, threshold: float = THRESHOLD, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The documents, whole and unchanged, that the classifier does not reject.
 
-    schema = T.StructType([T.StructField(n, k) for n, k in kinds])
+    The statistics are computed once and written beside the documents; Python
+    sees texts, and later statistics, but no other column.
+    """
+    mark = free_name(docs.columns, "statistics")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for rb in batches:
-            if not rb.num_rows:
-                continue
-            x = np.array([statistics(t.as_buffer().to_pybytes()) for t in rb.column(rb.num_columns - 1)])
-            good = pa.array(model.score(x) >= threshold)
-            yield rb.select(list(range(rb.num_columns - 1))).filter(good)
+    @F.arrow_udf("array<double>")
+    def measured(texts: pa.Array) -> pa.Array:
+        return pa.array([statistics(t.as_buffer().to_pybytes()) for t in texts], pa.list_(pa.float64()))
+
+    marked = materialise(docs.select(*[named(c) for c in docs.columns], measured(text_bytes(text)).alias(mark)), "measured")
+    model = fit(marked.select(named(doc_id).cast("long").alias("doc_id"), named(mark).alias("x")), labels, label=label, folds=folds, held_out=held_out)
+
+    @F.arrow_udf("boolean")
+    def good(x: pa.Array) -> pa.Array:
+        return pa.array(model.score(x.flatten().to_numpy().reshape(len(x), -1)) >= threshold)
 
-    return docs.select(*[docs[n] for n in names], text_bytes(text).alias(mark)).mapInArrow(run, schema)
+    return marked.where(good(named(mark))).select(*[named(c) for c in docs.columns])

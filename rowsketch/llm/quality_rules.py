@@ -15,7 +15,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import GAPS, text_or_empty, word_array
+from rowsketch.llm.common import named, text_or_empty, word_array
 
 #: Frequent function words of English, German, French and Spanish.
 STOP_WORDS = (
@@ -74,13 +74,14 @@ def measure(df: DataFrame, text: str = "text") -> DataFrame:
     stop = F.array(*[F.lit(w) for w in STOP_WORDS])
     names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_stop_words", "n_capitals", "n_bullet_lines", "n_exclamations")
     keep = [c for c in df.columns if c not in names]
-    staged = df.select(*keep, word_array(body).alias("_words"), F.expr(f"filter(split(coalesce(cast(`{text}` as string), ''), '\\n'), l -> l rlike '[^\\\\x20\\\\x09-\\\\x0D]')").alias("_lines"), body.alias("_body"))
+    # the input's columns travel as one, so that none is mistaken for a working column
+    staged = df.select(F.struct(*[named(c) for c in keep]).alias("row"), word_array(body).alias("_words"), F.expr(f"filter(split(coalesce(cast(`{text}` as string), ''), '\\n'), l -> l rlike '[^\\\\x20\\\\x09-\\\\x0D]')").alias("_lines"), body.alias("_body"))
     # hashes of the five-word windows; null where no window can repeat
     staged = staged.select("*", F.expr("case when size(_words) >= 6 then transform(sequence(1, size(_words) - 4), i -> xxhash64(slice(_words, i, 5))) end").alias("_win"))
     staged = staged.select("*", F.expr("case when size(array_distinct(_win)) < size(_win) then sort_array(transform(_win, (h, i) -> struct(h as h, i as i))) end").alias("win_sorted"))
     as_long = lambda c: c.cast("long")
     return staged.select(
-        *keep,
+        *[F.col("row").getField(c).alias(c) for c in keep],
         as_long(F.size("_words")).alias("n_words"),
         as_long(F.length(F.array_join("_words", ""))).alias("word_chars"),
         as_long(F.regexp_count("_body", F.lit(r"[#*$%&|<>]"))).alias("n_symbols"),

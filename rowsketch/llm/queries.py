@@ -60,7 +60,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    report = mixing.mix_report(_table(spark, sf_dir))
+    report = mixing.mix_report(_table(spark, sf_dir), weight=mixing.length_odds())
     return report.select("doc_id", "size", "source_size", F.round("target", 3).alias("target"), "taken")
 
 

@@ -24,11 +24,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import text_bytes
-from rowsketch.shared import materialise
+from rowsketch.llm.common import free_name, named, text_bytes
+from rowsketch.shared import discard, materialise
 
 SHINGLE = 3
 SEED = 42
@@ -236,7 +236,8 @@ def components(edges: DataFrame) -> DataFrame:
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         hung = large.join(least, "u")
         small = hung.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v"))).distinct()
-        now = materialise(small, "stars")
+        last, now = now, materialise(small, "stars")
+        discard(last)
         state = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
@@ -265,14 +266,16 @@ def hex_fingerprint(fp="fp"):
 
 def _without(docs: DataFrame, rows: DataFrame, gone: DataFrame, doc_id: str, text: str) -> DataFrame:
     """``docs`` without the (doc_id, text_key) of ``gone``, and once each (id, text) of ``rows`` that repeats."""
-    names = docs.columns
-    gone = gone.select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_gone")).distinct()
-    keyed = docs.withColumn("_key", text_key(text))
-    kept = keyed.join(gone, (F.col(doc_id) == F.col("_id")) & (F.col("_key") == F.col("_gone")), "left_anti")
+    names = [named(c) for c in docs.columns]
+    key, gone_id, gone_key = (free_name(docs.columns, c) for c in ("dedup_key", "dedup_id", "dedup_gone"))
+    gone = gone.select(F.col("doc_id").alias(gone_id), F.col("text_key").alias(gone_key)).distinct()
+    keyed = docs.select(*names, text_key(text).alias(key))
+    kept = keyed.join(gone, (named(doc_id) == F.col(gone_id)) & (F.col(key) == F.col(gone_key)), "left_anti")
     if not rows.where(F.col("doc_id").isNotNull()).groupBy("doc_id", "text_key").count().where("count > 1").limit(1).count():
         return kept.select(*names)
-    numbered = kept.select("*", F.row_number().over(Window.partitionBy(doc_id, "_key").orderBy(F.lit(0))).alias("_copy"))
-    return numbered.where((F.col("_copy") == 1) | F.col(doc_id).isNull()).select(*names)
+    # summed up on the map side, so that a row which very many repeat is no large group
+    once = kept.where(named(doc_id).isNotNull()).dropDuplicates([doc_id, key])
+    return once.unionByName(kept.where(named(doc_id).isNull())).select(*names)
 
 
 def keep_first(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:

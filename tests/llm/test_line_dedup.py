@@ -115,3 +115,35 @@ def test_stays_in_the_jvm(documents):
 
     plan = line_dedup.dedup_lines(materialise(documents))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
+
+
+def test_matches_plain_deletion_on_random_lines(make):
+    """Lines of ten words and more: each repeat goes, and nothing else."""
+    for seed in (2, 3, 4):
+        rng = random.Random(seed)
+        pool = [" ".join(rng.choice("abcdef") * rng.randint(1, 3) for _ in range(rng.randint(10, 14))) for _ in range(25)]
+        docs = []
+        for i in range(30):
+            lines = [rng.choice([x, x.upper(), f"  {x}", f"{x}\t", f"{x}\r", ""]) for x in rng.choices(pool, k=rng.randint(0, 6))]
+            docs.append((i, "\n".join(lines)))
+        got = {r["doc_id"]: (r["text"], r["n"]) for r in line_dedup.dedup_lines(make(docs), count="n").collect()}
+        want = plain([(i, t.replace("\t", " ").replace("\r", " ")) for i, t in docs], 10)
+        assert sum(n for _, n in got.values()) > 20
+        for i, text in docs:
+            gone = {k for k, line in enumerate(text.split("\n")) if words(line)} - {k for k, _ in want[i]}
+            assert got[i] == ("\n".join(x for k, x in enumerate(text.split("\n")) if k not in gone), len(gone)), (seed, i)
+
+
+def test_random_runs_of_short_lines(make):
+    for seed in (5, 6):
+        docs = build(seed, 25)
+        got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(make(docs)).collect()}
+        assert not repeated_runs([got[i] for i, _ in docs], 20)
+
+
+def test_one_document_that_many_repeat(make):
+    """The join with it is dealt out by salt, so no one task gets them all."""
+    lines = [f"line number {k} of a passage with quite enough words to be found" for k in range(4)]
+    docs = [(0, "\n".join(lines))] + [(k, f"own beginning of {k}\n" + "\n".join(lines[k % 3 :])) for k in range(1, 120)]
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(make(docs)).collect()}
+    assert got[0] == docs[0][1] and all(got[k] == f"own beginning of {k}" for k in range(1, 120))

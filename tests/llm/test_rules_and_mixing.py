@@ -101,3 +101,29 @@ def test_targets_by_repeated_sharing(spark, sizes):
         left -= sum(out[k] for k in over)
         open_ -= over
     assert all(abs(got[n] - t) < 1e-9 for n, t in zip(names, out))
+
+
+def test_odds_match_duckdb(make):
+    """Long texts are likelier; sources that are short of them, full of them, at their cap, and below their size."""
+    import random
+
+    rng = random.Random(2)
+    pairs = [(i, "w " * rng.choice([0, 3, 50, 99, 100, 150, 999, 1000, 1500]), rng.choice(["a", "a", "a", "a", "b", "c", None])) for i in range(900)]
+    pairs += [(2000 + i, "w " * 120, "d") for i in range(3)] + [(3000, "", "e"), (12, "w " * 1200, "a")]
+    df = make(pairs)
+    got = mixing.mix_report(df, weight=mixing.length_odds()).select("doc_id", "size", "source_size", F.round("target", 3).alias("target"), "taken").collect()
+    want, _ = duck(mixing.oracle(), pairs)
+    assert sorted(tuple(str(x) for x in r) for r in got) == want
+    r = mixing.mix_report(df, weight=mixing.length_odds()).toPandas()
+    per = r.groupby("source", dropna=False).agg(target=("target", "first"), taken=("taken", "sum"))
+    assert (abs(per.taken - per.target) <= 1500).all() and (r.taken <= 2 * r["size"]).all()
+    short = r[(r.source == "a") & (r["size"].between(1, 99))]
+    long = r[(r.source == "a") & (r["size"] >= 1000)]
+    assert (long.taken / long["size"]).mean() > 1.3 * (short.taken / short["size"]).mean()
+
+
+def test_any_positive_odds(make):
+    df = make([(i, "w " * (1 + i % 5), f"s{i % 3}") for i in range(3000)]).withColumn("like", F.when(F.col("doc_id") % 10 == 0, F.lit(None)).otherwise(F.exp(F.rand(3) * 12 - 6)))
+    r = mixing.mix_report(df, weight="like").toPandas()
+    per = r.groupby("source").agg(target=("target", "first"), taken=("taken", "sum"))
+    assert (abs(per.taken - per.target) <= 5).all() and (r.taken <= 2 * r["size"]).all()
