@@ -49,3 +49,16 @@ def fold_of(doc_id: Column, folds: int) -> Column:
 
 def fold_of_id(doc_id: int | None, folds: int) -> int:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % folds
+
+
+def release() -> None:
+    """Hands a worker's freed memory back to the system; called where a task ends, as workers stay for later stages."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass

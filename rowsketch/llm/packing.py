@@ -22,19 +22,23 @@ import zlib
 from array import array
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import text_or_empty
+from rowsketch.llm.common import release, text_or_empty
 
 WINDOW = 4096
 END_ID = 2
-#: Open pieces packed together; bounds a task's memory.
+#: Open pieces packed together, and their ids; bound a task's memory.
 BATCH_PIECES = 100_000
+BATCH_IDS = 8_000_000
+#: Sequences handed on at once.
+EMIT_SEQUENCES = 256
 #: Cached token strings of a Python worker.
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES = 500_000
 #: Text handled between two looks at the cache.
 TEXT_STEP = 4_000_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -218,29 +222,28 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, *, window: int = WINDOW
     end = end_id.to_bytes(4, "little")
     schema = SCHEMA + (", ids array<int>" if with_ids else "")
     kinds = [pa.int64()] * 7
+    names = SCHEMA.replace(" long", "").split(", ") + (["ids"] if with_ids else [])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base = TaskContext.get().partitionId() << 32
         made = 0
 
-        def emit(sequences) -> pa.RecordBatch:
+        def emit(sequences: list) -> Iterator[pa.RecordBatch]:
             nonlocal made
-            rows = []
-            ids = []
-            for seq in sequences:
-                offset = 0
-                for doc, start, length, b, n in seq:
-                    rows.append((doc, start, length, zlib.crc32(b), n, base + made, offset))
-                    if with_ids:
-                        ids.append(memoryview(b).cast("I").tolist())
-                    offset += length
-                made += 1
-            cols = [pa.array(c, k) for c, k in zip(zip(*rows) if rows else [[]] * 7, kinds)]
-            names = SCHEMA.replace(" long", "").split(", ")
-            if with_ids:
-                cols.append(pa.array(ids, pa.list_(pa.int32())))
-                names.append("ids")
-            return pa.RecordBatch.from_arrays(cols, names)
+            for at in range(0, len(sequences), EMIT_SEQUENCES):
+                rows, ids = [], []
+                for seq in sequences[at : at + EMIT_SEQUENCES]:
+                    offset = 0
+                    for doc, start, length, b, n in seq:
+                        rows.append((doc, start, length, zlib.crc32(b), n, base + made, offset))
+                        ids.append(b)
+                        offset += length
+                    made += 1
+                cols = [pa.array(c, k) for c, k in zip(zip(*rows), kinds)]
+                if with_ids:
+                    ends = np.cumsum([0, *(r[2] for r in rows)], dtype=np.int32)
+                    cols.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(ids), "<i4"))))
+                yield pa.RecordBatch.from_arrays(cols, names)
 
         waiting: list = []
         held = 0
@@ -256,14 +259,15 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, *, window: int = WINDOW
                 if rest:
                     waiting.append((doc, whole * window, rest, b[4 * whole * window :], n))
                     held += rest
-            if full:
-                yield emit(full)
-                full = []
-            if len(waiting) >= BATCH_PIECES or held > 40_000_000:
-                yield emit(pack(waiting, window, max_padding))
-                waiting, held = [], 0
-        if waiting:
-            yield emit(pack(waiting, window, max_padding))
+                if len(full) >= EMIT_SEQUENCES:
+                    yield from emit(full)
+                    full = []
+                if len(waiting) >= BATCH_PIECES or held >= BATCH_IDS:
+                    yield from emit(pack(waiting, window, max_padding))
+                    waiting, held = [], 0
+        yield from emit(full)
+        yield from emit(pack(waiting, window, max_padding))
+        release()
 
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_or_empty(text).alias("text")).mapInArrow(run, schema)
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import free_name, named, text_bytes
+from rowsketch.llm.common import free_name, named, release, text_bytes
 from rowsketch.shared import discard, materialise
 
 SHINGLE = 3
@@ -345,7 +345,7 @@ def _filter_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tupl
     for m in np.unique(sizes[sizes <= LARGE]):
         i, j = np.triu_indices(m, 1)
         own = starts[sizes == m]
-        step = max(1, FRONTIER // len(i))
+        step = max(1, FRONTIER // 4 // len(i))
         for at in range(0, len(own), step):
             a = (own[at : at + step, None] + i).ravel()
             b = (own[at : at + step, None] + j).ravel()
@@ -379,6 +379,8 @@ def _wide_links(dealt: DataFrame) -> DataFrame:
         a, b = np.maximum(node[a], node[b]), np.minimum(node[a], node[b])
         pairs = np.unique(np.stack([a, b], axis=1), axis=0)
         yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+        del key, node, words, fps, parts
+        release()
 
     return dealt.repartition("key").mapInArrow(run, "a long, b long")
 
@@ -426,6 +428,8 @@ def _verified(members: DataFrame, shingle: int, similarity: float) -> DataFrame:
                 sets.append(shingle_set(text.as_buffer().to_pybytes(), shingle))
         if nodes:
             yield judge(nodes, sets)
+        nodes, sets = [], []
+        release()
 
     return members.repartition("root").sortWithinPartitions("root", "node").select("root", "node", "text").mapInArrow(run, "node long, mark long")
 
@@ -444,6 +448,7 @@ def keep_similar(docs: DataFrame, *, shingle: int = SIMILAR_SHINGLE, similarity:
         for rb in batches:
             made = [wide_fingerprint(shingle_set(t.as_buffer().to_pybytes(), shingle)).tobytes() for t in rb.column(2)]
             yield pa.RecordBatch.from_arrays([rb.column(0), rb.column(1), pa.array(made, pa.binary())], ["doc_id", "text_key", "fp"])
+        release()
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rb in batches:
