@@ -87,6 +87,27 @@ def fingerprints(docs: DataFrame, *, shingle: int = SHINGLE, seed: int = SEED, d
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_bytes(text).alias("text"), text_key(text).alias("text_key")).mapInArrow(run, "doc_id long, fp long, text_key long")
 
 
+class Labels:
+    """Components of 0 .. n-1, each under its least member, as links come in."""
+
+    def __init__(self, n: int):
+        self.of = np.arange(n)
+
+    def join(self, i: np.ndarray, j: np.ndarray) -> None:
+        while True:
+            a, b = self.of[i], self.of[j]
+            differ = a != b
+            if not differ.any():
+                return
+            i, j, a, b = i[differ], j[differ], a[differ], b[differ]
+            np.minimum.at(self.of, np.maximum(a, b), np.minimum(a, b))
+            while True:
+                up = self.of[self.of]
+                if (up == self.of).all():
+                    break
+                self.of = up
+
+
 def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int) -> np.ndarray:
     """Component labels (row numbers) of the links inside each group.
 
@@ -94,8 +115,7 @@ def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int)
     A node is an interval of rows with one prefix; a node pair carries the
     bits in which its prefixes differ.
     """
-    n = len(fps)
-    label = np.arange(n)
+    labels = Labels(len(fps))
     ones: dict[int, np.ndarray] = {}
 
     def cut(bit: int, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
@@ -105,22 +125,6 @@ def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int)
         c = ones[bit]
         return hi - (c[hi] - c[lo])
 
-    def join(i: np.ndarray, j: np.ndarray) -> None:
-        nonlocal label
-        while True:
-            a, b = label[i], label[j]
-            differ = a != b
-            if not differ.any():
-                return
-            i, j, a, b = i[differ], j[differ], a[differ], b[differ]
-            low = np.minimum(a, b)
-            np.minimum.at(label, np.maximum(a, b), low)
-            while True:
-                up = label[label]
-                if (up == label).all():
-                    break
-                label = up
-
     def resolve(a: np.ndarray, b: np.ndarray, c: np.ndarray, d: np.ndarray) -> None:
         """Compares the rows of small node pairs directly, some at a time."""
         sizes = (b - a) * (d - c)
@@ -134,7 +138,7 @@ def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int)
             width = (d - c)[k]
             i, j = a[k] + off // width, c[k] + off % width
             near = (i < j) & (np.bitwise_count(fps[i] ^ fps[j]) <= bits)
-            join(i[near], j[near])
+            labels.join(i[near], j[near])
             at = to
 
     small = 64
@@ -165,7 +169,7 @@ def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int)
             grown.append((x0[live], x1[live], y0[live], y1[live], s[live]))
         nxt = [np.concatenate(z) for z in zip(*grown)]
         stack.append((bit - 1, *nxt))
-    return label
+    return labels.of
 
 
 def _parts(mask: int, parts: int) -> list[int]:
@@ -338,9 +342,12 @@ def _spread_out(start: int, found: np.ndarray, near) -> None:
         unseen = unseen[~hit]
 
 
-def _filter_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Row pairs that join, inside each group [start, end), all rows within NEAR bits in the FILTER words."""
-    left, right = [], []
+def _filter_links(fps: np.ndarray, member: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Components of the members 0 .. n-1 that rows within NEAR bits in the FILTER words join, inside each group [start, end) of rows.
+
+    Links are merged as they are found, so a large group costs a label a member.
+    """
+    labels = Labels(int(member.max()) + 1 if len(member) else 0)
     sizes = ends - starts
     for m in np.unique(sizes[sizes <= LARGE]):
         i, j = np.triu_indices(m, 1)
@@ -350,18 +357,16 @@ def _filter_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tupl
             a = (own[at : at + step, None] + i).ravel()
             b = (own[at : at + step, None] + j).ravel()
             near = np.bitwise_count(fps[a] ^ fps[b]).sum(axis=1) <= NEAR
-            left.append(a[near])
-            right.append(b[near])
+            labels.join(member[a[near]], member[b[near]])
     for start, end in zip(starts[sizes > LARGE], ends[sizes > LARGE]):
         own = fps[start:end]
         found = np.full(len(own), -1)
         for k in range(len(own)):
             if found[k] < 0:
                 _spread_out(k, found, lambda x, rows: np.bitwise_count(own[rows] ^ own[x]).sum(axis=1) <= NEAR)
-        left.append(start + np.flatnonzero(found != np.arange(len(own))))
-        right.append(start + found[found != np.arange(len(own))])
-    none = np.zeros(0, np.int64)
-    return np.concatenate([none, *left]), np.concatenate([none, *right])
+        moved = np.flatnonzero(found != np.arange(len(own)))
+        labels.join(member[start + moved], member[start + found[moved]])
+    return labels.of
 
 
 def _wide_links(dealt: DataFrame) -> DataFrame:
@@ -375,11 +380,11 @@ def _wide_links(dealt: DataFrame) -> DataFrame:
         first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
         last = np.concatenate([first[1:], [len(key)]])
         many = last - first > 1
-        a, b = _filter_links(fps, first[many], last[many])
-        a, b = np.maximum(node[a], node[b]), np.minimum(node[a], node[b])
-        pairs = np.unique(np.stack([a, b], axis=1), axis=0)
-        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
-        del key, node, words, fps, parts
+        nodes, member = np.unique(node, return_inverse=True)
+        label = _filter_links(fps, member, first[many], last[many])
+        moved = np.flatnonzero(label != np.arange(len(label)))  # a node has one edge at most
+        yield pa.RecordBatch.from_arrays([pa.array(nodes[moved]), pa.array(nodes[label[moved]])], ["a", "b"])
+        del key, node, words, fps, parts, nodes, member
         release()
 
     return dealt.repartition("key").mapInArrow(run, "a long, b long")

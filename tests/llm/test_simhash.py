@@ -120,7 +120,22 @@ def test_keep_similar_odd_rows(make, odd, none):
 def test_large_groups_are_searched_whole():
     fps = np.repeat(np.arange(3, dtype=np.uint64)[:, None] * np.uint64(0x5555555555555555), 2, axis=1)
     fps = np.concatenate([fps[[k % 3]] ^ np.uint64(1 << k % 16) for k in range(simhash.LARGE + 90)])
-    a, b = simhash._filter_links(fps, np.array([0]), np.array([len(fps)]))
-    label = {k: k for k in range(len(fps))} | dict(zip(a.tolist(), b.tolist()))
+    label = dict(enumerate(simhash._filter_links(fps, np.arange(len(fps)), np.array([0]), np.array([len(fps)])).tolist()))
     near = lambda k: min(j for j in range(len(fps)) if int(np.bitwise_count(fps[j] ^ fps[k]).sum()) <= simhash.NEAR)
     assert all(label[k] == near(k) for k in label)
+
+
+def test_a_task_sends_one_edge_a_node(spark):
+    """Near copies in one large group, and in many small ones, join without their pairs leaving the task."""
+    rng = np.random.default_rng(1)
+    base = rng.integers(0, 2**63, 2, np.int64)
+    rows = []
+    for node in range(900):
+        words = [int(base[w] ^ (1 << int(rng.integers(0, 60)))) for w in range(2)]
+        rows += [(key, node, *words) for key in (7, 100 + node // 300, 1000 + node // 20)]
+    dealt = spark.createDataFrame(rows, "key int, node long, w0 long, w1 long")
+    edges = simhash._wide_links(dealt).collect()
+    parts = 4  # shuffle partitions of the session
+    assert len(edges) < 900 * parts
+    roots = {r["node"]: r["root"] for r in simhash.components(simhash._wide_links(dealt)).collect()}
+    assert len(roots) == 900 and set(roots.values()) == {0}
