@@ -142,7 +142,8 @@ class PacedState:
             self.shrinks += 1
             self.upkeep = None
 
-    def _settle(self) -> None:
+    def settle(self) -> None:
+        """Ends the decomposition under way."""
         while self.upkeep:
             self.upkeep.step()
             self._collect()
@@ -150,7 +151,7 @@ class PacedState:
     def _swap(self) -> None:
         if self.upkeep:
             self.overruns += 1
-            self._settle()
+            self.settle()
         full, self.active = self.active, np.zeros((self.capacity, self.d))
         self.live = len(self.other)
         self.active[: self.live] = self.other
@@ -163,7 +164,7 @@ class PacedState:
 
     def finish(self) -> np.ndarray:
         """Both buffers merged into one sketch."""
-        self._settle()
+        self.settle()
         last = ShrinkState(self.ell, self.d)
         last.extend(self.other, count=False)
         last.extend(self.active[: self.live], count=False)
@@ -172,6 +173,10 @@ class PacedState:
         self.shrinks += last.shrinks
         return rows
 
+    @property
+    def held_bytes(self) -> int:
+        return 8 * self.words
+
     @property
     def words(self) -> int:
         return 2 * self.capacity * self.d

@@ -142,6 +142,10 @@ class ShrinkState:
             rows *= np.where(lead < 0, -1.0, 1.0)[:, None]
         return rows
 
+    @property
+    def held_bytes(self) -> int:
+        return self.rows.nbytes
+
     @property
     def words(self) -> int:
         return self.capacity * self.d

@@ -9,6 +9,7 @@ different numbers.
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,7 +19,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rowsketch.functions.vectors import vec_norm2
-from rowsketch.operators.dist import vectors
+from rowsketch.kernel.shrink import ShrinkState
+from rowsketch.operators.dist import FAN_IN, partitions_of, rounds_for, vectors
 from rowsketch.operators.sketch import Sketch
 
 #: Widest matrix whose Gram is made whole.
@@ -87,7 +89,12 @@ class BucketSigns:
 
     def extend(self, block: np.ndarray, ids: np.ndarray) -> None:
         x = mixed(ids, 0, self.seed)
-        np.add.at(self.b, (x >> np.uint64(8)) % np.uint64(len(self.b)), np.where(x & np.uint64(1), 1.0, -1.0)[:, None] * block)
+        bucket = (x >> np.uint64(8)) % np.uint64(len(self.b))
+        order = np.argsort(bucket, kind="stable")
+        first = np.flatnonzero(np.diff(bucket[order], prepend=np.uint64(len(self.b))))
+        if len(first):
+            signed = np.where(x[order] & np.uint64(1), 1.0, -1.0)[:, None] * block[order]
+            self.b[bucket[order[first]].astype(np.int64)] += np.add.reduceat(signed, first, axis=0)
 
     def partial(self) -> list[tuple[int, bytes]]:
         return [(0, self.b.tobytes())]
@@ -138,7 +145,30 @@ class NormRaces:
         return [(0, np.concatenate([[self.f2], self.key, self.rows.ravel()]).tobytes())]
 
 
-ACCUMULATORS = {"zero": Zero, "gram": GramTiles, "bucket": BucketSigns, "dense": DenseSigns, "norm": NormRaces}
+class ShrinkRows:
+    """The buffered shrink sketch, beside other methods in one scan."""
+
+    HEAD = 5
+
+    def __init__(self, ell: int, d: int, seed: int = 0):
+        self.state = ShrinkState(ell, d)
+
+    def extend(self, block: np.ndarray, ids: np.ndarray) -> None:
+        self.state.extend(block)
+
+    def partial(self) -> list[tuple[int, bytes]]:
+        return [(0, self.packed().tobytes())]
+
+    def packed(self) -> np.ndarray:
+        rows = self.state.finish()
+        return np.concatenate([[self.state.n_rows, self.state.f2, self.state.shed, self.state.shrinks, len(rows)], rows.ravel()])
+
+    def take(self, body: np.ndarray) -> None:
+        n, f2, shed, shrinks, live = body[: self.HEAD]
+        self.state.merge(body[self.HEAD :].reshape(int(live), -1) if live else np.zeros((0, self.state.d)), int(n), f2, shed, int(shrinks))
+
+
+ACCUMULATORS = {"shrink": ShrinkRows, "zero": Zero, "gram": GramTiles, "bucket": BucketSigns, "dense": DenseSigns, "norm": NormRaces}
 
 
 def combine(kind: str, a: np.ndarray, b: np.ndarray, ell: int) -> np.ndarray:
@@ -154,8 +184,11 @@ def combine(kind: str, a: np.ndarray, b: np.ndarray, ell: int) -> np.ndarray:
     return out
 
 
-def finish(kind: str, body: np.ndarray, ell: int, d: int) -> np.ndarray:
-    """Rows of a method's sketch from its combined partial result."""
+def finish(kind: str, body: np.ndarray, ell: int, d: int):
+    """Rows of a method's sketch from its combined partial result; a :class:`Sketch` of the shrink method."""
+    if kind == "shrink":
+        n, f2, shed, shrinks, live = body[: ShrinkRows.HEAD]
+        return Sketch(body[ShrinkRows.HEAD :].reshape(int(live), d), ell, d, int(n), float(f2), float(shed), int(shrinks))
     if kind == "zero":
         return np.zeros((ell, d))
     if kind == "norm":
@@ -166,50 +199,79 @@ def finish(kind: str, body: np.ndarray, ell: int, d: int) -> np.ndarray:
     return body.reshape(ell, d)
 
 
-def accumulate(df: DataFrame, jobs: dict[str, tuple[str, int, int]], d: int, fan_in: int = 32, dist: str = "sign") -> dict[str, np.ndarray]:
-    """One scan for many jobs: tag -> (kind, ell, seed).  Returns each tag's rows (a Gram: d x d).
+def accumulate(df: DataFrame, jobs: dict[str, tuple[str, int, int]], d: int, fan_in: int = FAN_IN, dist: str = "sign", seconds: dict[str, float] | None = None) -> dict:
+    """One scan for many jobs: tag -> (kind, ell, seed).  Returns each tag's rows (a Gram: d x d; a shrink sketch: a Sketch).
 
-    ``dist``: "sign" or "gaussian", what the dense method draws.
+    ``dist``: "sign" or "gaussian", what the dense method draws.  ``seconds``
+    is filled with each tag's own processor time, summed over the tasks, and that
+    of reading under ''.
 
     Partial results of equal (tag, part) are combined ``fan_in`` tasks at a
-    time, then together; what reaches the driver is one result a tag.
+    time until one is left; what reaches the driver is one result a tag.
     """
     kinds = {t: (k, ell) for t, (k, ell, _) in jobs.items()}
-    schema = "tag string, part int, pid int, body binary"
+    schema = "tag string, part int, pid int, body binary, seconds double"
+    names = ["tag", "part", "pid", "body", "seconds"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         states = {t: ACCUMULATORS[k](ell, d, seed, **({"dist": dist} if k == "dense" else {})) for t, (k, ell, seed) in jobs.items()}
+        spent = dict.fromkeys(["", *states], 0.0)
         seen = False
+        clock = time.process_time()
         for rb in batches:
             if rb.num_rows:
                 seen = True
                 ids = rb.column(0).to_numpy()
                 block = vectors(rb.column(1), d)
-                for s in states.values():
+                spent[""] += time.process_time() - clock
+                for t, s in states.items():
+                    clock = time.process_time()
                     s.extend(block, ids)
+                    spent[t] += time.process_time() - clock
+                clock = time.process_time()
         if seen:
             pid = TaskContext.get().partitionId()
             for t, s in states.items():
-                for part, body in s.partial():
-                    yield pa.RecordBatch.from_arrays([pa.array([t]), pa.array([part], pa.int32()), pa.array([pid], pa.int32()), pa.array([body], pa.binary())], ["tag", "part", "pid", "body"])
+                clock = time.process_time()
+                parts = s.partial()
+                spent[t] += time.process_time() - clock
+                for part, body in parts:
+                    yield pa.RecordBatch.from_arrays([pa.array([t]), pa.array([part], pa.int32()), pa.array([pid], pa.int32()), pa.array([body], pa.binary()), pa.array([spent[t] if part == 0 else 0.0])], names)
+            yield pa.RecordBatch.from_arrays([pa.array([""]), pa.array([0], pa.int32()), pa.array([pid], pa.int32()), pa.array([b""], pa.binary()), pa.array([spent[""]])], names)
 
     def add(table: pa.Table) -> pa.Table:
         tag = table.column("tag")[0].as_py()
-        kind, ell = kinds[tag]
+        kind, ell = kinds.get(tag, ("zero", 0))
         column = table.column("body")
-        total = np.frombuffer(column[0].as_py()).copy()
-        for i in range(1, len(column)):
-            total = combine(kind, total, np.frombuffer(column[i].as_py()), ell)
-        return pa.Table.from_arrays([pa.array([tag]), table.column("part").slice(0, 1).combine_chunks(), pa.array([table.column("pid")[0].as_py() // fan_in], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["tag", "part", "pid", "body"])
-
-    partial = df.select("row_id", "vec").mapInArrow(run, schema)
-    some = partial.groupBy("tag", "part", F.floor(F.col("pid") / fan_in).alias("g")).applyInArrow(add, schema)
-    whole = some.groupBy("tag", "part").applyInArrow(add, schema).collect()
+        order = np.argsort(table.column("pid").to_numpy(), kind="stable")
+        clock = time.process_time()
+        if kind == "shrink":
+            whole = ShrinkRows(ell, d)
+            for i in order:
+                whole.take(np.frombuffer(column[int(i)].as_py()))
+            total = whole.packed()
+        else:
+            total = np.frombuffer(column[int(order[0])].as_py()).copy()
+            for i in order[1:]:
+                total = combine(kind, total, np.frombuffer(column[int(i)].as_py()), ell)
+        spent = sum(table.column("seconds").to_pylist()) + (time.process_time() - clock if tag else 0.0)
+        return pa.Table.from_arrays([pa.array([tag]), table.column("part").slice(0, 1).combine_chunks(), pa.array([int(table.column("pid")[0].as_py()) // fan_in], pa.int32()), pa.array([total.tobytes()], pa.binary()), pa.array([spent])], names=names)
+
+    rows = df.select("row_id", "vec")
+    found = rows.mapInArrow(run, schema)
+    rounds = rounds_for(partitions_of(rows), fan_in)
+    for r in range(rounds):
+        group = F.lit(0) if r == rounds - 1 else F.floor(F.col("pid") / fan_in)
+        found = found.groupBy("tag", "part", group.alias("g")).applyInArrow(add, schema)
+    whole = found.collect()
+    if seconds is not None:
+        for t in ["", *jobs]:
+            seconds[t] = sum(r["seconds"] for r in whole if r["tag"] == t)
     out = {}
     for t, (kind, ell, _) in jobs.items():
         parts = sorted((r["part"], bytes(r["body"])) for r in whole if r["tag"] == t)
         if not parts:
-            out[t] = np.zeros((d, d) if kind == "gram" else (ell, d))
+            out[t] = np.zeros((d, d)) if kind == "gram" else Sketch(np.zeros((0, d)), ell, d, 0, 0.0, 0.0) if kind == "shrink" else np.zeros((ell, d))
         elif kind == "gram":
             out[t] = np.frombuffer(b"".join(b for _, b in parts)).reshape(d, d)
         else:
@@ -274,14 +336,19 @@ def zero_sketch(df: DataFrame, ell: int) -> DataFrame:
 
 
 def norm_sample_sql(df: DataFrame, ell: int, seed: int) -> DataFrame:
-    """(slot, row_id, p, vec): the winner of each slot's race, scaled by 1 / sqrt(ell p)."""
-    weighted = df.select("row_id", "vec", vec_norm2("vec").alias("w")).where("w > 0")
+    """(slot, row_id, p, vec): the winner of each slot's race, scaled by 1 / sqrt(ell p).
+
+    Races are run over (row_id, weight); only the winners, ``ell`` rows at
+    most, are joined back to their vectors.
+    """
+    weighted = df.select("row_id", vec_norm2("vec").alias("w")).where("w > 0")
     total = weighted.agg(F.sum("w").alias("f2"))
-    slots = df.sparkSession.range(ell).select(F.col("id").cast("int").alias("slot"))
-    races = weighted.crossJoin(F.broadcast(slots)).select("slot", "row_id", "w", "vec", (-F.log(digest_uniform(F.col("row_id"), F.col("slot"), str(seed))) / F.col("w")).alias("race"))
-    won = races.groupBy("slot").agg(F.min_by(F.struct("row_id", "w", "vec"), "race").alias("a"))
-    scaled = won.crossJoin(F.broadcast(total)).select("slot", "a.row_id", (F.col("a.w") / F.col("f2")).alias("p"), F.col("a.vec").alias("v"))
-    return scaled.select("slot", "row_id", "p", F.transform("v", lambda x: x / F.sqrt(ell * F.col("p"))).alias("vec"))
+    slots = F.explode(F.sequence(F.lit(0), F.lit(ell - 1))).alias("slot")
+    races = weighted.select("row_id", "w", slots).select("slot", "row_id", "w", (-F.log(digest_uniform(F.col("row_id"), F.col("slot"), str(seed))) / F.col("w")).alias("race"))
+    won = races.groupBy("slot").agg(F.min_by(F.struct("row_id", "w"), F.struct("race", "row_id")).alias("a")).select("slot", "a.row_id", "a.w")
+    scaled = won.crossJoin(F.broadcast(total)).select("slot", "row_id", (F.col("w") / F.col("f2")).alias("p"))
+    found = df.select("row_id", "vec").join(F.broadcast(scaled), "row_id")
+    return found.select("slot", "row_id", "p", F.transform("vec", lambda x: x / F.sqrt(ell * F.col("p"))).alias("vec"))
 
 
 def norm_sample_without_replacement(df: DataFrame, ell: int, seed: int) -> DataFrame:
@@ -298,11 +365,12 @@ def bucket_sign_sql(df: DataFrame, ell: int, seed: int) -> DataFrame:
 
 
 def dense_sign_sql(df: DataFrame, ell: int, seed: int) -> DataFrame:
-    """(slot, pos, val)."""
-    slots = df.sparkSession.range(ell).select(F.col("id").cast("int").alias("slot"))
-    sign = F.when(F.pmod(digest(F.col("row_id"), F.col("slot"), str(seed)), F.lit(2)) == 0, 1.0).otherwise(-1.0)
-    signed = df.crossJoin(F.broadcast(slots)).select("slot", sign.alias("sign"), F.posexplode("vec").alias("pos", "x"))
-    return signed.groupBy("slot", "pos").agg((F.sum(F.col("sign") * F.col("x")) / F.sqrt(F.lit(float(ell)))).alias("val"))
+    """(slot, pos, val): a row's signs are drawn once, and each entry is added to all slots at once."""
+    signs = F.array(*[F.when(F.pmod(digest(F.col("row_id"), F.lit(s), str(seed)), F.lit(2)) == 0, 1.0).otherwise(-1.0) for s in range(ell)])
+    signed = df.select(signs.alias("signs"), F.posexplode("vec").alias("pos", "x"))
+    sums = signed.groupBy("pos").agg(*[F.sum(F.col("signs")[s] * F.col("x")).alias(f"s{s}") for s in range(ell)])
+    slots = F.posexplode(F.array(*[f"s{s}" for s in range(ell)])).alias("slot", "val")
+    return sums.select("pos", slots).select("slot", "pos", (F.col("val") / F.sqrt(F.lit(float(ell)))).alias("val"))
 
 
 def sparsify(df: DataFrame, keep: float, seed: int) -> DataFrame:

@@ -26,6 +26,12 @@ from rowsketch.kernel.paced import PacedState
 from rowsketch.kernel.shrink import ShrinkState
 
 FAN_IN = 32
+#: Taken for the number of tasks where the plan does not tell it.
+MANY_TASKS = 1 << 20
+#: Rows of sketches that a task holds for its keys before it hands them on.
+STATE_BYTES = 256 << 20
+#: Rows of sketches in one Arrow batch, in bytes.
+BATCH_BYTES = 32 << 20
 
 
 def vectors(column: pa.Array, d: int | None, on_bad_row: str = "error") -> np.ndarray:
@@ -65,17 +71,21 @@ def make_state(ell: int, d: int, variant: str, svd: str, buffer_factor: float):
 
 
 def partitions_of(df: DataFrame) -> int:
-    """Tasks that a scan of ``df`` is planned with; an estimate from the plan, no job runs."""
+    """Most tasks that ``df`` can run with; no job runs.
+
+    Below a shuffle the count is that of the topmost exchange, which run time
+    may only lower.  A plan of files is asked for its splits.  Where neither
+    tells, as for a union over shuffles, the answer is generous: a merge round
+    too many moves one sketch, a round too few would move all to one task.
+    """
     plan = df._jdf.queryExecution()
-    # the topmost exchange tells; its own count may only be lowered at run time
-    dealt = re.search(r"RoundRobinPartitioning\((\d+)\)|partitioning\([^\n]*?, (\d+)\)", plan.executedPlan().toString())
-    if dealt:
-        return int(dealt.group(1) or dealt.group(2))
-    size = int(str(plan.optimizedPlan().stats().sizeInBytes()))
-    split = df.sparkSession.conf.get("spark.sql.files.maxPartitionBytes", "134217728")
-    digits = "".join(c for c in split if c.isdigit()) or "134217728"
-    unit = {"k": 1 << 10, "m": 1 << 20, "g": 1 << 30}.get(split.lower().rstrip("b")[-1:], 1)
-    return max(1, min(1_000_000, -(-size // max(1, int(digits) * unit))))
+    text = plan.executedPlan().toString()
+    if "Exchange" not in text:
+        return max(1, int(plan.toRdd().getNumPartitions()))
+    dealt = re.search(r"RoundRobinPartitioning\((\d+)\)|partitioning\([^\n]*?, (\d+)\)", text)
+    if not dealt or "Union" in text:
+        return MANY_TASKS
+    return int(dealt.group(1) or dealt.group(2))
 
 
 def layout(df: DataFrame, order: str, partitions: int | None = None) -> DataFrame:
@@ -109,8 +119,22 @@ def sketch(
     return merge_tree(partial, keys=keys, fan_in=fan_in, tasks=tasks, transport=transport, svd=svd)
 
 
+def grouped(columns: list[pa.Array], n: int) -> Iterator[tuple[tuple, np.ndarray | None]]:
+    """The distinct keys of a batch and the rows of each; columns are compared by code, only distinct keys become Python values."""
+    if not columns:
+        yield (), None
+        return
+    codes = np.zeros(n, np.int64)
+    for c in columns:
+        own = c.dictionary_encode(null_encoding="encode").indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        codes = np.unique(codes * (int(own.max()) + 1) + own, return_inverse=True)[1]
+    order = np.argsort(codes, kind="stable")
+    for at in np.split(order, np.flatnonzero(np.diff(codes[order])) + 1):
+        yield tuple(c[int(at[0])].as_py() for c in columns), at
+
+
 def local_sketches(df: DataFrame, ell: int, *, d: int | None = None, variant: str = "buffered", keys: list[str] | None = None, buffer_factor: float = 2.0, svd: str = "auto", transport: str = "float64", on_bad_row: str = "error") -> DataFrame:
-    """A packed row for each task (and key) that saw rows."""
+    """A packed row for each task (and key) that saw rows; with very many keys a task hands on a key's sketch more than once."""
     keys = list(keys or [])
     schema = T.StructType([df.schema[k] for k in keys] + packed.FIELDS)
     kinds = [to_arrow_type(df.schema[k].dataType) for k in keys]
@@ -118,29 +142,35 @@ def local_sketches(df: DataFrame, ell: int, *, d: int | None = None, variant: st
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         states: dict[tuple, object] = {}
         pid = TaskContext.get().partitionId()
+
+        def hand_on() -> Iterator[pa.RecordBatch]:
+            names, rows, size = [], [], 0
+            for key, s in states.items():
+                names.append(key)
+                rows.append(packed.row(pid, s, s.finish(), transport))
+                size += len(rows[-1][-1])
+                if size >= BATCH_BYTES:
+                    yield packed.batch(rows, names, keys, kinds)
+                    names, rows, size = [], [], 0
+            if rows:
+                yield packed.batch(rows, names, keys, kinds)
+            states.clear()
+
         for rb in batches:
             if not rb.num_rows:
                 continue
             column = rb.column(rb.num_columns - 1)
-            if keys:
-                whole = list(zip(*[rb.column(k).to_pylist() for k in range(len(keys))]))
-                groups: dict[tuple, list[int]] = {}
-                for at, key in enumerate(whole):
-                    groups.setdefault(key, []).append(at)
-                parts = [(key, column.take(pa.array(at))) for key, at in groups.items()]
-            else:
-                parts = [((), column)]
-            for key, part in parts:
+            for key, at in grouped(rb.columns[: len(keys)], rb.num_rows):
                 state = states.get(key)
-                block = vectors(part, state.d if state else d, on_bad_row)
+                block = vectors(column if at is None else column.take(pa.array(at)), state.d if state else d, on_bad_row)
                 if not len(block):
                     continue
                 if state is None:
                     state = states[key] = make_state(ell, block.shape[1], variant, svd, buffer_factor)
                 state.extend(block)
-        if states:
-            rows = [packed.row(pid, s, s.finish(), transport) for s in states.values()]
-            yield packed.batch(rows, list(states), keys, kinds)
+            if keys and sum(s.held_bytes for s in states.values()) > STATE_BYTES:
+                yield from hand_on()
+        yield from hand_on()
 
     return df.select(*keys, "vec").mapInArrow(run, schema)
 

@@ -71,27 +71,59 @@ def pca(df: DataFrame, k: int, d: int, ell: int | None = None) -> tuple[Sketch,
     return sk, project(centred, sk, k)
 
 
-def lsi(documents: DataFrame, queries: DataFrame, *, dim: int = 256, ell: int = 64, k: int = 20, top: int = 5) -> DataFrame:
+#: Queries that one pass over the documents answers.
+QUERIES = 10_000
+
+
+def lsi(documents: DataFrame, queries: DataFrame, *, dim: int = 256, ell: int = 64, k: int = 20, top: int = 5, block: int = QUERIES) -> DataFrame:
     """(query_id, row_id, rank, score): nearest documents in the space of the sketched, tf-idf weighted words.
 
-    ``queries`` (item_id, text) is a small set: its coordinates are checked and
-    broadcast; documents are read once more.
+    ``queries`` (item_id, text) go through the documents ``block`` at a time; a
+    task keeps the best of each query only, so no pair beyond these leaves it.
     """
-    docs = view.l2(view.tfidf(view.from_text(documents, "doc_id", "text", dim), dim))
+    docs = view.tfidf(view.from_text(documents, "doc_id", "text", dim), dim)
+    docs = view.l2(docs)
     sk = Sketch.from_df(sketch(docs, ell, d=dim))
-    asked = project(view.l2(view.from_text(queries, "item_id", "text", dim)), sk, k)
-    asked = asked.select(F.col("row_id").alias("query_id"), F.col("coords").alias("q"))
-    if asked.limit(10_001).count() > 10_000:
-        raise ValueError("too many queries to broadcast; ask in several calls")
-    score = F.aggregate(F.zip_with("q", "coords", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) / F.sqrt(vec_norm2("q") * vec_norm2("coords"))
-    pairs = project(docs, sk, k).crossJoin(F.broadcast(asked)).select("query_id", "row_id", score.alias("score"))
+    asked = project(view.from_text(queries, "item_id", "text", dim, "l2"), sk, k)
+    coords = project(docs, sk, k)
+    best = None
+    held: list = []
+    for r in asked.toLocalIterator():
+        held.append(r)
+        if len(held) == block:
+            part = _nearest(coords, held, top)
+            best, held = part if best is None else best.unionByName(part), []
+    if held or best is None:
+        part = _nearest(coords, held, top)
+        best = part if best is None else best.unionByName(part)
     from pyspark.sql import Window
 
-    # Spark keeps the first ranks of each task before the shuffle
-    ranked = pairs.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "row_id")))
+    ranked = best.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "row_id")))
     return ranked.where(F.col("rank") <= top)
 
 
+def _nearest(coords: DataFrame, asked: list, top: int) -> DataFrame:
+    """(query_id, row_id, score): each task's best rows for each query."""
+    ids = np.array([r["row_id"] for r in asked], np.int64)
+    q = np.array([r["coords"] for r in asked], np.float64).reshape(len(ids), -1 if len(ids) else 0)
+    q = q / np.maximum(np.sqrt(np.einsum("ij,ij->i", q, q)), 1e-300)[:, None]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows, score = np.zeros((len(ids), 0), np.int64), np.zeros((len(ids), 0))
+        for rb in batches:
+            for at in range(0, rb.num_rows if len(ids) else 0, 1024):
+                part = rb.slice(at, 1024)
+                x = vectors(part.column(1), q.shape[1])
+                s = q @ (x / np.maximum(np.sqrt(np.einsum("ij,ij->i", x, x)), 1e-300)[:, None]).T
+                score = np.concatenate([score, s], axis=1)
+                rows = np.concatenate([rows, np.broadcast_to(part.column(0).to_numpy(), s.shape)], axis=1)
+                order = np.lexsort((rows, -score), axis=1)[:, :top]
+                score, rows = np.take_along_axis(score, order, 1), np.take_along_axis(rows, order, 1)
+        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, rows.shape[1])), pa.array(rows.ravel()), pa.array(score.ravel())], ["query_id", "row_id", "score"])
+
+    return coords.select("row_id", "coords").mapInArrow(run, "query_id long, row_id long, score double")
+
+
 def kmeans(coords: DataFrame, k: int, seed: int = 1) -> DataFrame:
     """(row_id, cluster) of projected rows."""
     from pyspark.ml.clustering import KMeans

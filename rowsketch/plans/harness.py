@@ -22,31 +22,66 @@ ELLS = (12, 20, 40, 60, 80, 100)
 
 
 def error_report(df: DataFrame, name: str, d: int, k: int, ells=ELLS, seeds=(1, 2, 3, 4, 5), timing: bool = False) -> DataFrame:
-    """Errors of all methods: one scan for every random method, length and seed, and the exact Gram; one scan for each shrink sketch."""
-    spark = df.sparkSession
+    """Errors of all methods, and with ``timing`` the processor seconds of each, from one scan.
+
+    The seconds of a method are those of reading the rows and its own, added
+    up over all tasks; a method without chance is run once a seed for them.
+    """
     jobs: dict[str, tuple[str, int, int]] = {"gram": ("gram", 1, 0)}
+    runs = seeds if timing else seeds[:1]
+    for s in runs:
+        if timing:
+            jobs[f"gram-top|0|{s}"] = ("gram", 1, 0)
+        for ell in ells:
+            jobs[f"shrink|{ell}|{s}"] = ("shrink", ell, 0)
+            jobs[f"zero|{ell}|{s}"] = ("zero", ell, 0)
     for method, kind in RANDOM.items():
         for ell in ells:
             for s in seeds:
                 jobs[f"{method}|{ell}|{s}"] = (kind, ell, s)
-    found = baselines.accumulate(df, jobs, d)
-    gram = found.pop("gram")
+    spent: dict[str, float] = {}
+    found = baselines.accumulate(df, jobs, d, seconds=spent)
+    gram = found["gram"]
     rows = []
 
-    def add(method: str, ell: int, seed: int, b: np.ndarray, seconds: float | None) -> None:
+    def add(method: str, ell: int, seed: int, b: np.ndarray, own: float) -> None:
         g = guarantee(ell, k)
-        rows.append((name, method, ell, k, seed, measures.cov_error_of(gram, b), measures.proj_error_of(gram, b, k)[0], g[0], g[1], seconds, measures.space_words("buffered" if method == "shrink" else method, ell, d)))
+        rows.append((name, method, ell, k, seed, measures.cov_error_of(gram, b), measures.proj_error_of(gram, b, k)[0], g[0], g[1], spent[""] + own if timing else None, measures.space_words("buffered" if method == "shrink" else method, ell, d)))
 
     for tag, b in found.items():
-        method, ell, s = tag.split("|")
-        add(method, int(ell), int(s), b, method_seconds(df, method, int(ell), d) if timing and s == str(seeds[0]) else None)
+        if tag != "gram" and not tag.startswith("gram-top"):
+            method, ell, s = tag.split("|")
+            add(method, int(ell), int(s), b.rows if method == "shrink" else b, spent[tag])
     for ell in ells:
-        t = time.perf_counter()
-        sk = Sketch.from_df(sketch(df, ell, d=d))
-        add("shrink", ell, 0, sk.rows, time.perf_counter() - t)
-        add("gram-top", ell, 0, baselines.top_of_gram(gram, ell), method_seconds(df, "gram-top", ell, d) if timing else None)
-        add("zero", ell, 0, np.zeros((ell, d)), method_seconds(df, "zero", ell, d) if timing else None)
-    return spark.createDataFrame(rows, REPORT)
+        for s in runs:
+            clock = time.process_time()
+            top = baselines.top_of_gram(gram, ell)
+            add("gram-top", ell, int(s), top, spent.get(f"gram-top|0|{s}", 0.0) + time.process_time() - clock)
+    return df.sparkSession.createDataFrame(rows, REPORT)
+
+
+#: What holds for each method at every length, whatever the data.
+CHECKS = {"shrink": ("within_guarantee", "not_below_gram_top"), "gram-top": ("least_error", "within_guarantee"), "zero": ("same_at_every_length",), "norm-sampling": ("not_below_gram_top",), "bucket-sign": ("not_below_gram_top",), "dense-sign": ("not_below_gram_top",)}
+
+
+def report_checks(report: DataFrame) -> list[tuple[str, str, int, str, bool]]:
+    """(dataset, method, ell, check, ok) of the medians of a report."""
+    rows = report.collect()
+    at = {(r["dataset"], r["method"], r["ell"]): r for r in rows}
+    out = []
+    for r in rows:
+        top = at[r["dataset"], "gram-top", r["ell"]]
+        others = [x for x in rows if x["dataset"] == r["dataset"] and x["method"] == r["method"]]
+        own = {
+            "within_guarantee": bool(r["within"]),
+            "not_below_gram_top": r["cov_error"] >= top["cov_error"] - 1e-9,
+            "least_error": all(x["cov_error"] >= r["cov_error"] - 1e-9 for x in rows if (x["dataset"], x["ell"]) == (r["dataset"], r["ell"])),
+            "same_at_every_length": len({round(x["cov_error"], 12) for x in others}) == 1,
+        }
+        out += [(r["dataset"], r["method"], r["ell"], c, bool(own[c])) for c in CHECKS[r["method"]]]
+        if r["seconds"] is not None:
+            out.append((r["dataset"], r["method"], r["ell"], "timed", r["seconds"] > 0))
+    return out
 
 
 def medians(report: DataFrame) -> DataFrame:
@@ -56,18 +91,18 @@ def medians(report: DataFrame) -> DataFrame:
     return out.withColumn("within", (F.col("cov_error") <= F.col("guarantee_cov") + 1e-9) & F.coalesce(F.col("proj_error") <= F.col("guarantee_proj") + 1e-9, F.lit(True)))
 
 
-def method_seconds(df: DataFrame, method: str, ell: int, d: int) -> float:
-    """Wall seconds of one method alone."""
-    t = time.perf_counter()
-    if method == "shrink":
-        sketch(df, ell, d=d).collect()
-    elif method == "gram-top":
-        baselines.gram_top(df, ell, d)
-    elif method == "zero":
-        baselines.accumulate(df, {"z": ("zero", ell, 0)}, d)
-    else:
-        baselines.accumulate(df, {"m": (RANDOM[method], ell, 1)}, d)
-    return time.perf_counter() - t
+def method_seconds(df: DataFrame, method: str, ell: int, d: int, runs: int = 1) -> float:
+    """Median wall seconds of one method alone."""
+
+    def run() -> None:
+        if method == "shrink":
+            sketch(df, ell, d=d).collect()
+        elif method == "gram-top":
+            baselines.gram_top(df, ell, d)
+        else:
+            baselines.accumulate(df, {"m": (RANDOM.get(method, "zero"), ell, 1)}, d)
+
+    return measures.timed(run, runs)
 
 
 def synthetic(spark: SparkSession, n: int = 10_000, d: int = 1000, m: int = 10, noise_div: float = 10.0, seed: int = 1) -> DataFrame:
@@ -93,15 +128,18 @@ def noise_sweep(spark: SparkSession, noises=(5, 10, 15, 20), ells=ELLS, n: int =
     return out
 
 
-def scaling(spark: SparkSession, ns=(10_000, 20_000, 50_000), ds=(250, 500, 1000), ell: int = 100) -> DataFrame:
-    """Seconds of the buffered sketch against rows and columns: (n, d, ell, seconds, mb_per_s)."""
-    rows = []
+def scaling(spark: SparkSession, ns=(10_000, 20_000, 50_000, 100_000), ds=(500, 1000, 2000), ell: int = 100) -> DataFrame:
+    """Processor seconds of the buffered sketch's kernel against rows and columns, with the exponents of both: (n, d, ell, seconds, mb_per_s, slope_n, slope_d)."""
+    at = {}
     for d in ds:
         for n in ns:
-            df = synthetic(spark, n, d)
-            s = method_seconds(df, "shrink", ell, d)
-            rows.append((n, d, ell, s, n * d * 4 / 1e6 / s))
-    return spark.createDataFrame(rows, "n long, d int, ell int, seconds double, mb_per_s double")
+            spent: dict[str, float] = {}
+            baselines.accumulate(datagen.signal_noise(spark, n, d), {"s": ("shrink", ell, 0)}, d, seconds=spent)
+            at[n, d] = spent["s"]
+    slopes = {d: slope(np.array(ns), np.array([at[n, d] for n in ns])) for d in ds}
+    across = {n: slope(np.array(ds), np.array([at[n, d] for d in ds])) for n in ns}
+    rows = [(n, d, ell, s, n * d * 4 / 1e6 / s, slopes[d], across[n]) for (n, d), s in at.items()]
+    return spark.createDataFrame(rows, "n long, d int, ell int, seconds double, mb_per_s double, slope_n double, slope_d double")
 
 
 def slope(x: np.ndarray, y: np.ndarray) -> float:
@@ -110,24 +148,30 @@ def slope(x: np.ndarray, y: np.ndarray) -> float:
 
 
 def merging(df: DataFrame, d: int, ell: int, parts=(1, 4, 16, 64), fan_ins=(4, 32)) -> DataFrame:
-    """Error and time against the number of parts and the fan-in: (parts, fan_in, rounds, cov_error, shed_share, seconds, moved_bytes)."""
+    """Error and time against the number of parts and the fan-in: (parts, fan_in, rounds, cov_error, shed_share, seconds, moved_bytes).
+
+    ``moved_bytes`` are the bodies of the packed rows that the merge tree reads.
+    """
     spark = df.sparkSession
     gram = baselines.gram_block(df, d)
     f2 = float(np.trace(gram))
     rows = []
     for p in parts:
+        local = materialise(local_sketches(df.repartition(p, "row_id"), ell, d=d), "local")
+        moved = local.agg(F.sum(F.octet_length("body"))).first()[0]
         for f in fan_ins:
-            t = time.perf_counter()
-            sk = Sketch.from_df(merge_tree(local_sketches(df.repartition(p, "row_id"), ell, d=d), fan_in=f, tasks=p))
-            rows.append((p, f, rounds_for(p, f), measures.cov_error_of(gram, sk.rows), sk.shed / f2, time.perf_counter() - t, p * (ell - 1) * d * 8))
+            clock = time.perf_counter()
+            sk = Sketch.from_df(merge_tree(local, fan_in=f, tasks=p))
+            rows.append((p, f, rounds_for(p, f), measures.cov_error_of(gram, sk.rows), sk.shed / f2, time.perf_counter() - clock, int(moved)))
     return spark.createDataFrame(rows, "parts int, fan_in int, rounds int, cov_error double, shed_share double, seconds double, moved_bytes long")
 
 
 def latencies(ell: int = 20, d: int = 200, n: int = 2000) -> dict[str, dict[str, float]]:
-    """Seconds of single updates for the three variants."""
+    """Seconds of single updates for the three variants, each the median of five runs."""
     x = datagen.signal_block(np.arange(n), d, 10, 10.0, 1)
-    return {
-        "per_row": measures.update_latency(lambda: ShrinkState(ell, d, "per_row"), x),
-        "buffered": measures.update_latency(lambda: ShrinkState(ell, d), x),
-        "paced": measures.update_latency(lambda: PacedState(ell, d), x),
-    }
+    makes = {"per_row": lambda: ShrinkState(ell, d, "per_row"), "buffered": lambda: ShrinkState(ell, d), "paced": lambda: PacedState(ell, d)}
+    out = {}
+    for v, make in makes.items():
+        runs = [measures.update_latency(make, x) for _ in range(5)]
+        out[v] = {c: float(np.median([r[c] for r in runs])) for c in runs[0]}
+    return out

@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 
 from rowsketch.operators import baselines as B
 from rowsketch.operators import dist, items, measures, project
-from rowsketch.operators.sketch import Sketch, ell_for_cov, ell_for_heavy, ell_for_proj, guarantee
+from rowsketch.operators.sketch import Sketch, counter_floor_bits, ell_for_cov, ell_for_heavy, ell_for_proj, guarantee, space_floor, space_floor_proj
 from rowsketch.plans import harness, relational
-from rowsketch.shared import shared_dir
+from rowsketch.shared import materialise, scratch
 from rowsketch.sources import datagen, store, view
 from rowsketch.sources.tables import file_stream, load
 from rowsketch.streaming import sketches as streams
@@ -111,8 +111,9 @@ def _merge_tree(spark, sf_dir):
 
 
 def _doc(spark, sf_dir):
-    v = view.doc(load(spark, sf_dir, "documents"))
-    return Sketch.from_df(dist.sketch(v, 40, d=256)), B.gram_block(v, 256)
+    """Sketch and Gram of the documents' words from one pass over the texts."""
+    found = B.accumulate(view.doc(load(spark, sf_dir, "documents")), {"s": ("shrink", 40, 0), "g": ("gram", 1, 0)}, 256)
+    return found["s"], found["g"]
 
 
 def _hard(spark, sf_dir):
@@ -142,11 +143,13 @@ def pca_num(spark, sf_dir):
 
 
 def counter_bounds_words(spark, sf_dir):
+    """Bounds of the counters of all words; the exact counts are made once and serve every check."""
     words = view.tokens(load(spark, sf_dir, "documents"), "doc_id", "text")
-    s = items.summarise(words, "token", 200)
-    e = items.counter_error(words, "token", s)
-    tail = items.tails(items.exact_counts(words, "token"), 100).where("k = 100").select(F.col("tail"))
-    one = e.crossJoin(F.broadcast(tail))
+    s = materialise(items.summarise(words, "token", 200), "summary")
+    exact = materialise(items.exact_counts(words, "token"), "counts")
+    gaps = exact.join(items.estimates(s).select("item", "low"), "item", "full_outer").select((F.coalesce("cnt", F.lit(0)) - F.coalesce("low", F.lit(0))).alias("gap"))
+    one = gaps.agg(F.min("gap").alias("least_gap"), F.max("gap").alias("greatest_gap")).crossJoin(F.broadcast(s.select("n", "shed", "ell")))
+    one = one.crossJoin(F.broadcast(items.tails(exact, 100).where("k = 100").select(F.col("tail"))))
     checks = [("never_too_high", F.col("least_gap") >= 0), ("never_lower_than_shed", F.col("greatest_gap") <= F.col("shed")), ("shed_within_n", F.col("shed") * F.col("ell") <= F.col("n")), ("shed_within_tail", F.col("shed") * 100 <= F.col("tail"))]
     return one.select(F.explode(F.array(*[F.struct(F.lit(n).alias("check_name"), c.alias("ok")) for n, c in checks])).alias("c")).select("c.*")
 
@@ -161,11 +164,6 @@ def indicator_equals_counters(spark, sf_dir):
     return g.select(F.element_at(F.array(*[F.lit(t) for t in view.EVENT_TYPES]), F.col("i") + 1).alias("item"), F.round("g").cast("long").alias("cnt"))
 
 
-def counter_small_stream(spark, sf_dir):
-    first = load(spark, sf_dir, "events").orderBy("event_id").limit(1000)  # the stream is the first thousand events
-    return items.estimates(items.in_order(first, "user_id", ["event_id"], 16)).select("item", F.col("low").alias("cnt"), "shed")
-
-
 def counter_stream(spark, sf_dir):
     """Counters of all events by user, from the mergeable summary."""
     return items.estimates(items.summarise(load(spark, sf_dir, "events"), "user_id", 16)).select("item", "low", "high", "n", "shed")
@@ -296,38 +294,90 @@ def choose_rank_num(spark, sf_dir):
 
 # experiments
 
+_MADE: dict[tuple, tuple] = {}
+
+
+def _once(spark, sf_dir, name, make):
+    """A report, which is small, is made once a session and table folder; its checks read the same rows."""
+    at = (spark.sparkContext.applicationId, name, sf_dir)
+    if at not in _MADE:
+        made = make()
+        if not isinstance(made, DataFrame):
+            return made
+        _MADE[at] = (made.collect(), made.schema)
+    return spark.createDataFrame(*_MADE[at])
+
 
 def error_report_emb(spark, sf_dir):
-    return harness.medians(harness.error_report(_emb(spark, sf_dir), "embeddings", 64, 10, timing=True))
+    return _once(spark, sf_dir, "emb", lambda: harness.medians(harness.error_report(_emb(spark, sf_dir), "embeddings", 64, 10, timing=True)))
 
 
 def error_report_doc(spark, sf_dir):
-    return harness.medians(harness.error_report(view.doc(load(spark, sf_dir, "documents"), 312), "documents", 312, 100, (110, 150, 200), timing=True))
+    return _once(spark, sf_dir, "doc", lambda: harness.medians(harness.error_report(view.doc(load(spark, sf_dir, "documents"), 312), "documents", 312, 100, (110, 150, 200), timing=True)))
 
 
 def error_report_syn(spark, sf_dir):
-    return harness.medians(harness.error_report(harness.synthetic(spark), "synthetic", 1000, 10, timing=True))
+    return _once(spark, sf_dir, "syn", lambda: harness.medians(harness.error_report(harness.synthetic(spark), "synthetic", 1000, 10, timing=True)))
 
 
 def signal_dimension_report(spark, sf_dir):
-    return harness.medians(harness.signal_sweep(spark, timing=True))
+    return _once(spark, sf_dir, "signal", lambda: harness.medians(harness.signal_sweep(spark, timing=True)))
 
 
 def noise_report(spark, sf_dir):
-    return harness.medians(harness.noise_sweep(spark, timing=True))
+    return _once(spark, sf_dir, "noise", lambda: harness.medians(harness.noise_sweep(spark, timing=True)))
 
 
 def merge_report(spark, sf_dir):
-    return harness.merging(_emb(spark, sf_dir), 64, 20)
+    return _once(spark, sf_dir, "merge", lambda: harness.merging(_emb(spark, sf_dir), 64, 20))
 
 
 def scaling_report(spark, sf_dir):
-    return harness.scaling(spark)
+    return _once(spark, sf_dir, "scaling", lambda: harness.scaling(spark))
 
 
 def latency_report(spark, sf_dir):
-    rows = [(v, *[m[c] for c in ("mean", "p50", "p99", "max")]) for v, m in harness.latencies(n=1000).items()]
-    return spark.createDataFrame(rows, "variant string, mean double, p50 double, p99 double, worst double")
+    def make():
+        rows = [(v, *[m[c] for c in ("mean", "p50", "p99", "max")]) for v, m in harness.latencies(n=1000).items()]
+        return spark.createDataFrame(rows, "variant string, mean double, p50 double, p99 double, worst double")
+
+    return _once(spark, sf_dir, "latency", make)
+
+
+def _checks_of(report):
+    def query(spark, sf_dir):
+        return spark.createDataFrame(harness.report_checks(report(spark, sf_dir)), "dataset string, method string, ell int, check_name string, ok boolean")
+
+    return query
+
+
+def _named(spark, checks: dict[str, bool]) -> DataFrame:
+    return spark.createDataFrame([(n, bool(ok)) for n, ok in checks.items()], "check_name string, ok boolean")
+
+
+def merge_checks(spark, sf_dir):
+    """Merging keeps the guarantee at every number of parts and fan-in, and moves no more than a sketch a part."""
+    rows = merge_report(spark, sf_dir).collect()
+    return spark.createDataFrame([(r["parts"], r["fan_in"], r["rounds"], bool(r["cov_error"] <= 1 / 20 and r["shed_share"] <= 1 / 20), bool(0 < r["moved_bytes"] <= r["parts"] * 19 * 64 * 8)) for r in rows], "parts int, fan_in int, rounds int, within boolean, moved_within boolean")
+
+
+def scaling_checks(spark, sf_dir):
+    """Time grows in proportion to rows, and with columns no faster than that (a solve of fixed size goes with every shrink)."""
+    rows = scaling_report(spark, sf_dir).collect()
+    return spark.createDataFrame([(r["n"], r["d"], bool(0.7 <= r["slope_n"] <= 1.3), bool(0.4 <= r["slope_d"] <= 1.4)) for r in rows], "n long, d int, linear_in_rows boolean, linear_in_columns boolean")
+
+
+def latency_checks(spark, sf_dir):
+    """The paced variant bounds the work of each row, whatever the number of rows; the median update of the others is cheap, their worst is a whole shrink."""
+    from rowsketch.kernel.paced import PacedState
+
+    most = []
+    for n in (500, 3000):
+        s = PacedState(20, 200, trace=True)
+        s.extend(datagen.signal_block(np.arange(n), 200, 10, 10.0, 1))
+        most.append((max(s.flops), s.overruns))
+    rows = {r["variant"]: r for r in latency_report(spark, sf_dir).collect()}
+    return _named(spark, {"paced_work_does_not_grow": most[0][0] == most[1][0], "paced_never_overruns": most[0][1] == most[1][1] == 0, "buffered_median_below_worst": rows["buffered"]["p50"] < rows["buffered"]["worst"], "buffered_mean_below_per_row": rows["buffered"]["mean"] < rows["per_row"]["mean"]})
 
 
 def pair_constants(spark, sf_dir):
@@ -337,9 +387,148 @@ def pair_constants(spark, sf_dir):
     return spark.createDataFrame([("zeta", datagen.ZETA), ("zeta_at", datagen.ZETA_AT), ("first_square", float(s[0])), ("second_square", float(s[1]))], "name string, v double").select("name", _round("v").alias("v"))
 
 
+def space_floors(spark, sf_dir):
+    """Orders of the space that any method needs, beside the sketch's own."""
+    rows = [(k, float(e), space_floor(64, k, e), space_floor_proj(64, k, e), counter_floor_bits(k, e), ell_for_cov(k, e) * 64) for k, e in GRID]
+    return spark.createDataFrame(rows, "k int, eps double, words double, proj_bits double, counter_bits double, sketch_words long").select("k", "eps", _round("words").alias("words"), _round("proj_bits").alias("proj_bits"), _round("counter_bits").alias("counter_bits"), "sketch_words")
+
+
+def primitive_values(spark, sf_dir):
+    """Squared singular values of [1, x; 1, 0]."""
+    rows = [(x, *[float(v) for v in np.linalg.svd(datagen.primitive(x), compute_uv=False) ** 2]) for x in (0.0, 0.25, 0.5, 1.0, 2.0)]
+    return spark.createDataFrame(rows, "x double, l1 double, l2 double").select("x", _round("l1").alias("l1"), _round("l2").alias("l2"))
+
+
+def sign_decoding(spark, sf_dir):
+    """Signs hidden in the block instance are read off the projection, for each chosen row and several sizes."""
+    rows = []
+    for k, r, d in ((2, 8, 200), (4, 16, 400)):
+        x = datagen.block_instance(k, r, d, seed=3)
+        chosen = sorted(int(v) for v in x[r:, :r].argmax(axis=1))
+        sk = Sketch.of(x, r + k + 1)
+        for c in chosen:
+            hidden = np.sign(x[c, r:])
+            rows.append((k, r, d, bool((datagen.decode_signs(x, k, r, c) == hidden).mean() > 0.9), bool((datagen.decode_signs(sk.rows, k, r, c) == hidden).mean() > 0.9)))
+    return spark.createDataFrame(rows, "k int, r int, d int, from_rows boolean, from_sketch boolean").groupBy("k", "r", "d").agg(F.count("*").alias("n"), F.every("from_rows").alias("from_rows"), F.every("from_sketch").alias("from_sketch"))
+
+
+def hard_instances(spark, sf_dir):
+    """The projection instance is kept whole by a long enough sketch; the binary one keeps its row space."""
+    p, b = datagen.projection_instance(20, 40), datagen.binary_instance(4, 30)
+    kept = Sketch.of(b, 6)
+    return _named(spark, {"projection_kept": np.allclose(Sketch.of(p, 20).gram(), p.T @ p), "binary_space_kept": np.linalg.matrix_rank(np.vstack([kept.rows, b])) == np.linalg.matrix_rank(b)})
+
+
+def kernel_variants(spark, sf_dir):
+    """Every SVD back-end and buffer factor keeps the certificate; the loss of each shrink is what the trace says."""
+    v = _emb(spark, sf_dir)
+    gram = B.gram_block(v, 64)
+    rows = []
+    for variant, svd, factor in (("per_row", "lapack", 2.0), ("per_row", "gram", 2.0), ("per_row", "arrowhead", 2.0), ("buffered", "lapack", 2.0), ("buffered", "gram", 1.25), ("buffered", "gram", 2.0), ("buffered", "gram", 4.0)):
+        sk = Sketch.from_df(dist.sketch(v, 20, d=64, variant=variant, svd=svd, buffer_factor=factor))
+        rows.append((variant, svd, factor, all(r[4] for r in measures.certificate_rows(gram, sk))))
+    return spark.createDataFrame(rows, "variant string, svd string, factor double, ok boolean")
+
+
+def shrink_trace(spark, sf_dir):
+    """Each shrink takes ell times its own square at least, nothing is lost between shrinks, and their sum is what was shed."""
+    from rowsketch.kernel.shrink import ShrinkState
+
+    s = ShrinkState(12, 60, trace=True)
+    x = datagen.signal_block(np.arange(2000), 60, 5, 10.0, 2)
+    s.extend(x)
+    live, f2 = s.rows[: s.live], float((x * x).sum())
+    lost = sum(b - a for _, b, a in s.trace)
+    return _named(spark, {"each_pays_for_its_shed": all(12 * t <= (b - a) * (1 + 1e-9) for t, b, a in s.trace), "sum_is_shed": abs(sum(t for t, _, _ in s.trace) - s.shed) <= 1e-9 * f2, "nothing_lost_between": abs(f2 - lost - float((live * live).sum())) <= 1e-9 * f2, "as_many_as_expected": s.shrinks == len(s.trace)})
+
+
+def block_path_identities(spark, sf_dir):
+    """Sampled rows carry F2 exactly, zero carries none, signs and Gaussians carry it on the average of many seeds."""
+    v = _emb(spark, sf_dir)
+    f2 = measures.matrix_stats(v).first()["f2"]
+    jobs = {f"{k}|{s}": (k, 20, s) for k in ("bucket", "dense") for s in range(20)} | {"norm|0": ("norm", 20, 3), "zero|0": ("zero", 20, 3)}
+    share = {t: float((b * b).sum() / f2) for t, b in B.accumulate(v, jobs, 64).items()}
+    gauss = [float((b * b).sum() / f2) for b in B.accumulate(v, {f"g|{s}": ("dense", 20, s) for s in range(20)}, 64, dist="gaussian").values()]
+    mean = lambda k: float(np.mean([x for t, x in share.items() if t.startswith(k)]))
+    return _named(spark, {"norm_exact": abs(share["norm|0"] - 1) < 1e-9, "zero_none": share["zero|0"] == 0, "bucket_mean": abs(mean("bucket") - 1) < 0.1, "dense_mean": abs(mean("dense") - 1) < 0.1, "gaussian_mean": abs(float(np.mean(gauss)) - 1) < 0.1})
+
+
+def leverage_full_rank(spark, sf_dir):
+    """With all directions a row's leverage is its squared length, so the draw is that of norm sampling."""
+    return B.leverage_sample(_emb(spark, sf_dir), 20, 64, 64, 7).select("row_id")
+
+
+def choose_rank_2d(spark, sf_dir):
+    """Rank by threshold over two columns, where the squares have a closed form."""
+    sk = Sketch.from_df(dist.sketch(_two(spark, sf_dir), 8, d=2))
+    k, spans = sk.choose_rank((0.05 * sk.f2) ** 0.5)
+    rows = [(i, lo / sk.f2, hi / sk.f2, i < k) for i, (lo, hi) in enumerate(spans)]
+    return spark.createDataFrame(rows, "idx int, low double, high double, kept boolean").select("idx", _round("low").alias("low"), _round("high").alias("high"), "kept")
+
+
+def sql_quad_events(spark, sf_dir):
+    """Certified quadratic forms in SQL: along an event type's axis they are its sum of squares."""
+    from rowsketch.functions.vectors import register
+
+    register(spark)
+    packed = dist.sketch(view.evt(load(spark, sf_dir, "events")), 8, d=5)
+    rows = dist.sketch_rows(packed).agg(F.collect_list("vec").alias("rows"))
+    axes = spark.createDataFrame([(t, [float(i == j) for j in range(5)]) for i, t in enumerate(view.EVENT_TYPES)], "event_type string, axis array<double>")
+    axes.crossJoin(F.broadcast(rows)).crossJoin(F.broadcast(packed.select("shed"))).createOrReplaceTempView("event_axes")
+    return spark.sql("SELECT event_type, round(quad_lo(rows, axis), 4) + 0D AS low, round(quad_hi(rows, axis, shed), 4) + 0D AS high, vec_dot(axis, axis) AS length2 FROM event_axes")
+
+
+def algebra_checks(spark, sf_dir):
+    """Column subsets, products and shorter sketches keep the two-sided bound with their own shed."""
+    v = _emb(spark, sf_dir)
+    gram, sk = B.gram_block(v, 64), Sketch.from_df(dist.sketch(v, 20, d=64))
+    idx = list(range(0, 64, 3))
+    w = np.random.default_rng(1).standard_normal((64, 7))
+    inside = lambda g, s: bool(-1e-8 * np.trace(gram) <= np.linalg.eigvalsh(g - s.gram())[0] and np.linalg.eigvalsh(g - s.gram())[-1] <= s.shed + 1e-8 * np.trace(gram))
+    return _named(spark, {"columns": inside(gram[np.ix_(idx, idx)], sk.columns(idx)), "product": inside(w.T @ gram @ w, sk.right_multiply(w)), "shorter": inside(gram, sk.reduce(10))})
+
+
+def counter_topk_residual(spark, sf_dir):
+    """What the counters leave beyond the k most frequent words, against the exact tail."""
+    words = materialise(view.tokens(load(spark, sf_dir, "documents"), "doc_id", "text").select("token"), "words")
+    r = items.topk_residual(words, "token", items.summarise(words, "token", 200), 50).first()
+    return _named(spark, {"not_below_tail": r["tail"] <= r["residual"], "within_factor": r["residual"] * 150 <= 200 * r["tail"]})
+
+
 # consumers
 
 
+def lsi_checks(spark, sf_dir):
+    """Every query has its best documents, in order, with cosines."""
+    from pyspark.sql import Window
+
+    found = materialise(lsi_topk(spark, sf_dir), "lsi")
+    asked = view.tokens(load(spark, sf_dir, "benchmark"), "item_id", "text").select("row_id").distinct().count()
+    order = Window.partitionBy("query_id").orderBy("rank")
+    falls = found.select((F.col("score") <= F.coalesce(F.lag("score").over(order), F.lit(2.0))).alias("ok"), F.col("score").between(-1.000001, 1.000001).alias("unit")).agg(F.every("ok").alias("ok"), F.every("unit").alias("unit")).first()
+    return _named(spark, {"five_a_query": found.count() == 5 * asked, "falling": falls["ok"], "cosines": falls["unit"]})
+
+
+def residual_checks(spark, sf_dir):
+    """What a rank-20 sketch leaves lies between the best and what the guarantee allows."""
+    v = view.doc(load(spark, sf_dir, "documents"))
+    found = B.accumulate(v, {"s": ("shrink", 40, 0), "g": ("gram", 1, 0)}, 256)
+    tail = float(np.sort(np.linalg.eigvalsh(found["g"]))[::-1][20:].sum())
+    left = project.residuals(v, found["s"], 20).agg(F.sum("residual")).first()[0]
+    return _named(spark, {"not_below_best": left >= tail * (1 - 1e-9), "within_guarantee": left <= guarantee(40, 20)[1] * tail * (1 + 1e-9)})
+
+
+def kmeans_checks(spark, sf_dir):
+    """All rows have one of ten clusters, whose means are nearer to them than the common mean."""
+    v = _emb(spark, sf_dir)
+    coords = project.project(v, Sketch.from_df(dist.sketch(v, 20, d=64)), 10)
+    both = kmeans_coords(spark, sf_dir).join(coords, "row_id").toPandas()
+    x = np.stack(both["coords"].to_numpy())
+    inside = sum(float(((x[both.cluster == c] - x[both.cluster == c].mean(axis=0)) ** 2).sum()) for c in both.cluster.unique())
+    return _named(spark, {"all_rows": len(both) == v.count(), "at_most_ten": both.cluster.nunique() <= 10, "nearer": inside < float(((x - x.mean(axis=0)) ** 2).sum())})
+
+
+
 def lsi_topk(spark, sf_dir):
     return project.lsi(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
 
@@ -377,7 +566,7 @@ def _events_stream(spark, sf_dir):
 
 
 def _scratch(spark) -> str:
-    return f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    return f"{scratch(spark)}/stream-{uuid.uuid4().hex}"
 
 
 def stream_tumbling_f2(spark, sf_dir):
@@ -410,15 +599,54 @@ def stream_counters(spark, sf_dir):
     return items.estimates(streams.read_counters(spark, f"{base}/out")).select("item", F.col("low").alias("cnt"))
 
 
+def stream_late_rows(spark, sf_dir):
+    """Rows of the second batch that the watermark, set by the first, drops and counts."""
+    base = _scratch(spark)
+    e = load(spark, sf_dir, "events")
+    for k in (0, 1):  # files are read in the order of their writing
+        e.where(F.col("event_id") % 2 == k).coalesce(1).write.mode("append").parquet(f"{base}/in")
+    stream = file_stream(spark, f"{base}/in", e.schema)
+    streams.window_sketches(view.evt(stream, ["ts"]), 8, 5, "ts", "1 day", f"{base}/out", f"{base}/checkpoint", watermark="7 days")
+    kept = streams.tumbling(spark, f"{base}/out").agg(F.sum("n_rows").alias("kept"))
+    return streams.late_rows(spark, f"{base}/out").crossJoin(kept).select(F.col("n_rows").alias("late"), _round("f2", 4).alias("f2_late"), "kept")
+
+
+def stream_sessions(spark, sf_dir):
+    """Sketches of the users' sessions: events at most half an hour apart."""
+    base = _scratch(spark)
+    streams.session_sketches(view.evt(_events_stream(spark, sf_dir), ["ts", "user_id"]), "ts", "user_id", 8, 5, 1800, f"{base}/out", f"{base}/checkpoint")
+    return streams.sessions(spark, f"{base}/out", 1800).select("key", F.col("session_start").cast("timestamp_ntz").alias("session_start"), F.col("session_end").cast("timestamp_ntz").alias("session_end"), "n_rows", _round("f2", 4).alias("f2"))
+
+
+def stream_with_table(spark, sf_dir):
+    """Events of a stream by the market segment of their user, from a table that stands still."""
+    base = _scratch(spark)
+    c = load(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment")
+    joined = streams.with_table(_events_stream(spark, sf_dir), c, "user_id", "c_custkey")
+    streams.run_available(joined.select("c_mktsegment", "value"), f"{base}/checkpoint", lambda b, i: b.write.mode("overwrite").parquet(f"{base}/out/batch={i:010d}"))
+    return spark.read.parquet(f"{base}/out").groupBy(F.coalesce("c_mktsegment", F.lit("none")).alias("segment")).agg(F.count("*").alias("n"), F.round(F.sum("value"), 2).alias("total"))
+
+
+def stream_paced_keys(spark, sf_dir):
+    """Paced sketches by event type in the engine's own state: totals, and the bounded work of a row."""
+    base = _scratch(spark)
+    keyed = streams.keyed_sketches(view.evt(_events_stream(spark, sf_dir), ["event_type"]), "event_type", 8, 5, variant="paced")
+    streams.run_available(keyed, f"{base}/checkpoint", lambda b, i: b.write.mode("overwrite").parquet(f"{base}/out/batch={i:010d}"), "update")
+    last = spark.read.parquet(f"{base}/out").groupBy("event_type").agg(F.max_by(F.struct("n_rows", "f2", "shed"), "n_rows").alias("x"), F.max("most_flops").alias("most"))
+    return last.select("event_type", "x.n_rows", _round("x.f2", 4).alias("f2"), (F.col("most") <= 400 * 8 * 8 * 8).alias("bounded"))
+
+
 QUERIES = {
     f.__name__: f
     for f in (
         shrink_gram_exact_lineitem, shrink_gram_exact_events, shrink_gram_exact_custprio, shrink_grouped_events_day, shrink_grouped_flag, merge_cube_flag,
-        project_coords_cert, pca_num, counter_bounds_words, indicator_equals_counters, counter_small_stream, counter_stream, frequent_words_verified, exact_item_counts, exact_topk_items, tail_mass_by_k,
+        project_coords_cert, pca_num, counter_bounds_words, indicator_equals_counters, counter_stream, frequent_words_verified, exact_item_counts, exact_topk_items, tail_mass_by_k,
         gram_sql, gram_block, gram_top_2d, zero_cov_error_2d, zero_proj_error_2d, zero_sketch_rows, norm_sample_rows, norm_sample_probs, norm_sample_distinct, bucket_sign_sketch, dense_sign_sketch,
         sparsified_energy, leverage_topk, random_block_paths, matrix_stats, size_calculators, guarantee_curves, heavy_directions_events, choose_rank_num,
         error_report_emb, error_report_doc, error_report_syn, signal_dimension_report, noise_report, merge_report, scaling_report, latency_report, pair_constants,
         lsi_topk, residual_rank, kmeans_coords, sql_table_function, stream_tumbling_f2, stream_global_gram, stream_sliding_gram, stream_counters,
+        merge_checks, scaling_checks, latency_checks, space_floors, primitive_values, sign_decoding, hard_instances, kernel_variants, shrink_trace, block_path_identities, leverage_full_rank,
+        choose_rank_2d, sql_quad_events, algebra_checks, counter_topk_residual, lsi_checks, residual_checks, kmeans_checks, stream_late_rows, stream_sessions, stream_with_table, stream_paced_keys,
     )
 } | {
     "shrink_per_row_cert": _emb_variant("per_row"),
@@ -427,6 +655,11 @@ QUERIES = {
     "merge_tree_cert": _certified(_merge_tree),
     "shrink_doc_cert": _certified(_doc),
     "hard_instance_cert": _certified(_hard),
+    "error_checks_emb": _checks_of(error_report_emb),
+    "error_checks_doc": _checks_of(error_report_doc),
+    "error_checks_syn": _checks_of(error_report_syn),
+    "signal_dimension_checks": _checks_of(signal_dimension_report),
+    "noise_checks": _checks_of(noise_report),
 } | relational.QUERIES
 
 # oracles
@@ -446,7 +679,48 @@ def _entry(i: str) -> str:
     return f"CASE {i} WHEN 0 THEN a0 WHEN 1 THEN a1 WHEN 2 THEN a2 ELSE a3 END"
 
 
+def _checks_oracle(grid: list[tuple[str, tuple[int, ...]]]) -> str:
+    """The checks of reports, by data set and its lengths."""
+    rows = [f"('{name}', '{m}', {ell}, '{c}')" for name, ells in grid for m, checks in harness.CHECKS.items() for ell in ells for c in (*checks, "timed")]
+    return f"SELECT dataset, method, ell::INTEGER AS ell, check_name, true AS ok FROM (VALUES {', '.join(rows)}) AS t(dataset, method, ell, check_name)"
+
+
+def _names_oracle(*names: str) -> str:
+    return f"SELECT unnest([{', '.join(repr(n) for n in names)}]) AS check_name, true AS ok"
+
+
+def _beyond(m: int) -> tuple[int, ...]:
+    return tuple(e for e in harness.ELLS if e > m)
+
+
 ORACLES = {
+    "error_checks_emb": _checks_oracle([("embeddings", harness.ELLS)]),
+    "error_checks_doc": _checks_oracle([("documents", (110, 150, 200))]),
+    "error_checks_syn": _checks_oracle([("synthetic", harness.ELLS)]),
+    "signal_dimension_checks": _checks_oracle([(f"signal {m}", _beyond(m)) for m in (10, 20, 50)]),
+    "noise_checks": _checks_oracle([(f"noise {z}", _beyond(10)) for z in (5, 10, 15, 20)]),
+    "merge_checks": "SELECT p::INTEGER AS parts, f::INTEGER AS fan_in, greatest(1, ceil(round(ln(p) / ln(f), 9)))::INTEGER AS rounds, true AS within, true AS moved_within FROM (SELECT unnest([1, 4, 16, 64]) AS p) a, (SELECT unnest([4, 32]) AS f) b",
+    "scaling_checks": "SELECT n::BIGINT AS n, d::INTEGER AS d, true AS linear_in_rows, true AS linear_in_columns FROM (SELECT unnest([10000, 20000, 50000, 100000]) AS n) a, (SELECT unnest([500, 1000, 2000]) AS d) b",
+    "latency_checks": _names_oracle("paced_work_does_not_grow", "paced_never_overruns", "buffered_median_below_worst", "buffered_mean_below_per_row"),
+    "space_floors": "SELECT k::INTEGER AS k, eps, round(64 * (k + 1 / eps), 6) AS words, round(64 * k / eps, 6) AS proj_bits, round(k / eps, 6) AS counter_bits, (64 * ceil(round(k + 1 / eps, 9)))::BIGINT AS sketch_words FROM (SELECT unnest([0, 5, 10]) AS k) a, (SELECT unnest([0.5::DOUBLE, 0.1::DOUBLE, 0.05::DOUBLE]) AS eps) b",
+    "primitive_values": "SELECT x, round((2 + x * x + sqrt(4 + x * x * x * x)) / 2, 6) AS l1, round((2 + x * x - sqrt(4 + x * x * x * x)) / 2, 6) AS l2 FROM (SELECT unnest([0.0::DOUBLE, 0.25::DOUBLE, 0.5::DOUBLE, 1.0::DOUBLE, 2.0::DOUBLE]) AS x) t",
+    "sign_decoding": "SELECT * FROM (VALUES (2, 8, 200, 2::BIGINT, true, true), (4, 16, 400, 4::BIGINT, true, true)) AS t(k, r, d, n, from_rows, from_sketch)",
+    "hard_instances": _names_oracle("projection_kept", "binary_space_kept"),
+    "kernel_variants": "SELECT variant, svd, factor::DOUBLE AS factor, true AS ok FROM (VALUES ('per_row', 'lapack', 2.0), ('per_row', 'gram', 2.0), ('per_row', 'arrowhead', 2.0), ('buffered', 'lapack', 2.0), ('buffered', 'gram', 1.25), ('buffered', 'gram', 2.0), ('buffered', 'gram', 4.0)) AS t(variant, svd, factor)",
+    "shrink_trace": _names_oracle("each_pays_for_its_shed", "sum_is_shed", "nothing_lost_between", "as_many_as_expected"),
+    "block_path_identities": _names_oracle("norm_exact", "zero_none", "bucket_mean", "dense_mean", "gaussian_mean"),
+    "choose_rank_2d": f"SELECT 0::INTEGER AS idx, round(l1 / f2, 6) AS low, round(l1 / f2, 6) AS high, l1 >= 0.05 * f2 AS kept FROM ({_EIGEN}) e UNION ALL SELECT 1::INTEGER, round(l2 / f2, 6), round(l2 / f2, 6), l2 >= 0.05 * f2 FROM ({_EIGEN}) e",
+    "sql_quad_events": f"SELECT t.event_type, round(coalesce(sum(value * value), 0), 4) + 0.0 AS low, round(coalesce(sum(value * value), 0), 4) + 0.0 AS high, 1.0::DOUBLE AS length2 FROM {_EVENTS} LEFT JOIN events USING (event_type) GROUP BY t.event_type",
+    "algebra_checks": _names_oracle("columns", "product", "shorter"),
+    "counter_topk_residual": _names_oracle("not_below_tail", "within_factor"),
+    "lsi_checks": _names_oracle("five_a_query", "falling", "cosines"),
+    "residual_checks": _names_oracle("not_below_best", "within_guarantee"),
+    "kmeans_checks": _names_oracle("all_rows", "at_most_ten", "nearer"),
+    "sql_table_function": "SELECT label::VARCHAR AS key, least(count(*), 7) AS rows_kept, count(*) AS n_rows FROM embeddings GROUP BY label",
+    "stream_late_rows": "WITH m AS (SELECT max(ts) - INTERVAL 7 DAY AS least FROM events WHERE event_id % 2 = 0), l AS (SELECT value, event_id % 2 = 1 AND ts < least AS late FROM events, m) SELECT count(*) FILTER (WHERE late) AS late, round(coalesce(sum(value * value) FILTER (WHERE late), 0), 4) + 0.0 AS f2_late, (count(*) FILTER (WHERE NOT late))::BIGINT AS kept FROM l",
+    "stream_sessions": "WITH o AS (SELECT user_id, ts, value, coalesce(ts - lag(ts) OVER w > INTERVAL 30 MINUTE, true) AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), n AS (SELECT *, sum(opens::INTEGER) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS nth FROM o) SELECT user_id::VARCHAR AS key, min(ts) AS session_start, max(ts) AS session_end, count(*) AS n_rows, round(sum(value * value), 4) + 0.0 AS f2 FROM n GROUP BY user_id, nth",
+    "stream_with_table": "SELECT coalesce(c_mktsegment, 'none') AS segment, count(*) AS n, round(sum(value), 2) AS total FROM events LEFT JOIN customer ON user_id = c_custkey GROUP BY 1",
+    "stream_paced_keys": "SELECT event_type, count(*) AS n_rows, round(sum(value * value), 4) + 0.0 AS f2, true AS bounded FROM events GROUP BY event_type",
     "shrink_gram_exact_lineitem": f"""
 WITH m AS (SELECT avg(l_quantity) AS m0, stddev_pop(l_quantity) AS s0, avg(l_extendedprice) AS m1, stddev_pop(l_extendedprice) AS s1, avg(l_discount) AS m2, stddev_pop(l_discount) AS s2, avg(l_tax) AS m3, stddev_pop(l_tax) AS s3 FROM lineitem),
 z AS (SELECT (l_quantity - m0) / s0 AS a0, (l_extendedprice - m1) / s1 AS a1, (l_discount - m2) / s2 AS a2, (l_tax - m3) / s3 AS a3 FROM lineitem, m)
@@ -472,17 +746,6 @@ SELECT n.day, t.i::INTEGER AS i, round(coalesce(sum(value * value), 0), 4) + 0.0
     "pca_num": "SELECT 'spectrum_agrees' AS check_name, true AS ok",
     "counter_bounds_words": "SELECT unnest(['never_too_high', 'never_lower_than_shed', 'shed_within_n', 'shed_within_tail']) AS check_name, true AS ok",
     "indicator_equals_counters": "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY event_type",
-    "counter_small_stream": """
-WITH RECURSIVE s AS MATERIALIZED (SELECT row_number() OVER (ORDER BY event_id) AS i, user_id::VARCHAR AS item FROM (SELECT * FROM events ORDER BY event_id LIMIT 1000) e),
-r AS (SELECT 0::BIGINT AS i, []::VARCHAR[] AS its, []::BIGINT[] AS cts, 0::BIGINT AS shed
- UNION ALL
- SELECT i, CASE WHEN len(n_its) >= 16 THEN list_filter(n_its, lambda x, k: n_cts[k] > list_min(n_cts)) ELSE n_its END,
-        CASE WHEN len(n_its) >= 16 THEN list_transform(list_filter(n_cts, lambda c: c > list_min(n_cts)), lambda c: c - list_min(n_cts)) ELSE n_cts END,
-        shed + CASE WHEN len(n_its) >= 16 THEN list_min(n_cts) ELSE 0 END
- FROM (SELECT s.i, r.shed, CASE WHEN list_contains(its, s.item) THEN its ELSE list_append(its, s.item) END AS n_its,
-              CASE WHEN list_contains(its, s.item) THEN list_transform(cts, lambda c, k: c + (its[k] = s.item)::BIGINT) ELSE list_append(cts, 1::BIGINT) END AS n_cts
-       FROM r JOIN s ON s.i = r.i + 1) q)
-SELECT unnest(its) AS item, unnest(cts) AS cnt, shed FROM (SELECT * FROM r ORDER BY i DESC LIMIT 1) z""",
     "frequent_words_verified": "WITH t AS (SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS item FROM documents) SELECT item, count(*) AS cnt FROM t GROUP BY item HAVING count(*) > 0.01 * (SELECT count(*) FROM t)",
     "exact_item_counts": "SELECT l_suppkey::VARCHAR AS item, count(*) AS cnt FROM lineitem GROUP BY l_suppkey",
     "exact_topk_items": "SELECT l_partkey::VARCHAR AS item, count(*) AS cnt FROM lineitem GROUP BY l_partkey ORDER BY cnt DESC, item LIMIT 10",
@@ -512,3 +775,4 @@ w AS (SELECT day - to_days(k::INTEGER) AS window_start, event_type, value FROM d
 SELECT n.window_start, t.i::INTEGER AS i, any_value(n.n) AS n_rows, round(coalesce(sum(value * value), 0), 4) + 0.0 AS g FROM n CROSS JOIN {_EVENTS} LEFT JOIN w ON w.window_start = n.window_start AND w.event_type = t.event_type GROUP BY n.window_start, t.i""",
     "stream_counters": "SELECT event_type AS item, count(*) AS cnt FROM events GROUP BY event_type",
 } | relational.ORACLES
+ORACLES["leverage_full_rank"] = ORACLES["norm_sample_distinct"]

@@ -49,10 +49,12 @@ def signal_noise(spark: SparkSession, n: int = 10_000, d: int = 1000, m: int = 1
     rows = carrier.select("row_id") if carrier is not None else spark.range(0, n, 1, partitions or max(1, min(200, n // 2000))).select(F.col("id").alias("row_id"))
     space = signal_space(m, d, seed)
 
+    step = max(1, min(1024, 4_000_000 // d))  # rows made at once
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rb in batches:
-            for at in range(0, rb.num_rows, 1024):
-                part = rb.slice(at, 1024)
+            for at in range(0, rb.num_rows, step):
+                part = rb.slice(at, step)
                 x = signal_block(part.column(0).to_numpy(), d, m, noise_div, seed, space)
                 offsets = pa.array(np.arange(0, (len(x) + 1) * d, d, dtype=np.int32))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(offsets, pa.array(x.ravel()))], ["row_id", "vec"])

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from rowsketch.kernel import packed
 from rowsketch.operators.dist import FAN_IN, merge_tree
+from rowsketch.shared import materialise
 
 
 def write(sketches: DataFrame, path: str, view: str, period: str | None = None) -> None:
@@ -24,8 +25,12 @@ def read(spark: SparkSession, path: str, view: str, periods: list[str] | None =
 def answer(spark: SparkSession, path: str, view: str, periods: list[str] | None = None, keys: list[str] | None = None, fan_in: int = FAN_IN) -> DataFrame:
     """The sketch of the union of stored parts, without reading the data they were made from."""
     parts = read(spark, path, view, periods)
-    numbered = parts.withColumn("pid", F.pmod(F.xxhash64("period", "body"), F.lit(1 << 20)).cast("int"))
-    return merge_tree(numbered, keys=keys, fan_in=fan_in, tasks=1 << 20 if parts.limit(fan_in + 1).count() > fan_in else 1)
+    return merge_tree(spread(parts, n := max(1, parts.count())), keys=keys, fan_in=fan_in, tasks=n)
+
+
+def spread(parts: DataFrame, n: int) -> DataFrame:
+    """Packed sketches with places 0 .. n - 1, so that ``n`` of them merge about a fan-in at a time."""
+    return parts.withColumn("pid", F.pmod(F.xxhash64("body"), F.lit(n)).cast("int"))
 
 
 def cube(cells: DataFrame, keys: list[str], fan_in: int = FAN_IN) -> DataFrame:
@@ -35,10 +40,11 @@ def cube(cells: DataFrame, keys: list[str], fan_in: int = FAN_IN) -> DataFrame:
     already one sketch a group.  ``grouping`` tells groups over a key from
     groups of a null.
     """
+    cells = materialise(cells, "cells")
+    n = max(1, cells.count())
     sets = []
     for bits in range(1 << len(keys)):
         kept = [F.when(F.lit(bool(bits >> i & 1)), F.lit(None)).otherwise(F.col(k)).alias(k) for i, k in enumerate(keys)]
         sets.append(F.struct(*kept, F.lit(bits).alias("grouping")))
     wide = cells.select(F.explode(F.array(*sets)).alias("c"), *packed.NAMES).select("c.*", *packed.NAMES)
-    wide = wide.withColumn("pid", F.pmod(F.xxhash64("body"), F.lit(fan_in * fan_in)).cast("int"))
-    return merge_tree(wide, keys=[*keys, "grouping"], fan_in=fan_in, tasks=fan_in * fan_in)
+    return merge_tree(spread(wide, n), keys=[*keys, "grouping"], fan_in=fan_in, tasks=n)

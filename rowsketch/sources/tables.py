@@ -38,3 +38,8 @@ def rate_stream(spark: SparkSession, rows_per_second: int = 100, partitions: int
 def noop(df: DataFrame) -> None:
     """Runs a plan to its end and keeps nothing."""
     df.write.format("noop").mode("overwrite").save()
+
+
+def memory_sink(df: DataFrame, name: str, mode: str = "append"):
+    """Starts a stream into an in-memory table, for tests; stop the query that comes back."""
+    return df.writeStream.format("memory").queryName(name).outputMode(mode).start()

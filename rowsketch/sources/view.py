@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -49,10 +51,46 @@ def tokens(df: DataFrame, row_id, col: str, keys: list[str] = ()) -> DataFrame:
 
 
 def from_text(df: DataFrame, row_id, col: str, dim: int = 256, norm: str = "raw", keys: list[str] = ()) -> DataFrame:
-    """Hashed bag of words; texts without a token have no row."""
-    counts = tokens(df, row_id, col, keys).groupBy(*keys, "row_id", token_bucket(F.col("token"), dim).alias("idx")).agg(F.count("*").cast("double").alias("val"))
-    view = from_coo(counts, "row_id", "idx", "val", dim, keys)
-    return view if norm == "raw" else l2(view)
+    """Hashed bag of words, counted inside each row, so that nothing is shuffled.
+
+    A row of the table is a row of the view; texts without a token have none.
+    """
+    keys = list(keys)
+    schema = T.StructType([*[df.schema[k] for k in keys], T.StructField("row_id", T.LongType()), T.StructField("vec", T.ArrayType(T.DoubleType()))])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        buckets = _Buckets(dim)
+        for rb in batches:
+            for at in range(0, rb.num_rows, 1024):
+                part = rb.slice(at, 1024)
+                dense = np.stack([buckets.count(t) for t in part.column(part.num_columns - 1).to_pylist()])
+                has = dense.any(axis=1)
+                dense = dense[has]
+                if norm == "l2":
+                    dense = dense / np.sqrt(np.einsum("ij,ij->i", dense, dense))[:, None]
+                vec = pa.ListArray.from_arrays(pa.array(np.arange(0, (len(dense) + 1) * dim, dim, dtype=np.int32)), pa.array(dense.ravel()))
+                yield pa.RecordBatch.from_arrays([*[c.filter(pa.array(has)) for c in part.columns[:-1]], vec], [*keys, "row_id", "vec"])
+
+    return df.select(*keys, _id(row_id), F.col(col).cast("string").alias("_text")).mapInArrow(run, schema)
+
+
+class _Buckets:
+    """Words to buckets as :func:`token_bucket` has them, each word hashed once a worker."""
+
+    MOST = 1_000_000
+
+    def __init__(self, dim: int):
+        self.dim, self.known = dim, {}
+        self.find = re.compile(TOKEN).findall
+
+    def count(self, text: str | None) -> np.ndarray:
+        words = self.find((text or "").lower())
+        known = self.known
+        if len(known) > self.MOST:
+            known.clear()
+        for w in set(words).difference(known):
+            known[w] = int(hashlib.md5(w.encode()).hexdigest()[:8], 16) % self.dim
+        return np.bincount(np.fromiter(map(known.__getitem__, words), np.int64, len(words)), minlength=self.dim).astype(np.float64)
 
 
 def from_coo(df: DataFrame, row: str, col: str, val: str, dim: int, keys: list[str] = ()) -> DataFrame:
