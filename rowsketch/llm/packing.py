@@ -17,7 +17,9 @@ pieces; other columns are not read.
 
 from __future__ import annotations
 
+import gc
 import os
+import re
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -38,7 +40,7 @@ BATCH_IDS = 8_000_000
 #: Sequences handed on at once.
 EMIT_SEQUENCES = 256
 #: Cached token strings of a Python worker.
-CACHE_ENTRIES = 500_000
+CACHE_ENTRIES = 1_000_000
 #: Text handled between two looks at the cache.
 TEXT_STEP = 4_000_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -164,30 +166,42 @@ def _encoder(path: str):
     return _ENCODERS[path]
 
 
+#: A run of letters that normal form and lower case leave letters, and the punctuation after it: tokens apart, whatever stands beside them.
+_CUT = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)").fullmatch
+#: Characters of which such runs may consist, and their blanks.
+_PLAIN = re.compile(r"[\n -~À-ÖØ-öø-ÿ]*").fullmatch
+
+
 def _learn(strings: set[str], batch, cache: dict[str, bytes]) -> None:
     """Encodes strings new to the cache, each distinct word among them once.
 
-    A run of ASCII letters and the full stop or comma after it are tokens apart,
-    and the tokenizer lower-cases, so "The," costs no more than "the" and ",".
-    Other letters may become a letter and a combining mark, which joins the
-    stop; such strings are encoded whole.
+    A run of letters and the marks after it are tokens apart, and the tokenizer
+    lower-cases, so "The," costs no more than "the" and ",".  Letters beyond
+    Latin-1 may become a letter and a combining mark, which joins the stop, and
+    an apostrophe may begin a token with letters; such strings are encoded
+    whole.
     """
-    parts: dict[str, tuple[str, str]] = {}
+    parts: list[tuple[str, str, str]] = []
     wanted = set()
     for s in strings:
-        word, mark = (s[:-1], s[-1]) if s[-1] in ".," and s[:-1].isascii() and s[:-1].isalpha() else (s, "")
-        if word.isascii() and word.isalpha():
-            word = word.lower()
-        parts[s] = word, mark
+        m = _CUT(s)
+        if m is None:
+            wanted.add(s)
+            continue
+        word, mark = m.groups()
+        word = word.lower()
         wanted.add(word)
-        wanted.add(mark)
+        if mark:
+            wanted.add(mark)
+            parts.append((s, word, mark))
+        elif word != s:
+            parts.append((s, word, ""))
     wanted = [w for w in wanted if w not in cache]
     for at in range(0, len(wanted), 8192):
         some = wanted[at : at + 8192]
-        for s, e in zip(some, batch(some, add_special_tokens=False)):
-            cache[s] = array("I", e.ids).tobytes()
-    for s, (word, mark) in parts.items():
-        cache[s] = cache[word] + cache[mark] if mark else cache[word]
+        cache.update(zip(some, [array("I", e.ids).tobytes() for e in batch(some, add_special_tokens=False)]))
+    for s, word, mark in parts:
+        cache[s] = cache[word] + cache[mark]
 
 
 def encode(texts: list[str], path: str) -> list[bytes]:
@@ -201,19 +215,25 @@ def encode(texts: list[str], path: str) -> list[bytes]:
     batch = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
     out: list[bytes] = []
     at = 0
+    gc.disable()  # strings and lists only, none of them in cycles
     while at < len(texts):
         end, size = at, 0
         while end < len(texts) and (end == at or size < TEXT_STEP):
             size += len(texts[end])
             end += 1
-        parts = [t.replace("\n", " ").split(" ") for t in texts[at:end]]
-        if len(cache) > CACHE_ENTRIES:
+        # plain texts are lower-cased at once, so that fewer strings are told apart
+        parts = [(t.lower() if _PLAIN(t) else t).replace("\n", " ").split(" ") for t in texts[at:end]]
+        strings = set().union(*parts)
+        if len(cache) > CACHE_ENTRIES:  # what these texts use stays
+            kept = {s: cache[s] for s in strings if s in cache}
             cache.clear()
+            cache.update(kept)
             cache[""] = b""
-        _learn(set().union(*parts).difference(cache) if parts else set(), batch, cache)
+        _learn(strings.difference(cache), batch, cache)
         get = cache.__getitem__
         out += [b"".join(map(get, p)) for p in parts]
         at = end
+    gc.enable()
     return out
 
 

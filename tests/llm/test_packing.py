@@ -121,3 +121,21 @@ def test_pouring_keeps_every_id():
             assert start == at
             at += length
         assert at == 2500
+
+
+def test_odd_strings_encode_as_the_tokenizer_does():
+    """Letters that become letter and mark, zero-width characters and every Unicode blank, before and after marks."""
+    import random
+
+    from tokenizers import Tokenizer
+
+    path = tokenizer_path()
+    plain = Tokenizer.from_file(path)
+    blanks = [chr(c) for c in (9, 10, 11, 12, 13, 32, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
+    odd = [*"İıſßΣςǅK", "̇", "́", "ͅ", "​", "‍", "﻿", "क़", "क़", "é", "é", "한", "日", "🙂", "ﬁ", "①", "½", "_", "-", "'", "\x00", "\x1c"]
+    common = list("abcXYZ019.,.,.,;!?") + ["the", "İ.", "BİLGİ,", "é.", "क़."]
+    rng = random.Random(11)
+    texts = ["".join(rng.choice(rng.choice((odd, common, common, blanks))) for _ in range(rng.randint(1, 14))) for _ in range(10_000)]
+    got = packing.encode(texts, path)
+    for text, ids in zip(texts, got):
+        assert list(memoryview(ids).cast("I")) == plain.encode(text, add_special_tokens=False).ids, ascii(text)
