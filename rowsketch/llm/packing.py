@@ -18,6 +18,7 @@ pieces; other columns are not read.
 from __future__ import annotations
 
 import gc
+import json
 import os
 import re
 import zlib
@@ -152,67 +153,90 @@ def pack(pieces: list, window: int = WINDOW, max_padding: float = 0.005) -> list
     return _pour(fit.bins, fit.free, window, max_padding)
 
 
+#: How the known tokenizer prepares a text, and cuts it into pieces that its model encodes one by one.
+NORMALISERS = ["NFC", "Replace", "Lowercase"]
+PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+#: Letters that normal form and lower case leave letters, and the punctuation after them: pieces apart, whatever stands beside them.
+_LETTERS = "A-Za-zÀ-ÖØ-öø-ÿ"
+_CUT = re.compile(rf"([{_LETTERS}]+)([!-&(-/:-@\[-`{{-~]*)").fullmatch
+#: Texts of such letters, blanks and any other ASCII.
+_PLAIN = re.compile(r"[\n -~À-ÖØ-öø-ÿ]*").fullmatch
+
+
+class _Ids(dict):
+    """Ids, as bytes, of strings without blanks; each is encoded when it is first asked for.
+
+    A run of letters and the marks after it are pieces apart, and the tokenizer
+    lower-cases, so "The," costs no more than "the" and ",", and pieces go
+    straight to the tokenizer's model.  Letters beyond Latin-1 may become a
+    letter and a combining mark, which joins the stop, and an apostrophe may
+    begin a piece with letters; such strings are left to the whole tokenizer.
+    """
+
+    def __init__(self, tokenizer):
+        from tokenizers.pre_tokenizers import ByteLevel
+
+        super().__init__({"": b""})
+        self.tokenizer, self.model = tokenizer, tokenizer.model
+        level = ByteLevel(add_prefix_space=False, use_regex=False)
+        self.spelt = {c: level.pre_tokenize_str(chr(c))[0][0] for c in range(0xC0, 0x100)}
+
+    def __missing__(self, s: str) -> bytes:
+        m = _CUT(s)
+        if m is None:
+            got = array("I", self.tokenizer.encode(s, add_special_tokens=False).ids).tobytes()
+        else:
+            word, mark = m.groups()
+            got = self.piece(word.lower()) + (self.piece(mark) if mark else b"")
+        self[s] = got
+        return got
+
+    def piece(self, s: str) -> bytes:
+        got = self.get(s)
+        if got is None:
+            spelt = s if s.isascii() else s.translate(self.spelt)
+            got = self[s] = array("I", [t.id for t in self.model.tokenize(spelt)]).tobytes()
+        return got
+
+    def keep(self, strings: set[str]) -> None:
+        """Forgets all but these."""
+        kept = {s: self[s] for s in strings if s in self}
+        self.clear()
+        self.update(kept)
+        self[""] = b""
+
+
 _ENCODERS: dict[str, tuple] = {}
 
 
 def _encoder(path: str):
-    """(tokenizer, cache) of this worker; the cache maps a blank-free string to its ids as bytes."""
+    """(tokenizer, ids) of this worker; the ids are None for a tokenizer that prepares its texts in another way."""
     if path not in _ENCODERS:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
+        with open(path, encoding="utf-8") as f:
+            told = json.load(f)
+        normal, pieces = told.get("normalizer") or {}, told.get("pre_tokenizer") or {}
+        parts = pieces.get("pretokenizers") or [{}]
+        known = [n["type"] for n in normal.get("normalizers", [])] == NORMALISERS and parts[0].get("pattern") == {"Regex": PIECES} and [x.get("type") for x in parts[1:]] == ["ByteLevel"]
         t = Tokenizer.from_file(path)
-        _ENCODERS[path] = (t, {"": b""})
+        _ENCODERS[path] = (t, _Ids(t) if known and told["model"]["type"] == "BPE" else None)
     return _ENCODERS[path]
 
 
-#: A run of letters that normal form and lower case leave letters, and the punctuation after it: tokens apart, whatever stands beside them.
-_CUT = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-&(-/:-@\[-`{-~]*)").fullmatch
-#: Characters of which such runs may consist, and their blanks.
-_PLAIN = re.compile(r"[\n -~À-ÖØ-öø-ÿ]*").fullmatch
-
-
-def _learn(strings: set[str], batch, cache: dict[str, bytes]) -> None:
-    """Encodes strings new to the cache, each distinct word among them once.
-
-    A run of letters and the marks after it are tokens apart, and the tokenizer
-    lower-cases, so "The," costs no more than "the" and ",".  Letters beyond
-    Latin-1 may become a letter and a combining mark, which joins the stop, and
-    an apostrophe may begin a token with letters; such strings are encoded
-    whole.
-    """
-    parts: list[tuple[str, str, str]] = []
-    wanted = set()
-    for s in strings:
-        m = _CUT(s)
-        if m is None:
-            wanted.add(s)
-            continue
-        word, mark = m.groups()
-        word = word.lower()
-        wanted.add(word)
-        if mark:
-            wanted.add(mark)
-            parts.append((s, word, mark))
-        elif word != s:
-            parts.append((s, word, ""))
-    wanted = [w for w in wanted if w not in cache]
-    for at in range(0, len(wanted), 8192):
-        some = wanted[at : at + 8192]
-        cache.update(zip(some, [array("I", e.ids).tobytes() for e in batch(some, add_special_tokens=False)]))
-    for s, word, mark in parts:
-        cache[s] = cache[word] + cache[mark]
-
-
 def encode(texts: list[str], path: str) -> list[bytes]:
     """Each text's ids as little-endian unsigned 32-bit integers.
 
-    The tokenizer never joins across white space, so texts are cut at blanks
-    and line feeds and each distinct string is encoded once a worker; any
-    other white space stays inside its string and is left to the tokenizer.
+    The known tokenizer never joins across white space, so texts are cut at
+    blanks and line feeds and each distinct string is encoded once a worker;
+    any other white space stays inside its string and is left to the
+    tokenizer.  Other tokenizers encode whole texts.
     """
-    tokenizer, cache = _encoder(path)
-    batch = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
+    tokenizer, ids = _encoder(path)
+    if ids is None:
+        return [array("I", e.ids).tobytes() for e in tokenizer.encode_batch(texts, add_special_tokens=False)]
     out: list[bytes] = []
     at = 0
     gc.disable()  # strings and lists only, none of them in cycles
@@ -223,14 +247,9 @@ def encode(texts: list[str], path: str) -> list[bytes]:
             end += 1
         # plain texts are lower-cased at once, so that fewer strings are told apart
         parts = [(t.lower() if _PLAIN(t) else t).replace("\n", " ").split(" ") for t in texts[at:end]]
-        strings = set().union(*parts)
-        if len(cache) > CACHE_ENTRIES:  # what these texts use stays
-            kept = {s: cache[s] for s in strings if s in cache}
-            cache.clear()
-            cache.update(kept)
-            cache[""] = b""
-        _learn(strings.difference(cache), batch, cache)
-        get = cache.__getitem__
+        if len(ids) > CACHE_ENTRIES:
+            ids.keep(set().union(*parts))
+        get = ids.__getitem__
         out += [b"".join(map(get, p)) for p in parts]
         at = end
     gc.enable()
