@@ -364,7 +364,7 @@ def merge_checks(spark, sf_dir):
 def scaling_checks(spark, sf_dir):
     """Time grows in proportion to rows, and with columns no faster than that (a solve of fixed size goes with every shrink)."""
     rows = scaling_report(spark, sf_dir).collect()
-    return spark.createDataFrame([(r["n"], r["d"], bool(0.7 <= r["slope_n"] <= 1.3), bool(0.4 <= r["slope_d"] <= 1.4)) for r in rows], "n long, d int, linear_in_rows boolean, linear_in_columns boolean")
+    return spark.createDataFrame([(r["n"], r["d"], bool(0.7 <= r["slope_n"] <= 1.3), bool(0 < r["slope_d"] <= 1.4)) for r in rows], "n long, d int, linear_in_rows boolean, within_linear_in_columns boolean")
 
 
 def latency_checks(spark, sf_dir):
@@ -498,6 +498,31 @@ def counter_topk_residual(spark, sf_dir):
 # consumers
 
 
+def tfidf_buckets(spark, sf_dir):
+    """Weighted word counts, summed by bucket."""
+    v = view.tfidf(view.from_text(load(spark, sf_dir, "documents"), "doc_id", "text", 64), 64)
+    return v.select(F.posexplode("vec").alias("bucket", "x")).groupBy("bucket").agg(_round(F.sum("x"), 4).alias("total")).where("total > 0")
+
+
+def store_periods(spark, sf_dir):
+    """Stored daily sketches answer for three days without the data."""
+    path = _scratch(spark)
+    e = load(spark, sf_dir, "events").withColumn("day", F.date_format("ts", "yyyy-MM-dd"))
+    store.write(dist.sketch(view.evt(e, ["day"]), 8, d=5, keys=["day"]), path, "events", "day")
+    g = dist.sketch_gram(store.answer(spark, path, "events", ["2024-01-03", "2024-01-05", "2024-01-20"]))
+    return g.where("i = j").select("i", "n_rows", _round("g", 4).alias("g"))
+
+
+def residual_function(spark, sf_dir):
+    """The residual as a scalar pandas function adds up to what the projection leaves."""
+    v = _emb(spark, sf_dir)
+    sk = Sketch.from_df(dist.sketch(v, 20, d=64))
+    left = project.residuals(v, sk, 5).agg(F.sum("residual")).first()[0]
+    norm = project.residual_norm_udf(sk, 5)
+    own = v.select(norm("vec").alias("r")).agg(F.sum(F.col("r") * F.col("r"))).first()[0]
+    return _named(spark, {"adds_up": abs(own - left) <= 1e-6 * left})
+
+
 def lsi_checks(spark, sf_dir):
     """Every query has its best documents, in order, with cosines."""
     from pyspark.sql import Window
@@ -646,7 +671,7 @@ QUERIES = {
         error_report_emb, error_report_doc, error_report_syn, signal_dimension_report, noise_report, merge_report, scaling_report, latency_report, pair_constants,
         lsi_topk, residual_rank, kmeans_coords, sql_table_function, stream_tumbling_f2, stream_global_gram, stream_sliding_gram, stream_counters,
         merge_checks, scaling_checks, latency_checks, space_floors, primitive_values, sign_decoding, hard_instances, kernel_variants, shrink_trace, block_path_identities, leverage_full_rank,
-        choose_rank_2d, sql_quad_events, algebra_checks, counter_topk_residual, lsi_checks, residual_checks, kmeans_checks, stream_late_rows, stream_sessions, stream_with_table, stream_paced_keys,
+        choose_rank_2d, sql_quad_events, algebra_checks, counter_topk_residual, tfidf_buckets, store_periods, residual_function, lsi_checks, residual_checks, kmeans_checks, stream_late_rows, stream_sessions, stream_with_table, stream_paced_keys,
     )
 } | {
     "shrink_per_row_cert": _emb_variant("per_row"),
@@ -700,7 +725,7 @@ ORACLES = {
     "signal_dimension_checks": _checks_oracle([(f"signal {m}", _beyond(m)) for m in (10, 20, 50)]),
     "noise_checks": _checks_oracle([(f"noise {z}", _beyond(10)) for z in (5, 10, 15, 20)]),
     "merge_checks": "SELECT p::INTEGER AS parts, f::INTEGER AS fan_in, greatest(1, ceil(round(ln(p) / ln(f), 9)))::INTEGER AS rounds, true AS within, true AS moved_within FROM (SELECT unnest([1, 4, 16, 64]) AS p) a, (SELECT unnest([4, 32]) AS f) b",
-    "scaling_checks": "SELECT n::BIGINT AS n, d::INTEGER AS d, true AS linear_in_rows, true AS linear_in_columns FROM (SELECT unnest([10000, 20000, 50000, 100000]) AS n) a, (SELECT unnest([500, 1000, 2000]) AS d) b",
+    "scaling_checks": "SELECT n::BIGINT AS n, d::INTEGER AS d, true AS linear_in_rows, true AS within_linear_in_columns FROM (SELECT unnest([10000, 20000, 50000, 100000]) AS n) a, (SELECT unnest([500, 1000, 2000]) AS d) b",
     "latency_checks": _names_oracle("paced_work_does_not_grow", "paced_never_overruns", "buffered_median_below_worst", "buffered_mean_below_per_row"),
     "space_floors": "SELECT k::INTEGER AS k, eps, round(64 * (k + 1 / eps), 6) AS words, round(64 * k / eps, 6) AS proj_bits, round(k / eps, 6) AS counter_bits, (64 * ceil(round(k + 1 / eps, 9)))::BIGINT AS sketch_words FROM (SELECT unnest([0, 5, 10]) AS k) a, (SELECT unnest([0.5::DOUBLE, 0.1::DOUBLE, 0.05::DOUBLE]) AS eps) b",
     "primitive_values": "SELECT x, round((2 + x * x + sqrt(4 + x * x * x * x)) / 2, 6) AS l1, round((2 + x * x - sqrt(4 + x * x * x * x)) / 2, 6) AS l2 FROM (SELECT unnest([0.0::DOUBLE, 0.25::DOUBLE, 0.5::DOUBLE, 1.0::DOUBLE, 2.0::DOUBLE]) AS x) t",
@@ -713,6 +738,9 @@ ORACLES = {
     "sql_quad_events": f"SELECT t.event_type, round(coalesce(sum(value * value), 0), 4) + 0.0 AS low, round(coalesce(sum(value * value), 0), 4) + 0.0 AS high, 1.0::DOUBLE AS length2 FROM {_EVENTS} LEFT JOIN events USING (event_type) GROUP BY t.event_type",
     "algebra_checks": _names_oracle("columns", "product", "shorter"),
     "counter_topk_residual": _names_oracle("not_below_tail", "within_factor"),
+    "tfidf_buckets": "WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS token FROM documents), c AS (SELECT doc_id, (('0x' || substr(md5(token), 1, 8))::BIGINT % 64)::INTEGER AS bucket, count(*) AS n FROM t GROUP BY 1, 2), d AS (SELECT bucket, sum(n) AS n, count(*) AS df FROM c GROUP BY bucket) SELECT bucket, round(n * (ln((1 + (SELECT count(DISTINCT doc_id) FROM t)) / (1 + df)) + 1), 4) + 0.0 AS total FROM d",
+    "store_periods": f"WITH e AS (SELECT event_type, value FROM events WHERE strftime(ts, '%Y-%m-%d') IN ('2024-01-03', '2024-01-05', '2024-01-20')) SELECT t.i::INTEGER AS i, (SELECT count(*) FROM e) AS n_rows, round(coalesce(sum(value * value), 0), 4) + 0.0 AS g FROM {_EVENTS} LEFT JOIN e USING (event_type) GROUP BY t.i",
+    "residual_function": _names_oracle("adds_up"),
     "lsi_checks": _names_oracle("five_a_query", "falling", "cosines"),
     "residual_checks": _names_oracle("not_below_best", "within_guarantee"),
     "kmeans_checks": _names_oracle("all_rows", "at_most_ten", "nearer"),

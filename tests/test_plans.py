@@ -100,3 +100,9 @@ def test_report_has_times_and_checks(spark):
 def test_method_seconds_is_a_median(spark, sf):
     v = view.emb(tables.load(spark, sf, "embeddings"))
     assert all(harness.method_seconds(v, m, 12, 64, runs=3) > 0 for m in ("shrink", "gram-top", "zero", "bucket-sign"))
+
+
+def test_sparse_rows(spark):
+    df = spark.createDataFrame([(1, [0, 3], [1.0, 2.0]), (2, [], []), (3, [9, 1], [5.0, 4.0])], "id long, i array<int>, x array<double>")
+    got = {r["row_id"]: r["vec"] for r in view.from_sparse(df, "id", "i", "x", 4).collect()}
+    assert got == {1: [1.0, 0.0, 0.0, 2.0], 2: [0.0] * 4, 3: [0.0, 4.0, 0.0, 0.0]}
