@@ -41,7 +41,7 @@ BATCH_IDS = 8_000_000
 #: Sequences handed on at once.
 EMIT_SEQUENCES = 256
 #: Cached token strings of a Python worker.
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES = 200_000
 #: Text handled between two looks at the cache.
 TEXT_STEP = 4_000_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -304,8 +304,10 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, *, window: int = WINDOW
                 if len(waiting) >= BATCH_PIECES or held >= BATCH_IDS:
                     yield from emit(pack(waiting, window, max_padding))
                     waiting, held = [], 0
+                    release()
         yield from emit(full)
         yield from emit(pack(waiting, window, max_padding))
+        full, waiting = [], []
         release()
 
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), text_or_empty(text).alias("text")).mapInArrow(run, schema)

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rowsketch.llm.common import fold_of, free_name, named, text_bytes
+from rowsketch.llm.common import fold_of, free_name, named, release, text_bytes
 from rowsketch.shared import materialise
 
 FOLDS = 3
@@ -179,7 +179,9 @@ def keep_good(docs: DataFrame, labels: DataFrame, *, label: str = "quality", fol
 
     @F.arrow_udf("array<double>")
     def measured(texts: pa.Array) -> pa.Array:
-        return pa.array([statistics(t.as_buffer().to_pybytes()) for t in texts], pa.list_(pa.float64()))
+        out = pa.array([statistics(t.as_buffer().to_pybytes()) for t in texts], pa.list_(pa.float64()))
+        release()
+        return out
 
     marked = materialise(docs.select(*[named(c) for c in docs.columns], measured(text_bytes(text)).alias(mark)), "measured")
     model = fit(marked.select(named(doc_id).cast("long").alias("doc_id"), named(mark).alias("x")), labels, label=label, folds=folds, held_out=held_out)
