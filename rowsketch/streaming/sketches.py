@@ -144,7 +144,7 @@ def session_sketches(stream: DataFrame, ts: str, key: str, ell: int, d: int, gap
         rows = batch.withColumn(ts, F.col(ts).cast("timestamp"))
         keyed = rows.select(F.col(key).cast("string").alias("key"), F.floor(F.unix_seconds(ts) / gap_seconds).cast("long").alias("stretch"), ts, "row_id", "vec")
         _write(keyed.groupBy("key", "stretch").agg(F.min(ts).alias("first"), F.max(ts).alias("last")), f"{path}/times", batch_id)
-        _write(dist.local_sketches(keyed.drop(ts), ell, d=d, keys=["key", "stretch"]), path, batch_id)  # merged when they are read
+        _write(dist.local_runs(keyed.drop(ts), ell, d=d, keys=["key", "stretch"]), path, batch_id)  # merged when they are read
 
     run_available(stream, checkpoint, each)
 
@@ -164,7 +164,7 @@ def sessions(spark: SparkSession, path: str, gap_seconds: int, fan_in: int = dis
     place = F.row_number().over(Window.partitionBy(*ends).orderBy("stretch", "pid")) - 1
     joined = materialise(parts.join(dated, ["key", "stretch"]).withColumn("pid", place.cast("int")).drop("stretch"), "sessions")
     most = joined.agg(F.max("pid")).first()[0]
-    return merge_tree(joined, keys=ends, fan_in=fan_in, tasks=int(most or 0) + 1)
+    return dist.merge_runs(joined, keys=ends, fan_in=fan_in, tasks=int(most or 0) + 1)
 
 
 # by key, in the engine's own state

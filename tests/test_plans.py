@@ -70,6 +70,31 @@ def test_many_keys(spark):
     assert got.agg(F.count("*"), F.sum("n_rows")).first()[:] == (4000, 20_000)
 
 
+@pytest.mark.parametrize("size", ["3", "64", "10000"])
+def test_runs_of_keys(spark, size):
+    """Sorted runs give the sketches of the tree, wherever Arrow batches end, with no group of its own for a key."""
+    rng = np.random.default_rng(2)
+    x, who = rng.standard_normal((600, 3)), np.concatenate([np.arange(200), rng.integers(0, 40, 360), np.full(40, 7)])
+    x[5] = 0.0
+    keys = [(None if k % 13 == 0 else f"u{k}", int(k % 3)) for k in who.tolist()]
+    df = spark.createDataFrame([(*keys[k], k, x[k].tolist()) for k in range(600)], "a string, b long, row_id long, vec array<double>").repartition(5, "row_id")
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+    try:
+        found = dist.merge_runs(dist.local_runs(df, 4, d=3, keys=["a", "b"]), keys=["a", "b"], fan_in=2, tasks=5)
+        assert "FlatMapGroups" not in plan(found)
+        got = found.collect()
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    assert len(got) == len(set(keys))
+    for r in got:
+        own = x[[k for k in range(600) if keys[k] == (r["a"], r["b"])]]
+        sk = Sketch.from_row(r)
+        gap = np.linalg.eigvalsh(own.T @ own - sk.rows.T @ sk.rows)
+        assert r["n_rows"] == len(own) and np.isclose(r["f2"], (own * own).sum()) and len(sk.rows) < 4
+        assert gap[0] >= -1e-8 and gap[-1] <= sk.shed + 1e-8 and 4 * sk.shed <= r["f2"] + 1e-8
+
+
 def test_nearest_by_blocks_of_queries(spark, sf):
     docs, asked = tables.load(spark, sf, "documents"), tables.load(spark, sf, "benchmark")
     one = {(r["query_id"], r["rank"]): (r["row_id"], round(r["score"], 9)) for r in project.lsi(docs, asked).collect()}

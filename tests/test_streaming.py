@@ -78,6 +78,15 @@ def test_session_totals(spark, sf, tmp_path):
     assert mine == theirs and sum(n for n, _ in mine.values()) == e.count()
 
 
+def test_many_sessions_have_no_group_of_their_own(spark, tmp_path):
+    """A session costs a row of a sorted batch, not a call of Python."""
+    base = str(tmp_path)
+    stream = feed(spark, f"{base}/in", [[(1, at(0), "a", [1.0, 0.0]), (2, at(31), "a", [2.0, 0.0])], [(3, at(5), "b", [0.0, 3.0])]])
+    streams.session_sketches(stream, "ts", "user", 3, 2, 1800, f"{base}/out", f"{base}/c")
+    found = streams.sessions(spark, f"{base}/out", 1800)
+    assert found.count() == 3 and "FlatMapGroups" not in found._jdf.queryExecution().executedPlan().toString()
+
+
 @pytest.mark.parametrize("variant", ["per_row", "buffered", "paced"])
 def test_keyed_variants(spark, tmp_path, variant):
     base, rng = str(tmp_path), np.random.default_rng(2)
