@@ -42,7 +42,7 @@ WIDE = 8
 KEY_BITS = 14
 FILTER = 2
 NEAR = 36
-#: Rows of a group from which its links are searched breadth first.
+#: Rows of a group from which neighbours in a trie's order are joined before the walk.
 LARGE = 512
 #: Shingles hashed before their bits are summed.
 STEP = 65_536
@@ -108,43 +108,74 @@ class Labels:
                 self.of = up
 
 
-def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int) -> np.ndarray:
-    """Component labels (row numbers) of the links inside each group.
+def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int, member: np.ndarray | None = None) -> np.ndarray:
+    """Component labels of the links inside each group, of rows or, with ``member``, of the members 0 .. m-1 whose rows they are.
 
-    ``fps``: unsigned fingerprints, ascending within each group [start, end).
+    ``fps``: unsigned fingerprints, of one word or (rows x words) of several,
+    the first word leading, ascending within each group [start, end).
     A node is an interval of rows with one prefix; a node pair carries the
-    bits in which its prefixes differ.
+    bits in which its prefixes differ.  With ``member`` a pair of nodes that
+    are of one component throughout is not walked any further, and in groups
+    of more than LARGE rows neighbours are joined before the walk, so a large
+    group of near copies never becomes its pairs.
     """
-    labels = Labels(len(fps))
+    words = [fps] if fps.ndim == 1 else [np.ascontiguousarray(w) for w in fps.T]
+    n, own_rows = len(fps), member is None
+    member = np.arange(n) if own_rows else member
+    labels = Labels(int(member.max()) + 1 if len(member) else 0)
+    frontier = FRONTIER if own_rows else FRONTIER // 16
+    large = starts[:0] if own_rows else starts[ends - starts > LARGE]
     ones: dict[int, np.ndarray] = {}
 
     def cut(bit: int, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
         """Where the rows with this bit set begin, in each interval."""
         if bit not in ones:
-            ones[bit] = np.concatenate([[0], np.cumsum((fps >> np.uint64(bit)) & np.uint64(1), dtype=np.int64)]).astype(np.int32)
+            if len(ones) >= 64 // len(words):
+                ones.clear()
+            word = words[len(words) - 1 - bit // 64]
+            ones[bit] = np.concatenate([[0], np.cumsum((word >> np.uint64(bit % 64)) & np.uint64(1), dtype=np.int64)]).astype(np.int32)
         c = ones[bit]
         return hi - (c[hi] - c[lo])
 
+    def apart(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        out = np.bitwise_count(words[0][i] ^ words[0][j])
+        for w in words[1:]:
+            out = out + np.bitwise_count(w[i] ^ w[j]).astype(np.int16)
+        return out
+
     def resolve(a: np.ndarray, b: np.ndarray, c: np.ndarray, d: np.ndarray) -> None:
         """Compares the rows of small node pairs directly, some at a time."""
         sizes = (b - a) * (d - c)
         total = np.cumsum(sizes)
         at = 0
         while at < len(sizes):
-            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + 4 * FRONTIER, "right")))
+            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + 4 * frontier, "right")))
             s = sizes[at:to]
             k = np.repeat(np.arange(at, to), s)
             off = np.arange(len(k)) - np.repeat(np.cumsum(s) - s, s)
             width = (d - c)[k]
             i, j = a[k] + off // width, c[k] + off % width
-            near = (i < j) & (np.bitwise_count(fps[i] ^ fps[j]) <= bits)
-            labels.join(i[near], j[near])
+            near = (i < j) & (apart(i, j) <= bits)
+            labels.join(member[i[near]], member[j[near]])
             at = to
 
+    def joined(a: np.ndarray, b: np.ndarray, c: np.ndarray, d: np.ndarray) -> np.ndarray:
+        """Which node pairs are of one component throughout."""
+        label = labels.of[member]
+        turn = np.concatenate([[0], np.cumsum(label[1:] != label[:-1])])
+        return (turn[a] == turn[b - 1]) & (turn[c] == turn[d - 1]) & (label[a] == label[c])
+
+    for start, end in zip(large, ends[ends - starts > LARGE] if len(large) else large):
+        i = np.arange(start, end - 1)
+        i = i[apart(i, i + 1) <= bits]
+        labels.join(member[i], member[i + 1])
     small = 64
-    stack = [(63, starts.astype(np.int64), ends.astype(np.int64), starts.astype(np.int64), ends.astype(np.int64), np.zeros(len(starts), np.int8))]
+    stack = [(64 * len(words) - 1, starts.astype(np.int64), ends.astype(np.int64), starts.astype(np.int64), ends.astype(np.int64), np.zeros(len(starts), np.int8))]
     while stack:
         bit, a, b, c, d, spent = stack.pop()
+        if len(large):
+            rest = ~joined(a, b, c, d)
+            a, b, c, d, spent = a[rest], b[rest], c[rest], d[rest], spent[rest]
         tiny = (b - a) * (d - c) <= small
         if bit < 0:
             tiny[:] = True
@@ -154,7 +185,7 @@ def trie_links(fps: np.ndarray, starts: np.ndarray, ends: np.ndarray, bits: int)
             a, b, c, d, spent = a[rest], b[rest], c[rest], d[rest], spent[rest]
         if not len(a):
             continue
-        if len(a) > FRONTIER:
+        if len(a) > frontier:
             h = len(a) // 2
             stack += [(bit, a[:h], b[:h], c[:h], d[:h], spent[:h]), (bit, a[h:], b[h:], c[h:], d[h:], spent[h:])]
             continue
@@ -345,28 +376,16 @@ def _spread_out(start: int, found: np.ndarray, near) -> None:
 def _filter_links(fps: np.ndarray, member: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """Components of the members 0 .. n-1 that rows within NEAR bits in the FILTER words join, inside each group [start, end) of rows.
 
-    Links are merged as they are found, so a large group costs a label a member.
+    The rows of a group are sorted to a trie, which is joined with itself.
     """
-    labels = Labels(int(member.max()) + 1 if len(member) else 0)
     sizes = ends - starts
-    for m in np.unique(sizes[sizes <= LARGE]):
-        i, j = np.triu_indices(m, 1)
-        own = starts[sizes == m]
-        step = max(1, FRONTIER // 4 // len(i))
-        for at in range(0, len(own), step):
-            a = (own[at : at + step, None] + i).ravel()
-            b = (own[at : at + step, None] + j).ravel()
-            near = np.bitwise_count(fps[a] ^ fps[b]).sum(axis=1) <= NEAR
-            labels.join(member[a[near]], member[b[near]])
-    for start, end in zip(starts[sizes > LARGE], ends[sizes > LARGE]):
-        own = fps[start:end]
-        found = np.full(len(own), -1)
-        for k in range(len(own)):
-            if found[k] < 0:
-                _spread_out(k, found, lambda x, rows: np.bitwise_count(own[rows] ^ own[x]).sum(axis=1) <= NEAR)
-        moved = np.flatnonzero(found != np.arange(len(own)))
-        labels.join(member[start + moved], member[start + found[moved]])
-    return labels.of
+    group = np.repeat(np.arange(len(starts)), sizes)
+    to = np.cumsum(sizes)
+    rows = np.arange(len(group)) + (starts - (to - sizes))[group]
+    rows = rows[np.lexsort((*fps[rows].T[::-1], group))]
+    label = trie_links(fps[rows], to - sizes, to, NEAR, member[rows])
+    # members of no group stay by themselves
+    return np.concatenate([label, np.arange(len(label), int(member.max()) + 1)]) if len(member) else label
 
 
 def _wide_links(dealt: DataFrame) -> DataFrame:
@@ -442,9 +461,11 @@ def _verified(members: DataFrame, shingle: int, similarity: float) -> DataFrame:
 def keep_similar(docs: DataFrame, *, shingle: int = SIMILAR_SHINGLE, similarity: float = SIMILARITY, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One document of each group stays: groups are joined by pairs of texts with a Jaccard similarity of their word shingles of ``similarity`` or more.
 
-    Candidates agree on one of 36 keys of 14 bits of a SimHash of 512 bits and
-    differ in at most NEAR of its first 128; what they join is then verified
-    on the shingle sets themselves, so no text goes without a similar one.
+    Candidates agree on one of 36 keys of 14 bits of a SimHash of 512 bits;
+    those of a key are a binary trie over its first 128 bits, whose self-join
+    (:func:`trie_links`) has the pairs that differ in at most NEAR of them.
+    What they join is then verified on the shingle sets themselves, so no text
+    goes without a similar one.
     Equal texts are one.  Null ids and repeated rows as in :func:`keep_first`.
     """
     names = [f"w{k}" for k in range(FILTER)]

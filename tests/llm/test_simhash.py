@@ -139,3 +139,42 @@ def test_a_task_sends_one_edge_a_node(spark):
     assert len(edges) < 900 * parts
     roots = {r["node"]: r["root"] for r in simhash.components(simhash._wide_links(dealt)).collect()}
     assert len(roots) == 900 and set(roots.values()) == {0}
+
+
+@pytest.mark.parametrize("most", [12, 90, 700])
+def test_wide_candidates_come_from_the_trie(monkeypatch, most):
+    """Groups of wide fingerprints go through the trie self-join, which finds the links of all pairs."""
+    rng, calls = np.random.default_rng(most), []
+    sizes = rng.integers(1, most, 30 if most < 100 else 4)
+    ends = np.cumsum(sizes)
+    starts, n = ends - sizes, int(ends[-1])
+    fps = rng.integers(0, 2**63, (max(2, n // 5), 2), np.int64).view(np.uint64)[rng.integers(0, max(2, n // 5), n)]
+    for r in range(n):
+        for b in rng.integers(0, 128, rng.integers(0, 30)):
+            fps[r, b // 64] ^= np.uint64(1) << np.uint64(b % 64)
+    member = rng.integers(0, n, n)
+    walk = simhash.trie_links
+    monkeypatch.setattr(simhash, "trie_links", lambda *a: calls.append(1) or walk(*a))
+    want = simhash.Labels(int(member.max()) + 1)
+    for a, b in zip(starts, ends):
+        i, j = np.triu_indices(b - a, 1)
+        near = np.bitwise_count(fps[a + i] ^ fps[a + j]).sum(axis=1) <= simhash.NEAR
+        want.join(member[a + i[near]], member[a + j[near]])
+    assert simhash._filter_links(fps, member, starts, ends).tolist() == want.of.tolist() and calls
+
+
+def test_near_copies_do_not_become_pairs():
+    """Thousands of near copies in one group are joined without comparing each with each."""
+    rng = np.random.default_rng(5)
+    fps = np.repeat(rng.integers(0, 2**63, (1, 2), np.int64).view(np.uint64), 20_000, axis=0)
+    for w in range(2):
+        for _ in range(3):
+            fps[:, w] ^= np.uint64(1) << rng.integers(0, 64, len(fps)).astype(np.uint64)
+    compared = []
+    count = np.bitwise_count
+    try:
+        np.bitwise_count = lambda x: compared.append(len(x)) or count(x)
+        label = simhash._filter_links(fps, np.arange(len(fps)), np.array([0]), np.array([len(fps)]))
+    finally:
+        np.bitwise_count = count
+    assert not label.any() and sum(compared) < 50 * len(fps)
