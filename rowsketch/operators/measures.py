@@ -161,14 +161,19 @@ def timed(fn: Callable[[], object], runs: int = 5) -> float:
     return statistics.median(out)
 
 
-def update_latency(make: Callable[[], object], rows: np.ndarray) -> dict[str, float]:
-    """Seconds of a kernel's updates, row by row: amortised, median, 99th percentile and worst."""
-    state = make()
+def update_seconds(state, rows: np.ndarray) -> np.ndarray:
+    """Seconds of a kernel's update at each row."""
     each = np.empty(len(rows))
     for i in range(len(rows)):
         t = time.perf_counter()
         state.extend(rows[i : i + 1])
         each[i] = time.perf_counter() - t
+    return each
+
+
+def update_latency(make: Callable[[], object], rows: np.ndarray) -> dict[str, float]:
+    """Seconds of a kernel's updates, row by row: amortised, median, 99th percentile and worst."""
+    each = update_seconds(make(), rows)
     return {"mean": float(each.mean()), "p50": float(np.percentile(each, 50)), "p99": float(np.percentile(each, 99)), "max": float(each.max())}
 
 

@@ -7,6 +7,7 @@ from rowsketch.plans import queries
 
 #: query: the table that Spark reads for it
 READS = {
+    "latency_report": "embeddings",
     "hard_instances": "events",
     "hard_instance_cert": "embeddings",
     "guarantee_curves": "events",
