@@ -7,6 +7,7 @@ from rowsketch.plans import queries
 
 #: query: the table that Spark reads for it
 READS = {
+    "pair_constants": "embeddings",
     "latency_checks": "embeddings",
     "latency_report": "embeddings",
     "hard_instances": "events",
