@@ -7,6 +7,7 @@ from rowsketch.plans import queries
 
 #: query: the table that Spark reads for it
 READS = {
+    "shrink_trace": "embeddings",
     "primitive_values": "lineitem",
     "pair_constants": "embeddings",
     "latency_checks": "embeddings",
