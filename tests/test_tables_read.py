@@ -7,6 +7,7 @@ from rowsketch.plans import queries
 
 #: query: the table that Spark reads for it
 READS = {
+    "scaling_checks": "embeddings",
     "scaling_report": "embeddings",
     "shrink_trace": "embeddings",
     "primitive_values": "lineitem",
